@@ -6,16 +6,34 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from litspark.llm.bpe import bpe_encode
 from litspark.llm.common import read
 from litspark.llm.near_dedup import near_duplicates
+from litspark.llm.substring_dedup import substring_dedup
+from litspark.llm.token_count import token_counts
+
+
+def op2_fst_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_counts(read(spark, sf_dir, "documents"))
 
 
 def op5_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(read(spark, sf_dir, "documents"))
 
 
+def op8_segment_tree_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe_encode(read(spark, sf_dir, "documents"), with_ids=False)
+
+
+def op10_rlz_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup(read(spark, sf_dir, "documents"), with_text=False)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_fst_token_counts": op2_fst_token_counts,
     "op5_minhash_near_dedup": op5_minhash_near_dedup,
+    "op8_segment_tree_bpe": op8_segment_tree_bpe,
+    "op10_rlz_substring_dedup": op10_rlz_substring_dedup,
 }
 
 ORACLES: dict[str, str] = {}
