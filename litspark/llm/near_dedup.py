@@ -12,9 +12,11 @@ linked, and a component keeps its smallest doc_id.
 3. The full sets of candidate classes are computed once and every pair is
    verified on them; verified links give components.
 4. Where a bucket still holds classes of different components, further stars
-   follow: every member of a bucket of at most ``CENTRES`` classes is a centre
-   (so all its open pairs are verified), a larger one gets ``CENTRES`` members
-   drawn by hash.  Rounds end when one adds no link.
+   follow.  In a bucket of at most ``CENTRES`` classes every member is a centre,
+   so all its open pairs are verified.  In a larger one ``CENTRES`` members of its
+   largest component and one member of any, drawn by hash anew in each round, are
+   centres for the classes outside that component.  Rounds end when one adds no
+   link.
 
 At the threshold two sets share none of the 32 bands with a probability of
 5e-6.  Nothing is capped or sampled; counts of pairs are linear in members.
@@ -42,7 +44,7 @@ from litspark.llm.words import overlap, set_digest, shingle_set
 
 WIDTH = 5
 SIMILARITY = 75
-CENTRES = 6
+CENTRES = 4
 BATCH = 256
 
 
@@ -99,13 +101,10 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
     shared = spots.groupBy("band", "value").agg(F.count("*").alias("size"), F.min("key").alias("centre"), F.min_by("n", "key").alias("centre_n")).where("size > 1")
     members = scratch.write(spots.join(shared, ["band", "value"]), "members")
 
-    def open_pairs(pairs: DataFrame) -> DataFrame:
-        return (
-            pairs.where("key <> centre")
-            .where(f"100 * least(n, centre_n) >= {percent} * greatest(n, centre_n)")
-            .select(F.least("key", "centre").alias("a"), F.greatest("key", "centre").alias("b"))
-            .distinct()
-        )
+    def candidates(pairs: DataFrame) -> DataFrame:
+        """Distinct (centre, key) whose sizes leave the threshold possible."""
+        fits = f"key <> centre and 100 * least(n, centre_n) >= {percent} * greatest(n, centre_n)"
+        return pairs.where(fits).select("centre", "key").distinct()
 
     involved = scratch.write(members.select("key").distinct(), "involved")
     wanted = scratch.write(classes.join(involved, "key", "left_semi").select("key", F.col("rep").alias("doc_id")), "wanted")
@@ -114,32 +113,37 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
     sets = scratch.write(texts.mapInArrow(lambda rows: _sets(rows, width), "key binary, members binary").join(involved, "key", "left_semi").dropDuplicates(["key"]), "sets")
 
     def verify(pairs: DataFrame) -> DataFrame:
-        a = sets.select(F.col("key").alias("a"), F.col("members").alias("a_set"))
-        b = sets.select(F.col("key").alias("b"), F.col("members").alias("b_set"))
-        return pairs.join(b, "b").join(a, "a").select("a", "b", "a_set", "b_set").mapInArrow(lambda rows: _verified(rows, percent), "a binary, b binary")
-
-    tried = scratch.write(open_pairs(members), "pairs")
-    links = scratch.write(verify(tried), "links")
+        """Pairs that hold on the full sets; the members' sets stay where they are while the pairs are few enough."""
+        of_key = sets.join(small(pairs), "key").select("centre", F.col("key").alias("b"), F.col("members").alias("b_set"))
+        centre = sets.join(small(pairs.select(F.col("centre").alias("key")).distinct()), "key", "left_semi")
+        both = of_key.join(centre.select(F.col("key").alias("centre"), F.col("members").alias("a_set")), "centre")
+        return both.select(F.col("centre").alias("a"), "b", "a_set", "b_set").mapInArrow(lambda rows: _verified(rows, percent), "a binary, b binary")
+
+    stars = scratch.write(candidates(members), "pairs")
+    links = scratch.write(verify(stars), "links")
     labels = connected_components(links, scratch)
+    wide = members.where("size > 2").select("band", "value", "size", "key", "n")
     turn = 0
     while True:
         turn += 1
-        named = members.select("band", "value", "size", "key", "n").join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
-        picks = [F.min(F.struct(F.xxhash64("key", "value", F.lit(turn * 1000 + i)).alias("h"), "key", "n", "component")).alias(f"c{i}") for i in range(centres)]
-        mixed = named.groupBy("band", "value").agg(F.min("component").alias("low"), F.max("component").alias("high"), F.max("size").alias("size"), *picks).where("low <> high and size > 2")
-        few = (
-            named.where(F.col("size") <= centres)
-            .join(mixed.select("band", "value"), ["band", "value"], "left_semi")
-            .select("band", "value", F.col("key").alias("centre"), F.col("n").alias("centre_n"), F.col("component").alias("other"))
-        )
-        many = mixed.where(F.col("size") > centres).select("band", "value", F.explode(F.array_distinct(F.array(*[f"c{i}" for i in range(centres)]))).alias("c"))
-        many = many.select("band", "value", F.col("c.key").alias("centre"), F.col("c.n").alias("centre_n"), F.col("c.component").alias("other"))
-        pairs = named.join(few.unionByName(many), ["band", "value"]).where("component <> other")
-        fresh = scratch.write(open_pairs(pairs).join(tried, ["a", "b"], "left_anti"), "pairs")
-        more = scratch.write(verify(fresh), "links")
+        named = wide.join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
+        draws = [F.min(F.struct(F.xxhash64("key", "value", F.lit(turn * 1000 + i)).alias("h"), F.col("key").alias("centre"), F.col("n").alias("centre_n"))).alias(f"c{i}") for i in range(centres)]
+        parts = named.where(F.col("size") > centres).groupBy("band", "value", "component").agg(F.count("*").alias("here"), *draws)
+        largest = F.max_by(F.struct("component", *[f"c{i}" for i in range(centres)]), F.struct("here", "component"))
+        mixed = parts.groupBy("band", "value").agg(F.count("*").alias("parts"), largest.alias("most"), F.min("c0").alias("any")).where("parts > 1")
+        rest = named.join(mixed, ["band", "value"]).where("component <> most.component")
+        drawn = rest.select("key", "n", F.explode(F.array(F.col("any"), *[F.col(f"most.c{i}") for i in range(centres)])).alias("c"))
+        pairs = drawn.select("key", "n", "c.centre", "c.centre_n")
+        if turn == 1:
+            few = named.where(F.col("size") <= centres)
+            odd = few.groupBy("band", "value").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("band", "value")
+            few = few.join(odd, ["band", "value"], "left_semi")
+            other = few.select("band", "value", F.col("key").alias("centre"), F.col("n").alias("centre_n"), F.col("component").alias("beside"))
+            pairs = pairs.unionByName(few.join(other, ["band", "value"]).where("component <> beside and centre < key").select("key", "n", "centre", "centre_n"))
+        more = scratch.write(verify(scratch.write(candidates(pairs), "pairs")), "links")
         if more.isEmpty():
             break
-        tried, links = scratch.write(tried.unionByName(fresh), "pairs"), scratch.write(links.unionByName(more), "links")
+        links = scratch.write(links.unionByName(more), "links")
         labels = connected_components(links, scratch)
     owner = classes.select("key", "rep").join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
     lowest = owner.groupBy("component").agg(F.min("rep").alias("component_id"))
