@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from litspark.llm.bpe import bpe_encode
 from litspark.llm.common import read
 from litspark.llm.near_dedup import near_duplicates
+from litspark.llm.quality_rules import quality_verdicts
 from litspark.llm.substring_dedup import substring_dedup
 from litspark.llm.token_count import token_counts
 
@@ -21,6 +22,10 @@ def op5_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(read(spark, sf_dir, "documents"))
 
 
+def op6_mcd_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_verdicts(read(spark, sf_dir, "documents")).drop("tag")
+
+
 def op8_segment_tree_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_encode(read(spark, sf_dir, "documents"), with_ids=False)
 
@@ -32,6 +37,7 @@ def op10_rlz_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_fst_token_counts": op2_fst_token_counts,
     "op5_minhash_near_dedup": op5_minhash_near_dedup,
+    "op6_mcd_quality_rules": op6_mcd_quality_rules,
     "op8_segment_tree_bpe": op8_segment_tree_bpe,
     "op10_rlz_substring_dedup": op10_rlz_substring_dedup,
 }
