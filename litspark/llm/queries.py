@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from litspark.llm.bpe import bpe_encode
 from litspark.llm.common import read
+from litspark.llm.decontamination import leaks
 from litspark.llm.near_dedup import near_duplicates
 from litspark.llm.quality_rules import quality_verdicts
 from litspark.llm.substring_dedup import substring_dedup
@@ -18,6 +19,10 @@ def op2_fst_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(read(spark, sf_dir, "documents"))
 
 
+def op4_simhash_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return leaks(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")).drop("tag").distinct()
+
+
 def op5_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(read(spark, sf_dir, "documents"))
 
@@ -36,6 +41,7 @@ def op10_rlz_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_fst_token_counts": op2_fst_token_counts,
+    "op4_simhash_decontamination": op4_simhash_decontamination,
     "op5_minhash_near_dedup": op5_minhash_near_dedup,
     "op6_mcd_quality_rules": op6_mcd_quality_rules,
     "op8_segment_tree_bpe": op8_segment_tree_bpe,
