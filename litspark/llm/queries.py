@@ -9,8 +9,11 @@ from pyspark.sql import DataFrame, SparkSession
 from litspark.llm.bpe import bpe_encode
 from litspark.llm.common import read
 from litspark.llm.decontamination import leaks
+from litspark.llm.license_scan import license_report
+from litspark.llm.license_scan import oracle as license_oracle
 from litspark.llm.near_dedup import near_duplicates
 from litspark.llm.quality_rules import quality_verdicts
+from litspark.llm.secret_scan import secret_report
 from litspark.llm.substring_dedup import substring_dedup
 from litspark.llm.token_count import token_counts
 
@@ -19,6 +22,10 @@ def op2_fst_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts(read(spark, sf_dir, "documents"))
 
 
+def op3_forest_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_report(read(spark, sf_dir, "documents"))
+
+
 def op4_simhash_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return leaks(read(spark, sf_dir, "documents"), read(spark, sf_dir, "benchmark")).drop("tag").distinct()
 
@@ -31,6 +38,10 @@ def op6_mcd_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_verdicts(read(spark, sf_dir, "documents")).drop("tag")
 
 
+def op7_license_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_report(read(spark, sf_dir, "documents"))
+
+
 def op8_segment_tree_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe_encode(read(spark, sf_dir, "documents"), with_ids=False)
 
@@ -41,11 +52,15 @@ def op10_rlz_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_fst_token_counts": op2_fst_token_counts,
+    "op3_forest_secret_scan": op3_forest_secret_scan,
     "op4_simhash_decontamination": op4_simhash_decontamination,
     "op5_minhash_near_dedup": op5_minhash_near_dedup,
     "op6_mcd_quality_rules": op6_mcd_quality_rules,
+    "op7_license_rules": op7_license_rules,
     "op8_segment_tree_bpe": op8_segment_tree_bpe,
     "op10_rlz_substring_dedup": op10_rlz_substring_dedup,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op7_license_rules": license_oracle(),
+}
