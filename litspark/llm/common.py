@@ -7,6 +7,7 @@ import tempfile
 import uuid
 import weakref
 
+from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -48,6 +49,14 @@ class Scratch:
         self.paths[id(back)] = path
         return back
 
+    def hold(self, df: DataFrame) -> DataFrame:
+        """The same rows, kept on the executors' disks once computed.
+
+        The lineage stays, so blocks of a lost executor are computed again; for
+        tables that are read a few times, outside loops.
+        """
+        return df.persist(StorageLevel.DISK_ONLY)
+
     def drop(self, *tables: DataFrame) -> None:
         """Delete tables that no later plan reads."""
         for t in tables:

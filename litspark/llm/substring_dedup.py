@@ -13,7 +13,8 @@ because the greedy parse broke there.
    the smallest doc_id; the others are duplicate as a whole.
 2. Anchors seen under two doc_ids at least are the *shared* ones.  Only documents
    that hold some are read again, and only windows on shared anchors are indexed.
-3. The index keeps for each window its first document and position; each document
+3. The index keeps for each window its first document and position (a document
+   sends a repeated window once, with all its places); each document
    gets the references of its windows back and is parsed into factors.
 4. A last pass cuts the spans out of the texts.
 
@@ -92,9 +93,15 @@ def _windows(rows: Iterator[pa.RecordBatch], width: int, gram: int) -> Iterator[
         for text, shared in zip(batch.column("text").to_pylist(), batch.column("shared")):
             hashes = hash_words(split_words(text))
             at = np.flatnonzero(np.isin(anchors(hashes, width, gram), shared.values.to_numpy().view(np.uint64)))
-            found.append(window_hashes(hashes, width)[at].view(np.int64))
-            places.append(at.astype(np.int32))
-        yield pa.RecordBatch.from_arrays([batch.column("doc"), batch.column("digest"), _lists(found, pa.int64()), _lists(places, pa.int32())], ["doc", "digest", "hashes", "places"])
+            own = window_hashes(hashes, width)[at]
+            order = np.argsort(own, kind="stable")
+            own, at = own[order], at[order]
+            fresh = np.flatnonzero(np.append(True, own[1:] != own[:-1])) if len(own) else np.empty(0, np.int64)
+            found.append(own[fresh].view(np.int64))
+            places.append(_lists(np.split(at.astype(np.int32), fresh[1:]) if len(own) else [], pa.int32()))
+        ends = np.cumsum([0, *map(len, places)]).astype(np.int32)
+        nested = pa.ListArray.from_arrays(pa.array(ends), pa.concat_arrays(places))
+        yield pa.RecordBatch.from_arrays([batch.column("doc"), batch.column("digest"), _lists(found, pa.int64()), nested], ["doc", "digest", "hashes", "places"])
 
 
 def factor(places: np.ndarray, docs: np.ndarray, starts: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -113,7 +120,9 @@ def _factors(rows: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBa
         parsed = []
         for refs in batch.column("refs"):
             held = refs.values
-            parsed.append(factor(held.field("place").to_numpy(), held.field("ref_doc").to_numpy(), held.field("ref_place").to_numpy(), width))
+            spots = held.field("places")
+            times = spots.value_lengths().to_numpy()
+            parsed.append(factor(spots.flatten().to_numpy(), np.repeat(held.field("ref_doc").to_numpy(), times), np.repeat(held.field("ref_place").to_numpy(), times), width))
         yield pa.RecordBatch.from_arrays(
             [batch.column("doc"), batch.column("digest"), *(_lists([p[i] for p in parsed], k) for i, k in enumerate((pa.int32(), pa.int32(), pa.int64(), pa.int32())))],
             ["doc", "digest", "starts", "lengths", "ref_docs", "ref_starts"],
@@ -152,28 +161,27 @@ def duplicate_factors(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, scr
     ref_starts, for the first document of each sequence.
     """
     scratch = scratch or Scratch(docs.sparkSession, "substring")
-    profiles = scratch.write(docs.mapInArrow(lambda rows: _profiles(rows, width, gram), "doc long, tag long, digest binary, n long, anchors array<long>"), "profiles")
+    profiles = scratch.hold(docs.mapInArrow(lambda rows: _profiles(rows, width, gram), "doc long, tag long, digest binary, n long, anchors array<long>"))
     classes = profiles.groupBy("digest").agg(F.min(F.struct("doc", "tag")).alias("who"), F.first("anchors").alias("anchors"))
-    classes = scratch.write(classes.select("digest", F.col("who.doc").alias("first"), F.col("who.tag").alias("tag"), "anchors"), "classes")
+    classes = scratch.hold(classes.select("digest", F.col("who.doc").alias("first"), F.col("who.tag").alias("tag"), "anchors"))
     rows = profiles.select("doc", "tag", "digest", "n")
     spread = classes.select("digest", "first", "tag", F.explode("anchors").alias("anchor"))
-    shared = scratch.write(spread.groupBy("anchor").agg(F.min("first").alias("low"), F.max("first").alias("high")).where("low <> high").select("anchor"), "shared")
-    holders = scratch.write(
-        spread.join(small(shared, BROADCAST_ANCHORS), "anchor", "left_semi").groupBy("digest", "first", "tag").agg(F.collect_list("anchor").alias("shared")), "holders"
+    shared = scratch.hold(spread.groupBy("anchor").agg(F.min("first").alias("low"), F.max("first").alias("high")).where("low <> high").select("anchor"))
+    holders = scratch.hold(
+        spread.join(small(shared, BROADCAST_ANCHORS), "anchor", "left_semi").groupBy("digest", "first", "tag").agg(F.collect_list("anchor").alias("shared"))
     )
     many = holders.agg(F.sum(F.size("shared"))).first()[0] or 0
     side = holders.select(F.col("first").alias("doc"), "tag", "digest", "shared")
     again = docs.join(F.broadcast(side) if many <= BROADCAST_ANCHORS else side, ["doc", "tag"]).select("doc", "digest", "text", "shared")
-    windows = scratch.write(again.mapInArrow(lambda rows: _windows(rows, width, gram), "doc long, digest binary, hashes array<long>, places array<int>"), "windows")
+    windows = scratch.hold(again.mapInArrow(lambda rows: _windows(rows, width, gram), "doc long, digest binary, hashes array<long>, places array<array<int>>"))
     spots = windows.select("doc", F.xxhash64("digest").alias("name"), F.explode(F.arrays_zip("hashes", "places")).alias("w"))
-    spots = spots.select("doc", "name", F.col("w.hashes").alias("hash"), F.col("w.places").alias("place"))
-    index = spots.groupBy("hash").agg(F.min("doc").alias("ref_doc"), F.max("doc").alias("high"), F.min_by("place", F.struct("doc", "place")).alias("ref_place"))
+    spots = spots.select("doc", "name", F.col("w.hashes").alias("hash"), F.col("w.places").alias("places"))
+    index = spots.groupBy("hash").agg(F.min("doc").alias("ref_doc"), F.max("doc").alias("high"), F.min(F.struct("doc", F.get("places", F.lit(0)).alias("place")))["place"].alias("ref_place"))
     refs = spots.join(index.where("ref_doc <> high").drop("high"), "hash").where("ref_doc < doc")
-    refs = refs.groupBy("doc", "name").agg(F.collect_set(F.struct("place", "ref_doc", "ref_place")).alias("refs"))
+    refs = refs.groupBy("doc", "name").agg(F.collect_set(F.struct("places", "ref_doc", "ref_place")).alias("refs"))
     names = classes.select(F.col("first").alias("doc"), F.xxhash64("digest").alias("name"), "digest")
     factors = refs.join(names, ["doc", "name"]).select("doc", "digest", "refs")
-    factors = scratch.write(factors.mapInArrow(lambda rows: _factors(rows, width), "doc long, digest binary, starts array<int>, lengths array<int>, ref_docs array<long>, ref_starts array<int>"), "factors")
-    scratch.drop(windows, shared, holders)
+    factors = scratch.hold(factors.mapInArrow(lambda rows: _factors(rows, width), "doc long, digest binary, starts array<int>, lengths array<int>, ref_docs array<long>, ref_starts array<int>"))
     return rows, classes.select("digest", "first"), factors
 
 
@@ -190,7 +198,7 @@ def substring_dedup(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_
     named = rows.distinct().join(classes, "digest").join(factors.select("digest", "starts", "lengths"), "digest", "left")
     whole = (F.col("doc") > F.col("first")) & (F.col("n") >= width)
     acted = named.select("doc", "tag", whole.alias("whole"), F.when(F.col("doc") == F.col("first"), F.col("starts")).alias("starts"), "lengths").where("whole or starts is not null")
-    acted = scratch.write(acted, "acted")
+    acted = scratch.hold(acted)
     joined = source.join(small(acted), ["doc", "tag"], "left").select("doc_id", "text", F.coalesce("whole", F.lit(False)).alias("whole"), "starts", "lengths")
     schema = "doc_id long, n_words long, n_removed long, kept_sha256 string" + ", kept_text string" * with_text
     return joined.mapInArrow(lambda rows: _cut(rows, with_text), schema)
