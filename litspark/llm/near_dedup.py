@@ -90,27 +90,26 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
     spark = docs.sparkSession
     scratch = Scratch(spark, "near")
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    profiles = scratch.write(
-        source.mapInArrow(lambda rows: _profiles(rows, width), "doc_id long, n_shingles long, key binary, bands array<long>"), "profiles"
+    profiles = scratch.hold(
+        source.mapInArrow(lambda rows: _profiles(rows, width), "doc_id long, n_shingles long, key binary, bands array<long>")
     )
-    classes = scratch.write(
-        profiles.where("key is not null").groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands")),
-        "classes",
+    classes = scratch.hold(
+        profiles.where("key is not null").groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"))
     )
     spots = classes.select("key", "n", F.posexplode("bands").alias("band", "value"))
     shared = spots.groupBy("band", "value").agg(F.count("*").alias("size"), F.min("key").alias("centre"), F.min_by("n", "key").alias("centre_n")).where("size > 1")
-    members = scratch.write(spots.join(shared, ["band", "value"]), "members")
+    members = scratch.hold(spots.join(shared, ["band", "value"]))
 
     def candidates(pairs: DataFrame) -> DataFrame:
         """Distinct (centre, key) whose sizes leave the threshold possible."""
         fits = f"key <> centre and 100 * least(n, centre_n) >= {percent} * greatest(n, centre_n)"
         return pairs.where(fits).select("centre", "key").distinct()
 
-    involved = scratch.write(members.select("key").distinct(), "involved")
-    wanted = scratch.write(classes.join(involved, "key", "left_semi").select("key", F.col("rep").alias("doc_id")), "wanted")
+    involved = scratch.hold(members.select("key").distinct())
+    wanted = scratch.hold(classes.join(involved, "key", "left_semi").select("key", F.col("rep").alias("doc_id")))
     ids = wanted.select(F.coalesce("doc_id", F.lit(-(2**63))).alias("pick")).distinct()
     texts = source.withColumn("pick", F.coalesce("doc_id", F.lit(-(2**63)))).join(small(ids), "pick", "left_semi").select("text")
-    sets = scratch.write(texts.mapInArrow(lambda rows: _sets(rows, width), "key binary, members binary").join(involved, "key", "left_semi").dropDuplicates(["key"]), "sets")
+    sets = scratch.hold(texts.mapInArrow(lambda rows: _sets(rows, width), "key binary, members binary").join(involved, "key", "left_semi").dropDuplicates(["key"]))
 
     def verify(pairs: DataFrame) -> DataFrame:
         """Pairs that hold on the full sets; the members' sets stay where they are while the pairs are few enough."""
@@ -147,7 +146,7 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
         labels = connected_components(links, scratch)
     owner = classes.select("key", "rep").join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
     lowest = owner.groupBy("component").agg(F.min("rep").alias("component_id"))
-    linked = scratch.write(owner.join(lowest, "component").select("key", "component_id"), "owners")
+    linked = owner.join(lowest, "component").select("key", "component_id")
     out = profiles.select("doc_id", "n_shingles", "key").join(linked, "key", "left")
     whose = F.when(F.col("key").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
     return out.select("doc_id", "n_shingles", whose.alias("component_id"), F.coalesce(F.col("doc_id") == whose, F.lit(False)).alias("kept"))

@@ -170,7 +170,7 @@ def _start(rows: DataFrame, scratch: Scratch) -> DataFrame:
         .where("2 * below >= all").groupBy("grp", "dim").agg(F.min("x").alias("mid"))
     )
     binned = rows.select("grp", *[(F.floor(F.col(x) / 16) * 16).cast("long").alias(x) for x in VECTOR])
-    mids = scratch.write(median(long(binned)), "mids")
+    mids = scratch.hold(median(long(binned)))
     spread = long(binned).join(small(mids), ["grp", "dim"]).select("grp", "dim", F.abs(F.col("x") - F.col("mid")).alias("x"))
     scale = median(spread).withColumnRenamed("mid", "mad")
     both = mids.join(scale, ["grp", "dim"]).groupBy("grp").agg(*[F.max(F.when(F.col("dim") == i, F.col(c))).alias(f"{c}{i}") for i in p for c in ("mid", "mad")])
@@ -215,8 +215,8 @@ def quality_verdicts(docs: DataFrame, cover: float = COVER, cutoff: float = CUTO
     ``tag`` is the 64-bit hash of the text, which with doc_id names the row.
     """
     scratch = Scratch(docs.sparkSession, "quality")
-    stats = scratch.write(document_statistics(docs), "stats")
-    groups = scratch.write(_grouped(stats, least), "groups")
+    stats = scratch.hold(document_statistics(docs))
+    groups = scratch.hold(_grouped(stats, least))
     rows = stats.join(small(groups), ["lang", "source"], "left")
     estimate = mcd_estimates(rows.where("not base_failed and grp is not null").select("grp", *VECTOR), scratch, cover)
     judged = _distance(rows, estimate)
