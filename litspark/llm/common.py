@@ -5,7 +5,6 @@ from __future__ import annotations
 import atexit
 import tempfile
 import uuid
-import weakref
 
 from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -16,7 +15,7 @@ BROADCAST_ROWS = 1_000_000
 #: White space between words, as a Java character class.
 SPACE = r"[ \t-\r]"
 
-_folders: "weakref.WeakKeyDictionary" = weakref.WeakKeyDictionary()
+_held: list[DataFrame] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -55,7 +54,8 @@ class Scratch:
         The lineage stays, so blocks of a lost executor are computed again; for
         tables that are read a few times, outside loops.
         """
-        return df.persist(StorageLevel.DISK_ONLY)
+        _held.append(df.persist(StorageLevel.DISK_ONLY))
+        return df
 
     def drop(self, *tables: DataFrame) -> None:
         """Delete tables that no later plan reads."""
@@ -65,6 +65,20 @@ class Scratch:
                 _remove(self.spark, path)
 
 
+def release() -> None:
+    """Give back what operators hold on executor disks; results already written do not need it."""
+    while _held:
+        _held.pop().unpersist()
+
+
+def drop_rows(docs: DataFrame, gone: DataFrame) -> DataFrame:
+    """``docs`` without the rows named by ``gone(doc_id, tag)``, tag being the hash of the text; nulls are values."""
+    pick = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63)))
+    named = gone.select(pick.alias("_pick"), F.col("tag").alias("_tag")).distinct()
+    marked = docs.withColumns({"_pick": pick, "_tag": F.xxhash64(F.col("text").cast("string"))})
+    return marked.join(small(named), ["_pick", "_tag"], "left_anti").drop("_pick", "_tag")
+
+
 def _remove(spark: SparkSession, path: str) -> None:
     try:
         jvm = spark._jvm

@@ -37,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from litspark.llm.common import Scratch, small
+from litspark.llm.common import Scratch, drop_rows, small
 from litspark.llm.components import connected_components
 from litspark.llm.oph import band_hashes, signatures
 from litspark.llm.words import overlap, set_digest, shingle_set
@@ -58,11 +58,12 @@ def _profiles(rows: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordB
             yield pa.RecordBatch.from_arrays(
                 [
                     part.column("doc_id"),
+                    part.column("tag"),
                     pa.array([len(s) for s in sets], pa.int64()),
                     pa.array([set_digest(s) if ok else None for s, ok in zip(sets, full)], pa.binary()),
                     pa.array([b.tolist() if ok else None for b, ok in zip(bands, full)], pa.list_(pa.int64())),
                 ],
-                ["doc_id", "n_shingles", "key", "bands"],
+                ["doc_id", "tag", "n_shingles", "key", "bands"],
             )
 
 
@@ -86,12 +87,12 @@ def _verified(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.Recor
 
 
 def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARITY, centres: int = CENTRES) -> DataFrame:
-    """One row per row of ``docs(doc_id, text)``: doc_id, n_shingles, component_id, kept."""
+    """One row per row of ``docs(doc_id, text)``: doc_id, n_shingles, component_id, kept, and tag, the hash of the text."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "near")
-    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("tag", F.xxhash64("text"))
     profiles = scratch.hold(
-        source.mapInArrow(lambda rows: _profiles(rows, width), "doc_id long, n_shingles long, key binary, bands array<long>")
+        source.mapInArrow(lambda rows: _profiles(rows, width), "doc_id long, tag long, n_shingles long, key binary, bands array<long>")
     )
     classes = scratch.hold(
         profiles.where("key is not null").groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"))
@@ -147,6 +148,17 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
     owner = classes.select("key", "rep").join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
     lowest = owner.groupBy("component").agg(F.min("rep").alias("component_id"))
     linked = owner.join(lowest, "component").select("key", "component_id")
-    out = profiles.select("doc_id", "n_shingles", "key").join(linked, "key", "left")
+    out = profiles.select("doc_id", "tag", "n_shingles", "key").join(linked, "key", "left")
     whose = F.when(F.col("key").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
-    return out.select("doc_id", "n_shingles", whose.alias("component_id"), F.coalesce(F.col("doc_id") == whose, F.lit(False)).alias("kept"))
+    return out.select("doc_id", "tag", "n_shingles", whose.alias("component_id"), F.coalesce(F.col("doc_id") == whose, F.lit(False)).alias("kept"))
+
+
+def keep_one(docs: DataFrame) -> DataFrame:
+    """``docs`` with one document of each group of near-duplicates; of repeated rows of it one stays."""
+    judged = near_duplicates(docs)
+    kept = drop_rows(docs, judged.where("not kept").select("doc_id", "tag"))
+    twice = judged.where("kept").groupBy("doc_id", "tag").count().where("count > 1").select("doc_id", "tag")
+    if twice.isEmpty():
+        return kept
+    once = drop_rows(kept, twice)
+    return once.unionByName(kept.exceptAll(once).dropDuplicates(["doc_id", "text"]))

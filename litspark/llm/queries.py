@@ -39,7 +39,7 @@ def op4_simhash_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op5_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return near_duplicates(read(spark, sf_dir, "documents"))
+    return near_duplicates(read(spark, sf_dir, "documents")).drop("tag")
 
 
 def op6_mcd_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
