@@ -6,17 +6,17 @@ linked, and a component keeps its smallest doc_id.
 1. One pass in Arrow batches turns each text into the 128-bit name of its
    shingle set, the set's size and 32 band hashes.  Equal sets collapse to a
    *class* at once, so a group of exact copies costs one row from there on.
-2. A bucket is one value of one band.  Its smallest class is the centre of a
-   star; only centre-member pairs are candidates, so a bucket of m classes gives
-   m - 1 pairs.  Pairs whose set sizes alone rule out the threshold go.
-3. The full sets of candidate classes are computed once and every pair is
-   verified on them; verified links give components.
-4. Where a bucket still holds classes of different components, further stars
-   follow.  In a bucket of at most ``CENTRES`` classes every member is a centre,
-   so all its open pairs are verified.  In a larger one ``CENTRES`` members of its
-   largest component and one member of any, drawn by hash anew in each round, are
-   centres for the classes outside that component.  Rounds end when one adds no
-   link.
+2. A bucket is one value of one band.  Its most central class (the one that
+   meets most others over all its buckets) is the centre of a star; only
+   centre-member pairs are kept, so a bucket of m classes gives m - 1 rows.
+3. The full sets of the classes in stars are computed once.  The classes of a
+   star meet in blocks of about ``BLOCK``, each with the centre, and a block
+   links all its members exactly on the full sets (intersections of a block are
+   one matrix product), so a star of one block misses nothing.
+4. Buckets of stars of several blocks that still hold classes of different components
+   get further stars: in each round a member of the largest component and any
+   other, drawn by hash anew, are centres for the classes outside that
+   component.  Rounds end when one adds no link.
 
 At the threshold two sets share none of the 32 bands with a probability of
 5e-6.  Nothing is capped or sampled; counts of pairs are linear in members.
@@ -34,7 +34,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from litspark.llm.common import Scratch, drop_rows, small
@@ -44,8 +44,11 @@ from litspark.llm.words import overlap, set_digest, shingle_set
 
 WIDTH = 5
 SIMILARITY = 75
-CENTRES = 4
+#: Classes of one star that one task compares among themselves.
+BLOCK = 256
+COLUMNS = 4096
 BATCH = 256
+LAST = 2**63 - 1
 
 
 def _profiles(rows: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch]:
@@ -77,6 +80,7 @@ def _sets(rows: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBatch
 
 
 def _verified(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
+    """Links of pairs (a, b, a_set, b_set)."""
     for batch in rows:
         keep = []
         for a, b in zip(batch.column("a_set").to_pylist(), batch.column("b_set").to_pylist()):
@@ -86,73 +90,148 @@ def _verified(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.Recor
         yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b")], ["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
 
-def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARITY, centres: int = CENTRES) -> DataFrame:
+def shared_counts(sets: list[np.ndarray]) -> np.ndarray:
+    """Sizes of the intersections of all pairs of a bounded list of sets."""
+    values, inverse, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    places = np.cumsum(counts > 1) - 1
+    owner = np.repeat(np.arange(len(sets)), [len(x) for x in sets])
+    common = counts[inverse] > 1
+    column, row = places[inverse[common]], owner[common]
+    out = np.zeros((len(sets), len(sets)), np.float32)
+    order = np.argsort(column, kind="stable")
+    column, row = column[order], row[order]
+    for at in range(0, int(column[-1]) + 1 if len(column) else 0, COLUMNS):
+        low, high = np.searchsorted(column, (at, at + COLUMNS))
+        part = np.zeros((len(sets), COLUMNS), np.float32)
+        part[row[low:high], column[low:high] - at] = 1
+        out += part @ part.T
+    return out.astype(np.int64)
+
+
+def spanning_links(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
+    """Links that join all members of a block that are linked at all; pairs already joined are passed over."""
+    above = list(range(len(sets)))
+    sizes = [len(x) for x in sets]
+    counts = shared_counts(sets) if len(sets) > 12 else None
+
+    def root(x: int) -> int:
+        while above[x] != x:
+            above[x] = x = above[above[x]]
+        return x
+
+    out = []
+    for i in range(len(sets)):
+        if counts is None:
+            near = range(i + 1, len(sets))
+        else:
+            total = np.array(sizes) + sizes[i]
+            near = np.flatnonzero(100 * counts[i] >= percent * (total - counts[i])).tolist()
+        for j in near:
+            x, y = root(i), root(j)
+            if x == y or 100 * min(sizes[i], sizes[j]) < percent * max(sizes[i], sizes[j]):
+                continue
+            if counts is None:
+                both = overlap(sets[i], sets[j])
+                if 100 * both < percent * (sizes[i] + sizes[j] - both):
+                    continue
+            above[max(x, y)] = min(x, y)
+            out.append((i, j))
+    return out
+
+
+def _blocks(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
+    """Links inside each block (centre, part) of rows sorted by block."""
+    held: dict[bytes, np.ndarray] = {}
+    now = None
+
+    def links() -> pa.RecordBatch:
+        names = list(held)
+        found = spanning_links(list(held.values()), percent) if len(names) > 1 else []
+        return pa.RecordBatch.from_arrays([pa.array([names[i] for i, _ in found], pa.binary()), pa.array([names[j] for _, j in found], pa.binary())], ["a", "b"])
+
+    for batch in rows:
+        for centre, part, node, members in zip(*(batch.column(c).to_pylist() for c in ("centre", "part", "node", "members"))):
+            if (centre, part) != now:
+                if held:
+                    yield links()
+                now, held = (centre, part), {}
+            held[node] = np.frombuffer(members, np.uint64)
+    if held:
+        yield links()
+
+
+def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARITY, block: int = BLOCK) -> DataFrame:
     """One row per row of ``docs(doc_id, text)``: doc_id, n_shingles, component_id, kept, and tag, the hash of the text."""
-    spark = docs.sparkSession
-    scratch = Scratch(spark, "near")
+    scratch = Scratch(docs.sparkSession, "near")
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("tag", F.xxhash64("text"))
-    profiles = scratch.hold(
-        source.mapInArrow(lambda rows: _profiles(rows, width), "doc_id long, tag long, n_shingles long, key binary, bands array<long>")
-    )
-    classes = scratch.hold(
-        profiles.where("key is not null").groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"))
-    )
-    spots = classes.select("key", "n", F.posexplode("bands").alias("band", "value"))
-    shared = spots.groupBy("band", "value").agg(F.count("*").alias("size"), F.min("key").alias("centre"), F.min_by("n", "key").alias("centre_n")).where("size > 1")
+    schema = "doc_id long, tag long, n_shingles long, key binary, bands array<long>"
+    profiles = scratch.hold(source.mapInArrow(lambda rows: _profiles(rows, width), schema))
+    first = profiles.where("key is not null").groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"))
+    # a node's name starts with its doc_id in sortable form, so the smallest node of a component is that of its smallest doc_id
+    classes = scratch.hold(first.select(_node(F.coalesce("rep", F.lit(LAST)), F.col("key")).alias("node"), "key", "rep", "n", "bands"))
+    spots = classes.select("node", "n", F.posexplode("bands").alias("band", "value"))
+    shared = spots.groupBy("band", "value").agg(F.count("*").alias("size")).where("size > 1")
     members = scratch.hold(spots.join(shared, ["band", "value"]))
-
-    def candidates(pairs: DataFrame) -> DataFrame:
-        """Distinct (centre, key) whose sizes leave the threshold possible."""
-        fits = f"key <> centre and 100 * least(n, centre_n) >= {percent} * greatest(n, centre_n)"
-        return pairs.where(fits).select("centre", "key").distinct()
-
-    involved = scratch.hold(members.select("key").distinct())
-    wanted = scratch.hold(classes.join(involved, "key", "left_semi").select("key", F.col("rep").alias("doc_id")))
-    ids = wanted.select(F.coalesce("doc_id", F.lit(-(2**63))).alias("pick")).distinct()
-    texts = source.withColumn("pick", F.coalesce("doc_id", F.lit(-(2**63)))).join(small(ids), "pick", "left_semi").select("text")
-    sets = scratch.hold(texts.mapInArrow(lambda rows: _sets(rows, width), "key binary, members binary").join(involved, "key", "left_semi").dropDuplicates(["key"]))
+    met = members.groupBy("node").agg(F.sum("size").alias("met"))
+    central = members.join(met, "node").groupBy("band", "value").agg(F.max_by("node", F.struct("met", "node")).alias("centre"))
+    placed = scratch.hold(members.join(central, ["band", "value"]))
+    stars = scratch.hold(placed.where("node <> centre").select("centre", "node").distinct())
+
+    ids = scratch.hold(members.select(_rep(F.col("node")).alias("pick")).distinct())
+    texts = source.withColumn("pick", F.coalesce("doc_id", F.lit(LAST))).join(small(ids), "pick", "left_semi").select("text")
+    sets = scratch.hold(texts.mapInArrow(lambda rows: _sets(rows, width), "key binary, members binary").dropDuplicates(["key"]))
+
+    parts = scratch.hold(stars.groupBy("centre").agg(F.ceil(F.count("*") / block).cast("int").alias("parts")))
+    shares = stars.join(small(parts), "centre").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")).drop("parts")
+    every = shares.unionByName(shares.select("centre", F.col("centre").alias("node"), "part").distinct()).withColumn("key", _key(F.col("node")))
+    laid = every.join(sets, "key").select("centre", "part", "node", "members").repartition("centre", "part").sortWithinPartitions("centre", "part", "node")
+    links = scratch.hold(laid.mapInArrow(lambda rows: _blocks(rows, percent), "a binary, b binary"))
+    labels = connected_components(links, scratch)
 
     def verify(pairs: DataFrame) -> DataFrame:
         """Pairs that hold on the full sets; the members' sets stay where they are while the pairs are few enough."""
-        of_key = sets.join(small(pairs), "key").select("centre", F.col("key").alias("b"), F.col("members").alias("b_set"))
-        centre = sets.join(small(pairs.select(F.col("centre").alias("key")).distinct()), "key", "left_semi")
-        both = of_key.join(centre.select(F.col("key").alias("centre"), F.col("members").alias("a_set")), "centre")
-        return both.select(F.col("centre").alias("a"), "b", "a_set", "b_set").mapInArrow(lambda rows: _verified(rows, percent), "a binary, b binary")
+        of_node = sets.join(small(pairs.withColumn("key", _key(F.col("node")))), "key").select("centre", F.col("node").alias("b"), F.col("members").alias("b_set"))
+        centre = sets.join(small(pairs.select("centre", _key(F.col("centre")).alias("key")).distinct()), "key")
+        both = of_node.join(centre.select("centre", F.col("members").alias("a_set")), "centre")
+        return scratch.hold(both.select(F.col("centre").alias("a"), "b", "a_set", "b_set").mapInArrow(lambda rows: _verified(rows, percent), "a binary, b binary"))
 
-    stars = scratch.write(candidates(members), "pairs")
-    links = scratch.write(verify(stars), "links")
-    labels = connected_components(links, scratch)
-    wide = members.where("size > 2").select("band", "value", "size", "key", "n")
+    split = parts.where("parts > 1").select("centre")
+    wide = scratch.hold(placed.join(small(split), "centre", "left_semi").select("band", "value", "node", "n"))
     turn = 0
     while True:
         turn += 1
-        named = wide.join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
-        draws = [F.min(F.struct(F.xxhash64("key", "value", F.lit(turn * 1000 + i)).alias("h"), F.col("key").alias("centre"), F.col("n").alias("centre_n"))).alias(f"c{i}") for i in range(centres)]
-        parts = named.where(F.col("size") > centres).groupBy("band", "value", "component").agg(F.count("*").alias("here"), *draws)
-        largest = F.max_by(F.struct("component", *[f"c{i}" for i in range(centres)]), F.struct("here", "component"))
-        mixed = parts.groupBy("band", "value").agg(F.count("*").alias("parts"), largest.alias("most"), F.min("c0").alias("any")).where("parts > 1")
+        named = wide.join(small(labels), "node", "left").withColumn("component", F.coalesce("component", "node"))
+        draw = F.min(F.struct(F.xxhash64("node", "value", F.lit(turn)).alias("h"), F.col("node").alias("centre"), F.col("n").alias("centre_n")))
+        held = named.groupBy("band", "value", "component").agg(F.count("*").alias("here"), draw.alias("c"))
+        largest = F.max_by(F.struct("component", "c"), F.struct("here", "component"))
+        mixed = held.groupBy("band", "value").agg(F.count("*").alias("kinds"), largest.alias("most"), F.min("c").alias("any")).where("kinds > 1")
         rest = named.join(mixed, ["band", "value"]).where("component <> most.component")
-        drawn = rest.select("key", "n", F.explode(F.array(F.col("any"), *[F.col(f"most.c{i}") for i in range(centres)])).alias("c"))
-        pairs = drawn.select("key", "n", "c.centre", "c.centre_n")
-        if turn == 1:
-            few = named.where(F.col("size") <= centres)
-            odd = few.groupBy("band", "value").agg(F.min("component").alias("low"), F.max("component").alias("high")).where("low <> high").select("band", "value")
-            few = few.join(odd, ["band", "value"], "left_semi")
-            other = few.select("band", "value", F.col("key").alias("centre"), F.col("n").alias("centre_n"), F.col("component").alias("beside"))
-            pairs = pairs.unionByName(few.join(other, ["band", "value"]).where("component <> beside and centre < key").select("key", "n", "centre", "centre_n"))
-        more = scratch.write(verify(scratch.write(candidates(pairs), "pairs")), "links")
+        pairs = rest.select("node", "n", F.explode(F.array("any", "most.c")).alias("c")).select("node", "n", "c.centre", "c.centre_n")
+        fits = f"node <> centre and 100 * least(n, centre_n) >= {percent} * greatest(n, centre_n)"
+        more = verify(scratch.hold(pairs.where(fits).select("centre", "node").distinct()))
         if more.isEmpty():
             break
-        links = scratch.write(links.unionByName(more), "links")
+        links = links.unionByName(more)
         labels = connected_components(links, scratch)
-    owner = classes.select("key", "rep").join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
-    lowest = owner.groupBy("component").agg(F.min("rep").alias("component_id"))
-    linked = owner.join(lowest, "component").select("key", "component_id")
-    out = profiles.select("doc_id", "tag", "n_shingles", "key").join(linked, "key", "left")
-    whose = F.when(F.col("key").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
+    out = profiles.select("doc_id", "tag", "n_shingles", "key").join(classes.select("key", "node"), "key", "left").join(small(labels), "node", "left")
+    found = _rep(F.coalesce("component", "node"))
+    whose = F.when(F.col("node").isNull(), F.col("doc_id")).when(found < LAST, found)
     return out.select("doc_id", "tag", "n_shingles", whose.alias("component_id"), F.coalesce(F.col("doc_id") == whose, F.lit(False)).alias("kept"))
 
 
+def _node(rep: Column, key: Column) -> Column:
+    """24 bytes: the doc_id so that bytes sort as numbers do, and the name of the set."""
+    return F.concat(F.unhex(F.lpad(F.hex(rep.bitwiseXOR(F.lit(-(2**63)))), 16, "0")), key)
+
+
+def _rep(node: Column) -> Column:
+    return F.conv(F.hex(F.substring(node, 1, 8)), 16, -10).cast("long").bitwiseXOR(F.lit(-(2**63)))
+
+
+def _key(node: Column) -> Column:
+    return F.substring(node, 9, 16)
+
+
 def keep_one(docs: DataFrame) -> DataFrame:
     """``docs`` with one document of each group of near-duplicates; of repeated rows of it one stays."""
     judged = near_duplicates(docs)
