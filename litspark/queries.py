@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from litspark.plans import q_chunks, q_parse
+from litspark.plans import q_chunks, q_index, q_parse
 
-_PARTS = (q_parse, q_chunks)
+_PARTS = (q_parse, q_chunks, q_index)
 QUERIES = {name: query for part in _PARTS for name, query in part.QUERIES.items()}
 ORACLES = {name: sql for part in _PARTS for name, sql in part.ORACLES.items()}
