@@ -51,8 +51,9 @@ class Scratch:
     def hold(self, df: DataFrame) -> DataFrame:
         """The same rows, kept on the executors' disks once computed.
 
-        The lineage stays, so blocks of a lost executor are computed again; for
-        tables that are read a few times, outside loops.
+        The lineage stays, so blocks of a lost executor are computed again.  For
+        tables that are read a few times, outside loops, and not one upon
+        another: plans of held tables stand inside the plans that read them.
         """
         _held.append(df.persist(StorageLevel.DISK_ONLY))
         return df

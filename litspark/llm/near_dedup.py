@@ -168,24 +168,24 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
     profiles = scratch.hold(source.mapInArrow(lambda rows: _profiles(rows, width), schema))
     first = profiles.where("key is not null").groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"))
     # a node's name starts with its doc_id in sortable form, so the smallest node of a component is that of its smallest doc_id
-    classes = scratch.hold(first.select(_node(F.coalesce("rep", F.lit(LAST)), F.col("key")).alias("node"), "key", "rep", "n", "bands"))
+    classes = scratch.write(first.select(_node(F.coalesce("rep", F.lit(LAST)), F.col("key")).alias("node"), "key", "n", "bands"), "classes")
     spots = classes.select("node", "n", F.posexplode("bands").alias("band", "value"))
     shared = spots.groupBy("band", "value").agg(F.count("*").alias("size")).where("size > 1")
     members = scratch.hold(spots.join(shared, ["band", "value"]))
     met = members.groupBy("node").agg(F.sum("size").alias("met"))
     central = members.join(met, "node").groupBy("band", "value").agg(F.max_by("node", F.struct("met", "node")).alias("centre"))
-    placed = scratch.hold(members.join(central, ["band", "value"]))
+    placed = scratch.write(members.join(central, ["band", "value"]), "placed")
     stars = scratch.hold(placed.where("node <> centre").select("centre", "node").distinct())
 
-    ids = scratch.hold(members.select(_rep(F.col("node")).alias("pick")).distinct())
+    ids = scratch.hold(placed.select(_rep(F.col("node")).alias("pick")).distinct())
     texts = source.withColumn("pick", F.coalesce("doc_id", F.lit(LAST))).join(small(ids), "pick", "left_semi").select("text")
-    sets = scratch.hold(texts.mapInArrow(lambda rows: _sets(rows, width), "key binary, members binary").dropDuplicates(["key"]))
+    sets = scratch.write(texts.mapInArrow(lambda rows: _sets(rows, width), "key binary, members binary").dropDuplicates(["key"]), "sets")
 
     parts = scratch.hold(stars.groupBy("centre").agg(F.ceil(F.count("*") / block).cast("int").alias("parts")))
     shares = stars.join(small(parts), "centre").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")).drop("parts")
     every = shares.unionByName(shares.select("centre", F.col("centre").alias("node"), "part").distinct()).withColumn("key", _key(F.col("node")))
     laid = every.join(sets, "key").select("centre", "part", "node", "members").repartition("centre", "part").sortWithinPartitions("centre", "part", "node")
-    links = scratch.hold(laid.mapInArrow(lambda rows: _blocks(rows, percent), "a binary, b binary"))
+    links = scratch.write(laid.mapInArrow(lambda rows: _blocks(rows, percent), "a binary, b binary"), "links")
     labels = connected_components(links, scratch)
 
     def verify(pairs: DataFrame) -> DataFrame:
@@ -193,7 +193,7 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
         of_node = sets.join(small(pairs.withColumn("key", _key(F.col("node")))), "key").select("centre", F.col("node").alias("b"), F.col("members").alias("b_set"))
         centre = sets.join(small(pairs.select("centre", _key(F.col("centre")).alias("key")).distinct()), "key")
         both = of_node.join(centre.select("centre", F.col("members").alias("a_set")), "centre")
-        return scratch.hold(both.select(F.col("centre").alias("a"), "b", "a_set", "b_set").mapInArrow(lambda rows: _verified(rows, percent), "a binary, b binary"))
+        return scratch.write(both.select(F.col("centre").alias("a"), "b", "a_set", "b_set").mapInArrow(lambda rows: _verified(rows, percent), "a binary, b binary"), "links")
 
     split = parts.where("parts > 1").select("centre")
     wide = scratch.hold(placed.join(small(split), "centre", "left_semi").select("band", "value", "node", "n"))
@@ -208,7 +208,7 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
         rest = named.join(mixed, ["band", "value"]).where("component <> most.component")
         pairs = rest.select("node", "n", F.explode(F.array("any", "most.c")).alias("c")).select("node", "n", "c.centre", "c.centre_n")
         fits = f"node <> centre and 100 * least(n, centre_n) >= {percent} * greatest(n, centre_n)"
-        more = verify(scratch.hold(pairs.where(fits).select("centre", "node").distinct()))
+        more = verify(scratch.write(pairs.where(fits).select("centre", "node").distinct(), "pairs"))
         if more.isEmpty():
             break
         links = links.unionByName(more)
