@@ -173,7 +173,7 @@ def duplicate_factors(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, scr
     many = holders.agg(F.sum(F.size("shared"))).first()[0] or 0
     side = holders.select(F.col("first").alias("doc"), "tag", "digest", "shared")
     again = docs.join(F.broadcast(side) if many <= BROADCAST_ANCHORS else side, ["doc", "tag"]).select("doc", "digest", "text", "shared")
-    windows = scratch.hold(again.mapInArrow(lambda rows: _windows(rows, width, gram), "doc long, digest binary, hashes array<long>, places array<array<int>>"))
+    windows = scratch.write(again.mapInArrow(lambda rows: _windows(rows, width, gram), "doc long, digest binary, hashes array<long>, places array<array<int>>"), "windows")
     spots = windows.select("doc", F.xxhash64("digest").alias("name"), F.explode(F.arrays_zip("hashes", "places")).alias("w"))
     spots = spots.select("doc", "name", F.col("w.hashes").alias("hash"), F.col("w.places").alias("places"))
     index = spots.groupBy("hash").agg(F.min("doc").alias("ref_doc"), F.max("doc").alias("high"), F.min(F.struct("doc", F.get("places", F.lit(0)).alias("place")))["place"].alias("ref_place"))
