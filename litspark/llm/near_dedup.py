@@ -13,10 +13,10 @@ linked, and a component keeps its smallest doc_id.
    star meet in blocks of about ``BLOCK``, each with the centre, and a block
    links all its members exactly on the full sets (intersections of a block are
    one matrix product), so a star of one block misses nothing.
-4. Buckets of stars of several blocks that still hold classes of different components
-   get further stars: in each round a member of the largest component and any
-   other, drawn by hash anew, are centres for the classes outside that
-   component.  Rounds end when one adds no link.
+4. Stars of several blocks that still hold classes of different components get
+   further rounds: ``DRAWS`` members of the largest component and two of any,
+   drawn by hash anew, are centres for the classes outside that component.
+   Rounds end when one adds no link.
 
 At the threshold two sets share none of the 32 bands with a probability of
 5e-6.  Nothing is capped or sampled; counts of pairs are linear in members.
@@ -47,6 +47,8 @@ SIMILARITY = 75
 #: Classes of one star that one task compares among themselves.
 BLOCK = 256
 COLUMNS = 4096
+#: Members of a star's largest component that one further round compares with the classes outside it.
+DRAWS = 8
 BATCH = 256
 LAST = 2**63 - 1
 
@@ -175,14 +177,14 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
     met = members.groupBy("node").agg(F.sum("size").alias("met"))
     central = members.join(met, "node").groupBy("band", "value").agg(F.max_by("node", F.struct("met", "node")).alias("centre"))
     placed = scratch.write(members.join(central, ["band", "value"]), "placed")
-    stars = scratch.hold(placed.where("node <> centre").select("centre", "node").distinct())
+    stars = scratch.hold(placed.select("centre", "node", "n").distinct())
 
     ids = scratch.hold(placed.select(_rep(F.col("node")).alias("pick")).distinct())
     texts = source.withColumn("pick", F.coalesce("doc_id", F.lit(LAST))).join(small(ids), "pick", "left_semi").select("text")
     sets = scratch.write(texts.mapInArrow(lambda rows: _sets(rows, width), "key binary, members binary").dropDuplicates(["key"]), "sets")
 
-    parts = scratch.hold(stars.groupBy("centre").agg(F.ceil(F.count("*") / block).cast("int").alias("parts")))
-    shares = stars.join(small(parts), "centre").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")).drop("parts")
+    parts = scratch.hold(stars.where("node <> centre").groupBy("centre").agg(F.ceil(F.count("*") / block).cast("int").alias("parts")))
+    shares = stars.where("node <> centre").select("centre", "node").join(small(parts), "centre").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")).drop("parts")
     every = shares.unionByName(shares.select("centre", F.col("centre").alias("node"), "part").distinct()).withColumn("key", _key(F.col("node")))
     laid = every.join(sets, "key").select("centre", "part", "node", "members").repartition("centre", "part").sortWithinPartitions("centre", "part", "node")
     links = scratch.write(laid.mapInArrow(lambda rows: _blocks(rows, percent), "a binary, b binary"), "links")
@@ -196,17 +198,19 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
         return scratch.write(both.select(F.col("centre").alias("a"), "b", "a_set", "b_set").mapInArrow(lambda rows: _verified(rows, percent), "a binary, b binary"), "links")
 
     split = parts.where("parts > 1").select("centre")
-    wide = scratch.hold(placed.join(small(split), "centre", "left_semi").select("band", "value", "node", "n"))
+    wide = scratch.hold(stars.join(small(split), "centre", "left_semi").select(F.col("centre").alias("star"), "node", "n"))
     turn = 0
     while True:
         turn += 1
         named = wide.join(small(labels), "node", "left").withColumn("component", F.coalesce("component", "node"))
-        draw = F.min(F.struct(F.xxhash64("node", "value", F.lit(turn)).alias("h"), F.col("node").alias("centre"), F.col("n").alias("centre_n")))
-        held = named.groupBy("band", "value", "component").agg(F.count("*").alias("here"), draw.alias("c"))
-        largest = F.max_by(F.struct("component", "c"), F.struct("here", "component"))
-        mixed = held.groupBy("band", "value").agg(F.count("*").alias("kinds"), largest.alias("most"), F.min("c").alias("any")).where("kinds > 1")
-        rest = named.join(mixed, ["band", "value"]).where("component <> most.component")
-        pairs = rest.select("node", "n", F.explode(F.array("any", "most.c")).alias("c")).select("node", "n", "c.centre", "c.centre_n")
+        draws = [F.min(F.struct(F.xxhash64("node", "star", F.lit(turn * 1000 + i)).alias("h"), F.col("node").alias("centre"), F.col("n").alias("centre_n"))).alias(f"c{i}") for i in range(DRAWS)]
+        held = named.groupBy("star", "component").agg(F.count("*").alias("here"), *draws)
+        largest = F.max_by(F.struct("component", *[f"c{i}" for i in range(DRAWS)]), F.struct("here", "component"))
+        others = [F.min(F.struct(F.xxhash64("component", F.lit(turn * 1000 + i)).alias("r"), F.col(f"c{i}").alias("c"))).alias(f"any{i}") for i in range(2)]
+        mixed = held.groupBy("star").agg(F.count("*").alias("kinds"), largest.alias("most"), *others).where("kinds > 1")
+        rest = named.join(mixed, "star").where("component <> most.component")
+        chosen = F.array(*[F.col(f"most.c{i}") for i in range(DRAWS)], *[F.col(f"any{i}.c") for i in range(2)])
+        pairs = rest.select("node", "n", F.explode(chosen).alias("c")).select("node", "n", "c.centre", "c.centre_n")
         fits = f"node <> centre and 100 * least(n, centre_n) >= {percent} * greatest(n, centre_n)"
         more = verify(scratch.write(pairs.where(fits).select("centre", "node").distinct(), "pairs"))
         if more.isEmpty():
