@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import hashlib
 import re
+from collections.abc import Callable
 from functools import lru_cache
 
 import regex
@@ -24,6 +25,11 @@ DIMS = 64
 _end, _gap = re.compile(SENTENCE_END, re.A), regex.compile(TOKEN_GAP)
 
 
+def let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use(value)`` with ``value`` computed once, even where ``use`` names it inside a lambda of its own."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
+
+
 def sentence_array(text: Column) -> Column:
     return F.filter(F.split(F.coalesce(text, F.lit("")), SENTENCE_END), lambda s: s.rlike(r"\S"))
 

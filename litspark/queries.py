@@ -2,8 +2,8 @@
 
 from __future__ import annotations
 
-from litspark.plans import q_chunks, q_index, q_parse, q_qa
+from litspark.plans import q_chunks, q_index, q_ops, q_parse, q_qa
 
-_PARTS = (q_parse, q_chunks, q_index, q_qa)
+_PARTS = (q_parse, q_chunks, q_index, q_qa, q_ops)
 QUERIES = {name: query for part in _PARTS for name, query in part.QUERIES.items()}
 ORACLES = {name: sql for part in _PARTS for name, sql in part.ORACLES.items()}
