@@ -1,0 +1 @@
+"""Sources and sinks beside the given Parquet tables."""
