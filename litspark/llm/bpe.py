@@ -29,9 +29,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 #: Pieces remembered by one Python worker; the table starts anew when full.
-PIECE_MEMORY = 300_000
-#: Characters encoded in one go.
-CHARS = 1_500_000
+PIECE_MEMORY = 250_000
+#: Rows encoded in one go.
+ROWS = 160
 NONE = np.int64(2**62)
 # The pattern that cuts text into pieces, with white space as Unicode defines it.
 PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+"
@@ -234,17 +234,11 @@ def vocabulary_file(path: str | None = None) -> str:
         return file.read()
 
 
-def grouped(texts: list[str | None], chars: int = CHARS) -> Iterator[list[str]]:
-    """Consecutive texts in groups of about ``chars`` characters."""
-    held, size = [], 0
-    for text in texts:
-        held.append(text or "")
-        size += len(held[-1])
-        if size >= chars:
-            yield held
-            held, size = [], 0
-    if held:
-        yield held
+def sliced(rows: Iterator[pa.RecordBatch], size: int = ROWS) -> Iterator[pa.RecordBatch]:
+    """Batches of at most ``size`` rows."""
+    for batch in rows:
+        for at in range(0, batch.num_rows, size):
+            yield batch.slice(at, size)
 
 
 class Encoder:
@@ -273,24 +267,20 @@ class Encoder:
 
 def _encoded(rows: Iterator[pa.RecordBatch], source: str, with_ids: bool) -> Iterator[pa.RecordBatch]:
     encoder = Encoder(vocabulary(source))
-    for batch in rows:
-        texts = batch.column("text").to_pylist()
-        at = 0
-        for group in grouped(texts):
-            counts, ids_sha, text_sha, lists = [], [], [], []
-            for joined, raw in encoder.group(group):
-                counts.append(joined.count(",") + 1 if joined else 0)
-                ids_sha.append(hashlib.sha256(joined.encode()).hexdigest())
-                text_sha.append(hashlib.sha256(raw.decode("utf-8", "replace").encode()).hexdigest())
-                if with_ids:
-                    lists.append(np.array(joined.split(",") if joined else [], np.int32))
-            columns = [batch.column("doc_id").slice(at, len(group)), pa.array(counts, pa.int64()), pa.array(ids_sha), pa.array(text_sha)]
-            names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+    for batch in sliced(rows):
+        counts, ids_sha, text_sha, lists = [], [], [], []
+        for joined, raw in encoder.group([t or "" for t in batch.column("text").to_pylist()]):
+            counts.append(joined.count(",") + 1 if joined else 0)
+            ids_sha.append(hashlib.sha256(joined.encode()).hexdigest())
+            text_sha.append(hashlib.sha256(raw.decode("utf-8", "replace").encode()).hexdigest())
             if with_ids:
-                columns.append(pa.array(lists, pa.list_(pa.int32())))
-                names.append("ids")
-            yield pa.RecordBatch.from_arrays(columns, names)
-            at += len(group)
+                lists.append(np.array(joined.split(",") if joined else [], np.int32))
+        columns = [batch.column("doc_id"), pa.array(counts, pa.int64()), pa.array(ids_sha), pa.array(text_sha)]
+        names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
+        if with_ids:
+            columns.append(pa.array(lists, pa.list_(pa.int32())))
+            names.append("ids")
+        yield pa.RecordBatch.from_arrays(columns, names)
 
 
 def bpe_encode(docs: DataFrame, path: str | None = None, with_ids: bool = True) -> DataFrame:

@@ -30,12 +30,12 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from litspark.llm.bpe import Vocabulary, grouped, vocabulary, vocabulary_file
+from litspark.llm.bpe import Vocabulary, sliced, vocabulary, vocabulary_file
 
 CHUNK = 16_384
 #: Compiled transitions and remembered pieces and pairs of one worker; a full table starts anew.
 TRANSITIONS = 1_000_000
-PIECE_MEMORY = 400_000
+PIECE_MEMORY = 300_000
 LIMIT = 1024
 
 _CUT = regex.compile(r"(?<=\P{White_Space})\p{White_Space}")
@@ -196,10 +196,8 @@ def prefix_scan(items: list, compose: Callable) -> list:
 
 def _counted(rows: Iterator[pa.RecordBatch], source: str, limit: int) -> Iterator[pa.RecordBatch]:
     counter = Counter(vocabulary(source))
-    for batch in rows:
-        counts: list[int] = []
-        for group in grouped(batch.column("text").to_pylist()):
-            counts += map(counter.text, group)
+    for batch in sliced(rows):
+        counts = [counter.text(t or "") for t in batch.column("text").to_pylist()]
         yield pa.RecordBatch.from_arrays(
             [batch.column("doc_id"), batch.column("n_bytes"), pa.array(counts, pa.int64()), pa.array([c > limit for c in counts], pa.bool_())],
             ["doc_id", "n_bytes", "n_tokens", "over_limit"],

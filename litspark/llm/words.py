@@ -9,8 +9,6 @@ of about 2**-64 per pair.
 
 from __future__ import annotations
 
-from collections.abc import Iterable
-
 import numpy as np
 import xxhash
 
@@ -19,9 +17,7 @@ _ODD = np.uint64(0x9E3779B97F4A7C15)
 _MIX_A = np.uint64(0xBF58476D1CE4E5B9)
 _MIX_B = np.uint64(0x94D049BB133111EB)
 #: Distinct words remembered by one Python worker; the table starts anew when full.
-WORD_MEMORY = 400_000
-_memory: dict[bytes, int] = {}
-
+WORD_MEMORY = 60_000
 
 class _Memory(dict):
     def __missing__(self, word: bytes) -> int:
@@ -96,15 +92,3 @@ def overlap(a: np.ndarray, b: np.ndarray) -> int:
     at = np.searchsorted(b, a)
     at[at == len(b)] = 0
     return int((b[at] == a).sum())
-
-
-def batches(texts: Iterable[str | None], size: int) -> Iterable[list[str | None]]:
-    """Lists of at most ``size`` consecutive texts."""
-    held: list[str | None] = []
-    for text in texts:
-        held.append(text)
-        if len(held) == size:
-            yield held
-            held = []
-    if held:
-        yield held
