@@ -16,7 +16,7 @@ from pathlib import Path
 from litspark.llm.html_blocks import Block
 
 FILE = Path(__file__).with_name("html_crf.json")
-EPOCHS, RATE, DECAY, SEED = 12, 0.3, 1e-4, 11
+EPOCHS, RATE, DECAY, SEED = 12, 0.3, 2e-5, 11
 
 
 def features(blocks: list[Block]) -> list[list[str]]:
@@ -27,6 +27,8 @@ def features(blocks: list[Block]) -> list[list[str]]:
         own = ["bias", f"tag={tags[-1] if tags else ''}"]
         own += [f"in={t}" for t in dict.fromkeys(tags)]
         own += [f"name={w}" for w in dict.fromkeys(w for _, words in b.path for w in words)]
+        shells = [t for t in tags if t in ("article", "main", "nav", "header", "footer", "aside", "form", "section")]
+        own.append(f"shell={shells[-1] if shells else ''}>{tags[-1] if tags else ''}")
         heading = bool(tags) and tags[-1] in ("h1", "h2", "h3", "h4", "h5", "h6")
         if heading and b.title and (b.text == b.title or b.text in b.title):
             own.append("heading=title")

@@ -13,7 +13,7 @@ import sys
 from litspark.llm.html_blocks import Block, leaf_blocks
 from litspark.llm.html_crf import Field
 
-SAMPLE_PAGES = 600
+SAMPLE_PAGES = 1000
 MARK = "␂"
 
 
@@ -32,7 +32,7 @@ def label_by_document(page: str, document: str) -> tuple[list[Block], list[int]]
 
 def set_page(rng: random.Random, texts: list[str]) -> tuple[list[Block], list[int]]:
     """A page set from random templates; main blocks carry a mark that is taken off again."""
-    pick = lambda: " ".join(rng.choice(texts).split()[: rng.randint(4, 60)]) or "text"
+    pick = lambda: " ".join(rng.choice(texts).split()[: rng.choice((rng.randint(1, 4), rng.randint(4, 60)))]) or "text"
     short = lambda: " ".join(rng.choice(texts).split()[: rng.randint(1, 4)]) or "x"
     esc = lambda s: s.replace("&", "&amp;").replace("<", "&lt;")
     main = lambda: esc(MARK + pick())
@@ -87,7 +87,7 @@ def set_page(rng: random.Random, texts: list[str]) -> tuple[list[Block], list[in
     inner = [f"<h1>{esc(title)}</h1>"] if rng.random() < 0.9 else []
     if rng.random() < 0.3:
         inner = ["<header>" + "".join(inner) + f"<p>{esc(short())}</p></header>"]
-    for _ in range(rng.randint(1, 12)):
+    for _ in range(rng.choice((1, 1, rng.randint(1, 12)))):
         inner.append(paragraph())
         if rng.random() < 0.15:
             inner.append(extra())

@@ -68,7 +68,7 @@ def topological_levels(calls: DataFrame, scratch: Scratch) -> DataFrame:
     up = named.select("conv_id", "call_id", F.when(F.col("parents") == 1, F.col("parent")).otherwise(F.col("call_id")).alias("top"), F.when(F.col("parents") == 1, 1).otherwise(0).cast("long").alias("far"))
     up = scratch.write(up.withColumn("open", F.col("far") > 0), "up")
     limit, done = up.count() + 1, 1
-    while done <= limit:
+    while done <= 2 * limit:  # one round more than the longest chain needs, to see that its top is a root
         above = up.select("conv_id", F.col("call_id").alias("top"), F.col("top").alias("next"), F.col("far").alias("more"))
         joined = up.join(above, ["conv_id", "top"]).select("conv_id", "call_id", F.col("next").alias("top"), (F.col("far") + F.col("more")).alias("far"), (F.col("more") > 0).alias("open"))
         fresh = scratch.write(joined, "up")

@@ -1,0 +1,463 @@
+"""The training-data operators against brute force, library results and SQL, with their edge cases."""
+
+from __future__ import annotations
+
+import hashlib
+import math
+import random
+import re
+from collections import Counter
+
+import numpy as np
+import pytest
+from conftest import plain, same_rows
+from pyspark.sql import functions as F
+
+from litspark.llm import bpe, components, decontamination, html_blocks, html_crf, html_training, license_scan, near_dedup, oph, quality_rules, secret_forest, secret_scan, substring_dedup, token_count, tool_calls, words
+from litspark.llm.common import Scratch
+from litspark.llm.html_extract import extract_pages, main_text
+from litspark.llm.queries import ORACLES, QUERIES
+
+DOCS = "doc_id long, text string, lang string, source string, n_chars long"
+
+
+def docs_of(spark, rows):
+    return spark.createDataFrame([(i, t, "en", "s", len(t or "")) for i, t in rows], DOCS).repartition(3)
+
+
+@pytest.fixture(scope="module")
+def given(spark, sf):
+    return spark.read.parquet(f"{sf}/documents.parquet")
+
+
+@pytest.fixture(scope="module")
+def texts(given):
+    return dict(given.select("doc_id", "text").collect())
+
+
+EDGES = [(None, "a b c d e f"), (1, None), (2, ""), (3, " \n\t "), (4, "one"), (5, "x " * 40_000), (6, "one two three"), (6, "one two three"), (7, "one two three"), (6, "other text with the same id and more words than five")]
+
+
+@pytest.mark.parametrize("name", sorted(ORACLES))
+def test_equals_sql(spark, duck, sf, name):
+    same_rows(QUERIES[name](spark, sf), duck.sql(ORACLES[name]))
+
+
+@pytest.mark.parametrize("name", sorted(n for n in QUERIES if n not in ("op1_tool_call_linking", "op4_simhash_decontamination", "op9_crf_html_extraction")))
+def test_edge_rows_give_one_row_each(spark, tmp_path, name):
+    extra = docs_of(spark, EDGES).withColumns({"tag": F.lit("x"), "key": F.lit(1), "kept": F.lit(None).cast("string"), "doc": F.lit(0), "n": F.lit(1), "grp": F.lit("g")})
+    extra.write.parquet(str(tmp_path / "documents.parquet"))
+    out = QUERIES[name](spark, str(tmp_path))
+    assert out.count() == len(EDGES)
+    extra.limit(0).write.parquet(str(tmp_path / "none/documents.parquet"))
+    assert QUERIES[name](spark, str(tmp_path / "none")).count() == 0
+
+
+# near-duplicates
+
+
+def brute_components(rows):
+    def shingles(text):
+        w = (text or "").encode().lower().split()
+        return frozenset(tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))) if w else frozenset()
+
+    sets = [(i, shingles(t)) for i, t in rows]
+    above = list(range(len(sets)))
+
+    def root(x):
+        while above[x] != x:
+            x = above[x]
+        return x
+
+    for a in range(len(sets)):
+        for b in range(a):
+            x, y = sets[a][1], sets[b][1]
+            if x and y and 100 * len(x & y) >= 75 * len(x | y):
+                above[root(a)] = root(b)
+    low = {}
+    for k, (i, _) in enumerate(sets):
+        low[root(k)] = min(low.get(root(k), i), i)
+    return sorted((i, len(s), low[root(k)], i == low[root(k)]) for k, (i, s) in enumerate(sets))
+
+
+def test_near_duplicates_equal_brute_force(given, texts):
+    got = sorted(tuple(r) for r in near_dedup.near_duplicates(given).drop("tag").collect())
+    assert got == brute_components(sorted(texts.items()))
+
+
+def test_large_star_equals_brute_force(spark):
+    rng = random.Random(3)
+    base = [f"w{rng.randrange(400)}" for _ in range(60)]
+    rows = []
+    for i in range(150):
+        w = list(base)
+        for _ in range(rng.randrange(5)):
+            w[rng.randrange(60)] = f"v{rng.randrange(10_000)}"
+        rows.append((1000 - i, " ".join(w)))
+    got = near_dedup.near_duplicates(docs_of(spark, rows), block=32).drop("tag")
+    assert sorted(tuple(r) for r in got.collect()) == brute_components(rows)
+
+
+def test_near_duplicate_edges(spark):
+    out = {(r.doc_id, r.n_shingles): (r.component_id, r.kept) for r in near_dedup.near_duplicates(docs_of(spark, EDGES)).collect()}
+    assert out[2, 0] == (2, True) and out[1, 0] == (1, True) and out[7, 1] == (6, False) and out[6, 1] == (6, True)
+    assert out[None, 2] == (None, False)
+    assert near_dedup.keep_one(docs_of(spark, EDGES)).count() == len(EDGES) - 3  # a repeated row, its copy, and the row that no id names
+
+
+def test_block_links_equal_pairs():
+    rng = np.random.default_rng(0)
+    sets = [np.unique(rng.choice(60, size=rng.integers(20, 40)).astype(np.uint64)) for _ in range(40)]
+    counts = near_dedup.shared_counts(sets)
+    assert all(counts[i, j] == words.overlap(sets[i], sets[j]) for i in range(40) for j in range(i))
+
+
+def test_densified_bins_keep_the_resemblance():
+    rng = np.random.default_rng(1)
+    pool = words.mix(np.arange(400, dtype=np.uint64) + np.uint64(9))
+    agree = []
+    for _ in range(60):
+        s = rng.permutation(pool)[:50]
+        a, b = np.unique(s[:45]), np.unique(s[5:])
+        x, y = oph.signatures([a, b])
+        agree.append((x == y).mean())
+    assert np.mean(agree) == pytest.approx(40 / 50, abs=0.05)
+
+
+def test_components_both_ways(spark):
+    rng = random.Random(5)
+    pairs = [(rng.randrange(60), rng.randrange(60)) for _ in range(45)] + [(i, i + 1) for i in range(100, 140)] + [(7, 7)]
+    edges = spark.createDataFrame([(a.to_bytes(2, "big"), b.to_bytes(2, "big")) for a, b in pairs], "a binary, b binary").persist()
+    scratch = Scratch(spark, "test")
+    one = sorted(components.connected_components(edges, scratch).collect())
+    assert one == sorted(components.connected_components(edges, scratch, local=0).collect())
+    assert {bytes(r.component) for r in one if r.node >= (100).to_bytes(2, "big")} == {(100).to_bytes(2, "big")}
+
+
+# substring duplicates
+
+
+def brute_windows(rows, width=13):
+    cut = [(i, (t or "").encode().split()) for i, t in rows]
+    first = {}
+    for i, w in sorted(cut, key=lambda x: x[0]):
+        for p in range(len(w) - width + 1):
+            first.setdefault(tuple(w[p : p + width]), i)
+    out = []
+    for i, w in cut:
+        gone = [False] * len(w)
+        for p in range(len(w) - width + 1):
+            if first[tuple(w[p : p + width])] < i:
+                gone[p : p + width] = [True] * width
+        kept = [x for x, g in zip(w, gone) if not g]
+        out.append((i, len(w), sum(gone), hashlib.sha256(b" ".join(kept)).hexdigest()))
+    return sorted(out)
+
+
+def test_substring_dedup_equals_brute_force(spark, given, texts):
+    got = substring_dedup.substring_dedup(given, with_text=False)
+    assert sorted(tuple(r) for r in got.collect()) == brute_windows(sorted(texts.items()))
+    rng = random.Random(2)
+    rows = []
+    for i in range(60):  # few distinct words: many overlapping, repeated and straddling windows
+        w = [rng.choice("ab") for _ in range(rng.randrange(0, 60))]
+        rows.append((rng.randrange(40), " ".join(w)))
+    got = substring_dedup.substring_dedup(docs_of(spark, rows))
+    assert sorted(tuple(r)[:4] for r in got.collect()) == brute_windows(rows)
+
+
+def test_factors_break_and_join():
+    place, doc, ref = (np.array(x) for x in ([4, 5, 6, 8], [1, 1, 2, 2], [0, 1, 7, 9]))
+    starts, long, docs, refs = substring_dedup.factor(place, doc, ref, 13)
+    assert starts.tolist() == [4, 6, 8] and long.tolist() == [14, 13, 13] and docs.tolist() == [1, 2, 2] and refs.tolist() == [0, 7, 9]
+
+
+# byte-pair encoding and token counts
+
+ODD = ["", " ", "\n\n a", "  <|endoftext|>  x <|endoftext|><|endoftext|>", "don't we'll", "é \x1c\x85 ß日本語 😀", "a" * 3000, "the" * 200 + " " * 77, "1234 5,6"]
+
+
+@pytest.fixture(scope="module")
+def library():
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+
+
+def odd_texts():
+    rng = random.Random(4)
+    alphabet = "abc ABC éü ñ'sre 12 \n\t .,!?<|endoftext|>  \x1c\x85᠎😀日本語 'll"
+    return ODD + ["".join(rng.choice(alphabet) for _ in range(rng.randrange(60))) for _ in range(300)] + ["".join(chr(rng.randrange(1, 0xD7FF)) for _ in range(20)) for _ in range(100)]
+
+
+def test_bpe_equals_the_library_and_round_trips(spark, given, library):
+    rows = [(i, t) for i, t in enumerate(odd_texts())]
+    both = docs_of(spark, rows).unionByName(given.withColumn("doc_id", F.col("doc_id") + 10_000))
+    said = dict(both.select("doc_id", "text").collect())
+    for r in bpe.bpe_encode(both).collect():
+        ids = library.encode(said[r.doc_id], add_special_tokens=False).ids
+        assert r.ids == ids and r.n_tokens == len(ids)
+        assert r.ids_sha256 == hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest()
+        assert r.decoded_sha256 == hashlib.sha256(library.decode(ids, skip_special_tokens=False).encode()).hexdigest()
+    decoded = {r.doc_id: r.text for r in bpe.bpe_decode(bpe.bpe_encode(both)).collect()}
+    assert decoded == said
+
+
+def test_trees_of_a_batch_and_of_one_piece_agree():
+    vocab = bpe.vocabulary(bpe.vocabulary_file())
+    rng = random.Random(6)
+    raws = [bytes(rng.choice(b"theringotaesn \xc3\xa9") for _ in range(rng.randrange(1, 60))) for _ in range(400)]
+    assert vocab.merge_all(raws) == [vocab.merge(r) for r in raws]
+
+
+def test_token_counts_equal_the_library(spark, library):
+    rows = [(i, t) for i, t in enumerate(odd_texts())]
+    got = {r.doc_id: r for r in token_count.token_counts(docs_of(spark, rows), limit=50).collect()}
+    for i, t in rows:
+        n = len(library.encode(t, add_special_tokens=False).ids)
+        assert (got[i].n_tokens, got[i].n_bytes, got[i].over_limit) == (n, len(t.encode()), n > 50)
+
+
+def test_chunk_maps_compose(library):
+    counter = token_count.Counter(bpe.vocabulary(bpe.vocabulary_file()))
+    rng = random.Random(7)
+    for t in odd_texts():
+        n = len(library.encode(t, add_special_tokens=False).ids)
+        assert counter.text(t, rng.randrange(1, 15)) == n
+    maps = [counter.map_of(x) for x in ("ab c", "d e ", "  f", "gh", " i")]
+    left = [counter.total(m) for m in token_count.prefix_scan(maps, counter.compose)]
+    whole = ["ab c", "ab cd e ", "ab cd e   f", "ab cd e   fgh", "ab cd e   fgh i"]
+    assert left == [counter.text(t) for t in whole]
+    small = token_count.Transducer(bpe.vocabulary(bpe.vocabulary_file()), limit=200)  # a table that starts anew again and again
+    assert all(small.count(w) == len(bpe.vocabulary(bpe.vocabulary_file()).merge(w)) for w in (b"interesting", b"hello", b"ationally") * 20)
+
+
+# quality rules
+
+
+def test_statistics_equal_plain_python(given, texts):
+    for r in quality_rules.document_statistics(given).collect():
+        t = texts[r.doc_id]
+        w = t.encode().split()
+        grams = Counter(tuple(w[i : i + 8]) for i in range(len(w) - 7))
+        again = [False] * len(w)
+        for i in range(len(w) - 7):
+            if grams[tuple(w[i : i + 8])] > 1:
+                again[i : i + 8] = [True] * 8
+        lines = [x for x in t.split("\n") if x.encode().split()]
+        want = (len(w), sum(len(x.decode()) for x in w), sum(t.count(s) for s in quality_rules.SYMBOLS), len(lines) - len(set(lines)), sum(again))
+        assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == want
+        assert r.base_failed == (want[0] < 20 or 100 * want[4] > 30 * want[0])
+
+
+def plain_mcd(x, cover, steps):
+    """The same concentration steps on one group, in numpy."""
+    scale, p = quality_rules.SCALE, x.shape[1]
+    floor = np.array(quality_rules.FLOORS)
+    low = (x // 16) * 16
+    quantile = lambda v: np.sort(v)[math.ceil(len(v) / 2) - 1]
+    mid = np.array([quantile(low[:, i]) for i in range(p)])
+    mad = np.array([quantile(abs(low[:, i] - mid[i])) for i in range(p)])
+    mean, chol = mid / scale, np.diag(np.sqrt((1.4826 * mad / scale) ** 2 + floor**2))
+    for _ in range(steps + 1):
+        d2 = (np.linalg.solve(chol, (x / scale - mean).T) ** 2).sum(0)
+        bins = np.floor(16 * np.log2(1 + d2))
+        order = np.sort(bins)
+        inside = bins <= order[min(len(order) - 1, math.ceil(cover * len(order)) - 1)]
+        s = x[inside] / scale
+        mean = s.mean(0)
+        cov = (s.T @ s / len(s) - np.outer(mean, mean)) * quality_rules.consistency(cover) + np.diag(floor**2)
+        chol = np.linalg.cholesky(cov)
+    return d2
+
+
+def test_outliers_equal_plain_mcd(spark):
+    rng = np.random.default_rng(8)
+    rows = []
+    for i in range(300):
+        w = ["".join(rng.choice(list("abcdef"), rng.integers(2, 9))) for _ in range(80)]
+        if i % 20 == 0:
+            w = [x + "###" for x in w]
+        rows.append((i, " ".join(w)))
+    docs = docs_of(spark, rows)
+    stats = sorted(quality_rules.document_statistics(docs).collect(), key=lambda r: r.doc_id)
+    want = plain_mcd(np.array([[r.x0, r.x1, r.x2, r.x3] for r in stats]), quality_rules.COVER, quality_rules.STEPS)
+    got = sorted(quality_rules.quality_verdicts(docs).collect(), key=lambda r: r.doc_id)
+    assert np.allclose([r.distance2 for r in got], want, rtol=1e-4, atol=1e-6)
+    assert [r.doc_id for r in got if not r.kept] == list(range(0, 300, 20))
+
+
+def test_small_groups_are_pooled(spark):
+    rows = [(i, " ".join(f"w{i}x{j}" for j in range(30)), "en", f"s{i}", 1) for i in range(60)]
+    assert quality_rules.quality_verdicts(spark.createDataFrame(rows, DOCS)).where("distance2 is not null").count() == 60
+    assert quality_rules.quality_verdicts(spark.createDataFrame(rows[:10], DOCS)).where("kept and distance2 is null").count() == 10
+
+
+# decontamination
+
+
+def test_leaks_equal_brute_force(spark):
+    rng = random.Random(9)
+    vocab = [f"w{i}" for i in range(300)]
+    make = lambda n: [rng.choice(vocab) for _ in range(n)]
+    items = [(i, make(n)) for i, n in enumerate((3, 5, 12, 30, 60, 60))] + [(9, [])]
+    rows = []
+    for d in range(80):
+        w = make(rng.randrange(0, 120))
+        for _ in range(rng.randrange(3)):
+            _, passage = rng.choice(items)
+            p = list(passage)
+            for _ in range(rng.randrange(4)):
+                if p:
+                    at, way = rng.randrange(len(p)), rng.randrange(3)
+                    if way == 0:
+                        p[at] = rng.choice(vocab)
+                    elif way == 1:
+                        del p[at]
+                    else:
+                        p.insert(at, rng.choice(vocab))
+            at = rng.randrange(len(w) + 1)
+            w[at:at] = p
+        rows.append((d, " ".join(w).upper() + "!"))
+    want = {}
+    for d, text in rows:
+        w = text.lower().rstrip("!").split()
+        for i, passage in items:
+            if not passage:
+                continue
+            k, n = min(5, len(passage)), len(passage)
+            gram = lambda x, k=k: Counter(tuple(x[j : j + k]) for j in range(len(x) - k + 1))
+            own, best = gram(passage), 0
+            for s in range(max(1, len(w) - n + 1)):
+                c = gram(w[s : s + n])
+                both = sum((own & c).values())
+                best = max(best, both / (sum(own.values()) + sum(c.values()) - both))
+            if best >= 0.75:
+                want[d, i] = round(best, 6)
+    bench = spark.createDataFrame([(i, " ".join(p)) for i, p in items], "item_id long, text string")
+    got = {(r.doc_id, r.item_id): r.similarity for r in decontamination.leaks(docs_of(spark, rows), bench).collect()}
+    assert got == want and len(want) > 30
+    assert decontamination.leaks(docs_of(spark, EDGES), bench.limit(0)).count() == 0
+    assert decontamination.leaks(docs_of(spark, EDGES), bench).count() == 0
+
+
+# secrets, licences
+
+
+def test_forest_on_held_out_findings(spark):
+    assert secret_forest.accuracy(spark, secret_forest.load(), secret_forest.labelled_findings(1500, 99)) > 0.98
+    grown = secret_forest.train(spark, secret_forest.labelled_findings(800), trees=3, depth=4)
+    assert secret_forest.accuracy(spark, grown, secret_forest.labelled_findings(500, 98)) > 0.9
+    with pytest.raises(ValueError):
+        secret_forest.train(spark, secret_forest.labelled_findings(secret_forest.SAMPLE_ROWS + 1))
+
+
+def test_secrets_go_and_look_alikes_stay(spark):
+    rows = [
+        (1, 'so token = "04dbebab91ab85687d33eeaaf9ac699e1188f962" here, token = "04dbebab91ab85687d33eeaaf9ac699e1188f962".'), (2, "card 4845168114407329 and commit 04dbebab91ab85687d33eeaaf9ac699e1188f962 done"),
+        (3, "path usr/share/doc/erstin/index/12 and eine-lange-wortkette-2024"), (4, None), (5, ""),
+    ]
+    got = {r.doc_id: r for r in secret_scan.scan_secrets(docs_of(spark, rows)).collect()}
+    assert len(got[1].findings) == 2 and "04db" not in got[1].redacted and got[1].redacted.count("[SECRET]") == 2
+    assert all(got[i].findings == [] and got[i].redacted == dict(rows)[i] for i in (2, 3, 4, 5))
+
+
+def test_planted_secrets_are_found(spark):
+    given = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    rows = secret_scan.secret_report(given).join(given.select("doc_id", "text"), "doc_id").collect()
+    planted = [r for r in rows if 'token = "' in r.text.lower()]
+    assert planted and all(r.n_findings for r in planted)
+    assert not any(r.n_findings for r in rows if 'token = "' not in r.text.lower())
+
+
+def test_licence_sequences(spark):
+    s = license_scan.SENTENCES
+    bsd = [s[i] for i in ("bsd_grant", "bsd_source", "bsd_binary")]
+    rows = [
+        (1, "Intro.\n" + "\n".join(bsd)), (2, "\n".join([*bsd, s["bsd_names"]])), (3, "\n".join(reversed(bsd))), (4, s["mit_grant"].replace(" to any", "\nto any") + " " + s["mit_notice"] + "\n" + s["mit_warranty"]),
+        (5, "A licensed driver. Released under the MIT License. Licensed under CC BY 4.0."), (6, None),
+    ]
+    got = {r.doc_id: r.licences for r in license_scan.license_report(docs_of(spark, rows)).collect()}
+    assert got == {1: "BSD-2-Clause", 2: "BSD-3-Clause", 3: "", 4: "MIT", 5: "CC-BY-4.0,MIT", 6: ""}
+
+
+# tool calls
+
+
+def test_tool_calls(spark):
+    calls = spark.createDataFrame(
+        [(1, 1, "a", "f", '{"x": 1, "b":{"z":[1, 2.50],"a":null}}', None), (1, 2, "b", "f", '{"x":"1"}', ["a"]), (1, 3, "c", "f", '{"y":2}', ["a", "b"]), (1, 4, "d", "g", "{", ["d"]), (1, 5, "e", "f", "[1]", ["c", "d"]), (1, 6, "h", "f", '{"x":3,"q":1}', ["c", "b"]), (1, 9, "a", "f", "{}", None), (None, 1, "a", "f", "{}", None), (1, 1, None, "f", "{}", None)],
+        tool_calls.CALLS,
+    )
+    results = spark.createDataFrame([(1, 2, "a", 'ok "q"\n'), (1, 3, "a", "again"), (1, 9, "zz", "lost")], tool_calls.RESULTS)
+    schemas = spark.createDataFrame([("f", "x", "integer", True, True), ("f", "b", "object", False, True)], tool_calls.SCHEMAS)
+    got = {r.call_id: r for r in tool_calls.link_tool_calls(calls, results, schemas).collect()}
+    assert {k: (r.level, r.position, r.problem, r.linked) for k, r in got.items()} == {
+        "a": (0, 0, None, True), "b": (1, 1, "type of x", False), "c": (2, 2, "missing x", False), "h": (3, 3, "unknown q", False),
+        "d": (None, 4, "unknown tool", False), "e": (None, 5, "arguments are no object", False), "zz": (None, None, "orphan result", False),
+    }
+    assert got["a"].n_calls == 2 and got["a"].n_results == 2
+    assert got["a"].json == '{"answered":2,"arguments":{"b":{"a":null,"z":[1,2.5]},"x":1},"call_id":"a","content":"ok \\"q\\"\\n","name":"f","turn":1}'
+    empty = tool_calls.link_tool_calls(calls.limit(0), results.limit(0), schemas)
+    assert empty.count() == 0
+
+
+def test_long_chains_and_recorded_calls(spark):
+    chain = spark.createDataFrame([(1, i, f"c{i}", "f", "{}", [f"c{i - 1}"] if i else []) for i in range(200)], tool_calls.CALLS)
+    levels = tool_calls.topological_levels(chain, Scratch(spark, "test")).collect()
+    assert sorted(r.level for r in levels) == list(range(200))
+    told = spark.createDataFrame([(1, 0, "assistant", '{"tool_calls":[{"id":"k","name":"f","arguments":"{}"}]}'), (1, 1, "tool", '{"tool_call_id":"k","content":"done"}'), (1, 2, "user", None), (2, None, "user", "x")], "conv_id long, turn long, role string, text string")
+    got = {(r.conv_id, r.call_id): r.linked for r in tool_calls.link_tool_calls(*tool_calls.dialogue_events(told)).collect()}
+    assert got == {(1, "k"): True, (1, "turn-2"): False}
+
+
+# pages
+
+
+def test_pages_equal_their_documents(spark, sf, given, texts):
+    out = extract_pages(spark.read.parquet(f"{sf}/pages.parquet")).collect()
+    for r in out:
+        number = int(re.search(r"/(?:en|fr|de|es)/([0-9]+)", r.url)[1])
+        assert r.text == " ".join(texts[number].split()) and r.n_chars == len(r.text)
+
+
+def test_field_on_held_out_pages(texts):
+    rng, said, model = random.Random(77), list(texts.values()), html_crf.Field.load()
+    wrong = total = 0
+    for _ in range(150):
+        blocks, labels = html_training.set_page(rng, said)
+        wrong += sum(a != b for a, b in zip(model.decode(html_crf.features(blocks)), labels))
+        total += len(blocks)
+    assert wrong / total < 0.01
+
+
+def test_viterbi_and_gradient_against_enumeration():
+    import itertools
+
+    rng = random.Random(3)
+    model = html_crf.Field({f"f{i}": rng.uniform(-2, 2) for i in range(6)}, [[rng.uniform(-1, 1) for _ in range(2)] for _ in range(2)])
+    names = [[f"f{rng.randrange(6)}", f"f{rng.randrange(6)}"] for _ in range(6)]
+    scores = model.scores(names)
+    value = lambda y: sum(s for s, k in zip(scores, y) if k) + sum(model.moves[a][b] for a, b in zip(y, y[1:]))
+    every = list(itertools.product((0, 1), repeat=6))
+    assert tuple(model.decode(names)) == max(every, key=value)
+    weight = [math.exp(value(y)) for y in every]
+    single, _ = model._marginals(scores)
+    for i in range(6):
+        assert single[i] == pytest.approx(sum(w for w, y in zip(weight, every) if y[i]) / sum(weight))
+    fitted = html_crf.Field().fit(html_training.labelled_pages("/root/testdata/sf0.001", 40), epochs=3)
+    blocks, labels = html_training.set_page(random.Random(5), ["some text of a page that is long enough"])
+    assert sum(a == b for a, b in zip(fitted.decode(html_crf.features(blocks)), labels)) / len(labels) > 0.8
+
+
+def test_page_edges():
+    model = html_crf.Field.load()
+    assert main_text(None, model) == main_text("", model) == main_text("<script>x</script>", model) == ""
+    page = '<body><nav><a href="/">menu</a></nav><article><h1>T</h1><p>One &amp;\n two&#233;<p>Three <i>fo</i>ur</article><div class="comments"><p>first!</p></div><form><p>mail</p></form><footer>f</footer>'
+    assert main_text(page, model) == "One & twoé Three four"
+    assert [b.text for b in html_blocks.leaf_blocks("<p>a<p>b<!-- c --><br>d</p")] == ["a", "b", "d</p"]
+
+
+def test_plain_is_symmetric():
+    assert plain(float("nan")) is None
