@@ -9,6 +9,7 @@ neighbours, a text's vector the normalised mean of its tokens'.
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -106,12 +107,7 @@ def with_pooled(df: DataFrame, text: str, key: str, spec: EncoderSpec, adapter:
     held = df.sparkSession.sparkContext.broadcast((spec, adapter, idf))
 
     def encode(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import pickle
-
-        spec_, adapter_, idf_ = held.value
-        if not warm:
-            REGISTRY.drop()
-        encoder = REGISTRY.get(_encoder, pickle.dumps((spec_, adapter_, idf_)))
+        encoder = worker_encoder(held.value, warm)
         for batch in rows:
             vectors = encoder.pooled([t or "" for t in batch.column("text").to_pylist()]).astype(np.float32)
             flat = pa.array(vectors.ravel(), pa.float32())
@@ -122,24 +118,33 @@ def with_pooled(df: DataFrame, text: str, key: str, spec: EncoderSpec, adapter:
 
 
 def _encoder(state: bytes) -> Encoder:
-    import pickle
-
     return Encoder(*pickle.loads(state))
 
 
+def worker_encoder(state: tuple, warm: bool = True) -> Encoder:
+    """The encoder of this worker process.
+
+    A function of the module, so that tasks reach the registry of their process:
+    one named inside a shipped closure would be copied into every task.
+    """
+    if not warm:
+        REGISTRY.drop()
+    return REGISTRY.get(_encoder, pickle.dumps(state))
+
+
+def worker_trace() -> tuple[int, int, int, float]:
+    return REGISTRY.trace()
+
+
 def registry_trace(df: DataFrame, spec: EncoderSpec, warm: bool = True) -> DataFrame:
     """One row per task: process, loads and hits so far in it, seconds spent loading."""
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         n = 0
-        if not warm:
-            REGISTRY.drop()
-        import pickle
-
-        encoder = REGISTRY.get(_encoder, pickle.dumps((spec, None, None)))
+        encoder = worker_encoder((spec, None, None), warm)
         for batch in rows:
             n += len(encoder.pooled([t or "" for t in batch.column("text").to_pylist()]))
-        pid, loads, hits, seconds = REGISTRY.trace()
+        pid, loads, hits, seconds = worker_trace()
         yield pa.RecordBatch.from_arrays([pa.array([x]) for x in (pid, loads, hits, seconds, n)], ["process", "loads", "hits", "load_seconds", "texts"])
 
     return df.select(F.col("text").cast("string").alias("text")).mapInArrow(run, "process long, loads long, hits long, load_seconds double, texts long")
