@@ -28,6 +28,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from litspark.llm.common import text_batches
+
 #: Pieces remembered by one Python worker; the table starts anew when full.
 PIECE_MEMORY = 250_000
 #: Rows encoded in one go.
@@ -285,6 +287,7 @@ def _encoded(rows: Iterator[pa.RecordBatch], source: str, with_ids: bool) -> Ite
 
 def bpe_encode(docs: DataFrame, path: str | None = None, with_ids: bool = True) -> DataFrame:
     """One row per row of ``docs(doc_id, text)``: doc_id, n_tokens, ids_sha256, decoded_sha256 and the ids."""
+    text_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(vocabulary_file(path))
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string" + ", ids array<int>" * with_ids

@@ -7,13 +7,11 @@ import tempfile
 import uuid
 
 from pyspark import StorageLevel
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Rows of a side that may be broadcast; a row here is one or two longs or a short key.
 BROADCAST_ROWS = 1_000_000
-#: White space between words, as a Java character class.
-SPACE = r"[ \t-\r]"
 
 _held: list[DataFrame] = []
 
@@ -94,14 +92,19 @@ def small(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if df.limit(limit + 1).count() <= limit else df
 
 
-def text_column(df: DataFrame, name: str = "text") -> Column:
-    """The text as a string, null as empty."""
-    return F.coalesce(df[name].cast("string"), F.lit(""))
+#: Rows of texts or pages in one Arrow batch between the JVM and a Python worker.
+TEXT_ROWS = 1000
 
 
-def tokens(text: Column) -> Column:
-    """Words ``[^\\x20\\x09-\\x0D]+`` of a string column, in order."""
-    return F.filter(F.split(text, SPACE + "+"), lambda w: w != "")
+def text_batches(spark: SparkSession, rows: int = TEXT_ROWS) -> None:
+    """Bound Arrow batches for wide rows: both sides hold a batch, and its buffers double while they grow.
+
+    This is a runtime setting of the session; it is only ever lowered.
+    """
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(key))
+    if now <= 0 or now > rows:
+        spark.conf.set(key, rows)
 
 
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:

@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from litspark.llm.common import text_batches
 from litspark.llm.html_blocks import leaf_blocks
 from litspark.llm.html_crf import Field, features
 
@@ -39,6 +40,7 @@ def _extracted(rows: Iterator[pa.RecordBatch], model: Field) -> Iterator[pa.Reco
 
 def extract_pages(pages: DataFrame, model: Field | None = None) -> DataFrame:
     """One row per row of ``pages(page_id, url, html)``: page_id, url, text, n_chars."""
+    text_batches(pages.sparkSession)
     shared = pages.sparkSession.sparkContext.broadcast(model or Field.load())
     source = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
     return source.mapInArrow(lambda rows: _extracted(rows, shared.value), "page_id long, url string, text string, n_chars long")

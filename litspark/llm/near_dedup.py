@@ -37,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from litspark.llm.common import Scratch, drop_rows, small
+from litspark.llm.common import Scratch, drop_rows, small, text_batches
 from litspark.llm.components import connected_components
 from litspark.llm.oph import band_hashes, signatures
 from litspark.llm.words import overlap, set_digest, shingle_set
@@ -164,6 +164,7 @@ def _blocks(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
 
 def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARITY, block: int = BLOCK) -> DataFrame:
     """One row per row of ``docs(doc_id, text)``: doc_id, n_shingles, component_id, kept, and tag, the hash of the text."""
+    text_batches(docs.sparkSession)
     scratch = Scratch(docs.sparkSession, "near")
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("tag", F.xxhash64("text"))
     schema = "doc_id long, tag long, n_shingles long, key binary, bands array<long>"

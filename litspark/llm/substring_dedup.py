@@ -36,7 +36,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from litspark.llm.common import Scratch, small
+from litspark.llm.common import Scratch, small, text_batches
 from litspark.llm.words import hash_words, set_digest, split_words, window_hashes
 
 WIDTH = 13
@@ -160,6 +160,7 @@ def duplicate_factors(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, scr
     of that word sequence); factors: doc, digest, starts, lengths, ref_docs,
     ref_starts, for the first document of each sequence.
     """
+    text_batches(docs.sparkSession)
     scratch = scratch or Scratch(docs.sparkSession, "substring")
     profiles = scratch.write(docs.mapInArrow(lambda rows: _profiles(rows, width, gram), "doc long, tag long, digest binary, n long, anchors array<long>"), "profiles")
     classes = profiles.groupBy("digest").agg(F.min(F.struct("doc", "tag")).alias("who"), F.first("anchors").alias("anchors"))

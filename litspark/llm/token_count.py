@@ -31,6 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from litspark.llm.bpe import Vocabulary, sliced, vocabulary, vocabulary_file
+from litspark.llm.common import text_batches
 
 CHUNK = 16_384
 #: Compiled transitions and remembered pieces and pairs of one worker; a full table starts anew.
@@ -206,6 +207,7 @@ def _counted(rows: Iterator[pa.RecordBatch], source: str, limit: int) -> Iterato
 
 def token_counts(docs: DataFrame, path: str | None = None, limit: int = LIMIT) -> DataFrame:
     """One row per row of ``docs(doc_id, text)``: doc_id, n_bytes, n_tokens, over_limit."""
+    text_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(vocabulary_file(path))
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.octet_length(text).cast("long").alias("n_bytes"), text.alias("text"))
