@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 BROADCAST_ROWS = 1_000_000
 
 _held: list[DataFrame] = []
+_open: list["Scratch"] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -35,6 +36,7 @@ class Scratch:
         self.root = f"{shared_folder(spark)}/scratch/{name}-{uuid.uuid4().hex}"
         self.count = 0
         self.paths: dict[int, str] = {}
+        _open.append(self)
         atexit.register(_remove, spark, self.root)
 
     def write(self, df: DataFrame, label: str = "t") -> DataFrame:
@@ -64,10 +66,13 @@ class Scratch:
                 _remove(self.spark, path)
 
 
-def release() -> None:
-    """Give back what operators hold on executor disks; results already written do not need it."""
+def release(*keep: Scratch) -> None:
+    """Give back the tables of operators, but for those of ``keep``, once their results are written elsewhere."""
     while _held:
         _held.pop().unpersist()
+    for scratch in [s for s in _open if s not in keep]:
+        _remove(scratch.spark, scratch.root)
+        _open.remove(scratch)
 
 
 def drop_rows(docs: DataFrame, gone: DataFrame) -> DataFrame:

@@ -13,9 +13,11 @@ from litspark.llm.html_extract import ORACLE as PAGES_ORACLE
 from litspark.llm.html_extract import extract_pages
 from litspark.llm.license_scan import license_report
 from litspark.llm.license_scan import oracle as license_oracle
+from litspark.llm.near_dedup import ORACLE as NEAR_ORACLE
 from litspark.llm.near_dedup import near_duplicates
 from litspark.llm.quality_rules import quality_verdicts
 from litspark.llm.secret_scan import secret_report
+from litspark.llm.substring_dedup import ORACLE as SUBSTRING_ORACLE
 from litspark.llm.substring_dedup import substring_dedup
 from litspark.llm.token_count import token_counts
 from litspark.llm.tool_calls import ORACLE as DIALOGUE_ORACLE
@@ -77,6 +79,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 ORACLES: dict[str, str] = {
     "op1_tool_call_linking": DIALOGUE_ORACLE,
+    "op5_minhash_near_dedup": NEAR_ORACLE,
     "op7_license_rules": license_oracle(),
     "op9_crf_html_extraction": PAGES_ORACLE,
+    "op10_rlz_substring_dedup": SUBSTRING_ORACLE,
 }

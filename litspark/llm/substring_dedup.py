@@ -203,3 +203,15 @@ def substring_dedup(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_
     joined = source.join(small(acted), ["doc", "tag"], "left").select("doc_id", "text", F.coalesce("whole", F.lit(False)).alias("whole"), "starts", "lengths")
     schema = "doc_id long, n_words long, n_removed long, kept_sha256 string" + ", kept_text string" * with_text
     return joined.mapInArrow(lambda rows: _cut(rows, with_text), schema)
+
+
+#: DuckDB SQL of the query's result on ``documents``: the smallest document of every window, and the words that windows cover.
+ORACLE = r"""
+WITH w AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+p AS (SELECT doc_id, i, array_to_string(w[i : i + 12], ' ') AS g FROM (SELECT doc_id, w, unnest(range(1, len(w) - 11)) AS i FROM w WHERE len(w) >= 13)),
+f AS (SELECT g, min(doc_id) AS low FROM p GROUP BY g),
+d AS (SELECT p.doc_id, list(DISTINCT p.i) AS starts FROM p JOIN f ON p.g = f.g AND f.low < p.doc_id GROUP BY p.doc_id),
+c AS (SELECT doc_id, list_distinct(flatten(list_transform(starts, lambda s: range(s, s + 13)))) AS gone FROM d),
+k AS (SELECT w.doc_id, w, CASE WHEN gone IS NULL THEN w ELSE list_transform(list_filter(range(1, len(w) + 1), lambda i: NOT list_contains(gone, i)), lambda i: w[i]) END AS kept FROM w LEFT JOIN c USING (doc_id))
+SELECT doc_id, len(w)::BIGINT AS n_words, (len(w) - len(kept))::BIGINT AS n_removed, sha256(array_to_string(kept, ' ')) AS kept_sha256 FROM k
+"""
