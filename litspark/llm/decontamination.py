@@ -135,3 +135,15 @@ def leaks(docs: DataFrame, benchmark: DataFrame, percent: int = SIMILARITY) -> D
     good = checked.where(f"100 * both >= {percent} * either").withColumn("similarity", F.round(F.col("both") / F.col("either"), 6))
     best = F.min(F.struct((-F.col("similarity")).alias("down"), "start_word", "n_words")).alias("best")
     return good.groupBy("doc_id", "tag", "item_id").agg(best).select("doc_id", "tag", "item_id", "best.start_word", "best.n_words", (-F.col("best.down")).alias("similarity"))
+
+
+#: DuckDB SQL of the leaks of items of at least five words in ``documents``: every window of every document that shares enough.
+ORACLE = r"""
+WITH i AS (SELECT item_id, w, list_transform(range(1, len(w) - 3), lambda k: array_to_string(w[k : k + 4], ' ')) AS g FROM (SELECT DISTINCT item_id, regexp_extract_all(lower(coalesce(text, '')), '[\p{L}\p{N}]+') AS w FROM benchmark) WHERE len(w) >= 5),
+d AS (SELECT doc_id, len(w) AS n, list_transform(range(1, len(w) - 3), lambda k: array_to_string(w[k : k + 4], ' ')) AS g FROM (SELECT DISTINCT doc_id, regexp_extract_all(lower(coalesce(text, '')), '[\p{L}\p{N}]+') AS w FROM documents) WHERE len(w) >= 5),
+met AS (SELECT doc_id, item_id FROM (SELECT doc_id, unnest(g) AS x, generate_subscripts(g, 1) AS place FROM d) JOIN (SELECT DISTINCT item_id, len(g) AS size, unnest(g) AS x FROM i) USING (x) GROUP BY doc_id, item_id, size HAVING 100 * count(DISTINCT place) >= 75 * size),
+cut AS (SELECT doc_id, item_id, s::INT AS start_word, least(n, len(w))::INT AS n_words, i.g AS a, d.g[s + 1 : s + len(w) - 4] AS b FROM met JOIN i USING (item_id) JOIN d USING (doc_id), LATERAL (SELECT unnest(range(0, greatest(n - len(w), 0) + 1)) AS s)),
+sim AS (SELECT doc_id, item_id, start_word, n_words, len(a) + len(b) AS total, list_sum(list_transform(list_distinct(a), lambda x: least(len(list_filter(a, lambda y: y = x)), len(list_filter(b, lambda y: y = x))))) AS shared FROM cut)
+SELECT doc_id, item_id, arg_min(start_word, (-round(shared / (total - shared), 6), start_word)) AS start_word, min(n_words)::INT AS n_words, max(round(shared / (total - shared), 6)) AS similarity
+FROM sim WHERE 100 * shared >= 75 * (total - shared) GROUP BY doc_id, item_id
+"""

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from litspark.llm.bpe import bpe_encode
 from litspark.llm.common import read
+from litspark.llm.decontamination import ORACLE as LEAKS_ORACLE
 from litspark.llm.decontamination import leaks
 from litspark.llm.html_extract import ORACLE as PAGES_ORACLE
 from litspark.llm.html_extract import extract_pages
@@ -79,6 +80,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 
 ORACLES: dict[str, str] = {
     "op1_tool_call_linking": DIALOGUE_ORACLE,
+    "op4_simhash_decontamination": LEAKS_ORACLE,
     "op5_minhash_near_dedup": NEAR_ORACLE,
     "op7_license_rules": license_oracle(),
     "op9_crf_html_extraction": PAGES_ORACLE,

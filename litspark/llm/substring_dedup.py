@@ -89,7 +89,7 @@ def _profiles(rows: Iterator[pa.RecordBatch], width: int, gram: int) -> Iterator
 
 def _windows(rows: Iterator[pa.RecordBatch], width: int, gram: int) -> Iterator[pa.RecordBatch]:
     for batch in _sliced(rows):
-        found, places = [], []
+        found, places, more = [], [], []
         for text, shared in zip(batch.column("text").to_pylist(), batch.column("shared")):
             hashes = hash_words(split_words(text))
             at = np.flatnonzero(np.isin(anchors(hashes, width, gram), shared.values.to_numpy().view(np.uint64)))
@@ -98,10 +98,12 @@ def _windows(rows: Iterator[pa.RecordBatch], width: int, gram: int) -> Iterator[
             own, at = own[order], at[order]
             fresh = np.flatnonzero(np.append(True, own[1:] != own[:-1])) if len(own) else np.empty(0, np.int64)
             found.append(own[fresh].view(np.int64))
-            places.append(_lists(np.split(at.astype(np.int32), fresh[1:]) if len(own) else [], pa.int32()))
-        ends = np.cumsum([0, *map(len, places)]).astype(np.int32)
-        nested = pa.ListArray.from_arrays(pa.array(ends), pa.concat_arrays(places))
-        yield pa.RecordBatch.from_arrays([batch.column("doc"), batch.column("digest"), _lists(found, pa.int64()), nested], ["doc", "digest", "hashes", "places"])
+            places.append(at[fresh].astype(np.int32))
+            runs = np.split(at.astype(np.int32), fresh[1:]) if len(own) else []
+            more.append([r[1:].tolist() if len(r) > 1 else None for r in runs])
+        yield pa.RecordBatch.from_arrays(
+            [batch.column("doc"), batch.column("name"), _lists(found, pa.int64()), _lists(places, pa.int32()), pa.array(more, pa.list_(pa.list_(pa.int32())))], ["doc", "name", "hashes", "places", "more"]
+        )
 
 
 def factor(places: np.ndarray, docs: np.ndarray, starts: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
@@ -120,12 +122,15 @@ def _factors(rows: Iterator[pa.RecordBatch], width: int) -> Iterator[pa.RecordBa
         parsed = []
         for refs in batch.column("refs"):
             held = refs.values
-            spots = held.field("places")
-            times = spots.value_lengths().to_numpy()
-            parsed.append(factor(spots.flatten().to_numpy(), np.repeat(held.field("ref_doc").to_numpy(), times), np.repeat(held.field("ref_place").to_numpy(), times), width))
+            place, doc, start, more = (held.field(c) for c in ("place", "ref_doc", "ref_place", "more"))
+            place, doc, start = place.to_numpy(), doc.to_numpy(), start.to_numpy()
+            if more.null_count < len(more):  # windows that the document repeats
+                times = more.value_lengths().fill_null(0).to_numpy()
+                place, doc, start = np.append(place, more.flatten().to_numpy()), np.append(doc, np.repeat(doc, times)), np.append(start, np.repeat(start, times))
+            parsed.append(factor(place, doc, start, width))
         yield pa.RecordBatch.from_arrays(
-            [batch.column("doc"), batch.column("digest"), *(_lists([p[i] for p in parsed], k) for i, k in enumerate((pa.int32(), pa.int32(), pa.int64(), pa.int32())))],
-            ["doc", "digest", "starts", "lengths", "ref_docs", "ref_starts"],
+            [batch.column("digest"), *(_lists([p[i] for p in parsed], k) for i, k in enumerate((pa.int32(), pa.int32(), pa.int64(), pa.int32())))],
+            ["digest", "starts", "lengths", "ref_docs", "ref_starts"],
         )
 
 
@@ -157,7 +162,7 @@ def duplicate_factors(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, scr
     """(rows, classes, factors) of ``docs(doc, tag, text)``.
 
     rows: doc, tag, digest, n of every row; classes: digest, first (smallest doc
-    of that word sequence); factors: doc, digest, starts, lengths, ref_docs,
+    of that word sequence); factors: digest, starts, lengths, ref_docs,
     ref_starts, for the first document of each sequence.
     """
     text_batches(docs.sparkSession)
@@ -166,23 +171,26 @@ def duplicate_factors(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, scr
     classes = profiles.groupBy("digest").agg(F.min(F.struct("doc", "tag")).alias("who"), F.first("anchors").alias("anchors"))
     classes = scratch.write(classes.select("digest", F.col("who.doc").alias("first"), F.col("who.tag").alias("tag"), "anchors"), "classes")
     rows = profiles.select("doc", "tag", "digest", "n")
-    spread = classes.select("digest", "first", "tag", F.explode("anchors").alias("anchor"))
+    # (first, name) tells classes apart; name is 0 but where two sequences share a doc_id
+    twice = scratch.hold(classes.groupBy("first").agg(F.count("*").alias("count")).where("count > 1").select("first"))
+    named = classes.join(small(twice.withColumn("again", F.lit(True))), "first", "left").withColumn("name", F.when(F.col("again"), F.xxhash64("digest")).otherwise(F.lit(0).cast("long"))).drop("again")
+    spread = named.select("name", "first", "tag", F.explode("anchors").alias("anchor"))
     shared = scratch.hold(spread.groupBy("anchor").agg(F.min("first").alias("low"), F.max("first").alias("high")).where("low <> high").select("anchor"))
     holders = scratch.hold(
-        spread.join(small(shared, BROADCAST_ANCHORS), "anchor", "left_semi").groupBy("digest", "first", "tag").agg(F.collect_list("anchor").alias("shared"))
+        spread.join(small(shared, BROADCAST_ANCHORS), "anchor", "left_semi").groupBy("name", "first", "tag").agg(F.collect_list("anchor").alias("shared"))
     )
     many = holders.agg(F.sum(F.size("shared"))).first()[0] or 0
-    side = holders.select(F.col("first").alias("doc"), "tag", "digest", "shared")
-    again = docs.join(F.broadcast(side) if many <= BROADCAST_ANCHORS else side, ["doc", "tag"]).select("doc", "digest", "text", "shared")
-    windows = scratch.write(again.mapInArrow(lambda rows: _windows(rows, width, gram), "doc long, digest binary, hashes array<long>, places array<array<int>>"), "windows")
-    spots = windows.select("doc", F.xxhash64("digest").alias("name"), F.explode(F.arrays_zip("hashes", "places")).alias("w"))
-    spots = spots.select("doc", "name", F.col("w.hashes").alias("hash"), F.col("w.places").alias("places"))
-    index = spots.groupBy("hash").agg(F.min("doc").alias("ref_doc"), F.max("doc").alias("high"), F.min(F.struct("doc", F.get("places", F.lit(0)).alias("place")))["place"].alias("ref_place"))
-    refs = spots.join(index.where("ref_doc <> high").drop("high"), "hash").where("ref_doc < doc")
-    refs = refs.groupBy("doc", "name").agg(F.collect_set(F.struct("places", "ref_doc", "ref_place")).alias("refs"))
-    names = classes.select(F.col("first").alias("doc"), F.xxhash64("digest").alias("name"), "digest")
-    factors = refs.join(names, ["doc", "name"]).select("doc", "digest", "refs")
-    factors = scratch.write(factors.mapInArrow(lambda rows: _factors(rows, width), "doc long, digest binary, starts array<int>, lengths array<int>, ref_docs array<long>, ref_starts array<int>"), "factors")
+    side = holders.select(F.col("first").alias("doc"), "tag", "name", "shared")
+    again = docs.join(F.broadcast(side) if many <= BROADCAST_ANCHORS else side, ["doc", "tag"]).select("doc", "name", "text", "shared")
+    kept = "doc long, name long, hashes array<long>, places array<int>, more array<array<int>>"
+    windows = scratch.write(again.mapInArrow(lambda rows: _windows(rows, width, gram), kept), "windows")
+    spots = windows.select("doc", "name", F.explode(F.arrays_zip("hashes", "places", "more")).alias("w"))
+    spots = spots.select("doc", "name", F.col("w.hashes").alias("hash"), F.col("w.places").alias("place"), F.col("w.more").alias("more"))
+    index = spots.groupBy("hash").agg(F.min(F.struct("doc", "place")).alias("ref"), F.max("doc").alias("high")).where("ref.doc <> high")
+    refs = spots.join(index.select("hash", F.col("ref.doc").alias("ref_doc"), F.col("ref.place").alias("ref_place")), "hash").where("ref_doc < doc")
+    refs = refs.groupBy("doc", "name").agg(F.collect_set(F.struct("place", "ref_doc", "ref_place", "more")).alias("refs"))
+    factors = refs.join(named.select(F.col("first").alias("doc"), "name", "digest"), ["doc", "name"]).select("digest", "refs")
+    factors = scratch.write(factors.mapInArrow(lambda rows: _factors(rows, width), "digest binary, starts array<int>, lengths array<int>, ref_docs array<long>, ref_starts array<int>"), "factors")
     return rows, classes.select("digest", "first"), factors
 
 
