@@ -62,6 +62,12 @@ def _batch(spark, sf_dir):
     return v.where("id % 2 = 0").join(docs, "id").select(F.pmod(F.floor(F.col("id") / 2), F.lit(4)).cast("int").alias("rank"), F.col("id").alias("pos"), F.col("vector").alias("query"), "document")
 
 
+def _maxsim_pairs(spark, sf_dir):
+    """Late interaction of each question with its own document."""
+    score = index.maxsim_column(index.token_matrix(F.col("query"), WIDTH), index.token_matrix(F.col("document"), WIDTH))
+    return _batch(spark, sf_dir).select("pos", F.round(score, 6).alias("maxsim"))
+
+
 def _loss(function, **more):
     def query(spark, sf_dir):
         out = function(_batch(spark, sf_dir), **more)
@@ -154,6 +160,7 @@ QUERIES = {
     "ann_recall": _recall,
     "late_interaction_rerank": _rerank,
     "maxsim_full_small": _full,
+    "maxsim_pairs": _maxsim_pairs,
     "embedding_label_agreement": _purity,
     "contrastive_loss_local": _loss(losses.contrastive, gather=False),
     "contrastive_loss_gathered": _loss(losses.contrastive),
@@ -170,6 +177,7 @@ ORACLES = {
     "knn_ivf": f"WITH {_ivf_ctes} {_rank('s')}",
     "knn_lsh": f"WITH {_lsh_ctes} {_rank('s')}",
     "late_interaction_rerank": f"WITH {_base}, s AS (SELECT query_id, id, {_cos('qv', 'vector')} AS s FROM q, v), {_top}, t AS (SELECT f.query_id, f.id, {_maxsim('qv', 'vector')} AS s FROM first f JOIN q USING (query_id) JOIN v ON v.id = f.id) {_rank('t')}",
+    "maxsim_pairs": f"WITH {_loss_base} SELECT pos, round({_maxsim('q', 'd')}, 6) AS maxsim FROM batch",
     "maxsim_full_small": f"WITH {_base}, s AS (SELECT query_id, id, {_maxsim('qv', 'vector')} AS s FROM q, v) {_rank('s')}",
     "embedding_label_agreement": f"WITH {_base}, s AS (SELECT query_id, id, {_cos('qv', 'vector')} AS s FROM q, v), n AS (SELECT * FROM ({_rank('s', K + 1)}) WHERE query_id <> id) SELECT count(*) AS neighbours, sum((a.label = b.label)::INT)::BIGINT AS agree FROM n JOIN embeddings a ON a.vec_id = n.id JOIN embeddings b ON b.vec_id = n.query_id",
     "contrastive_loss_local": f"WITH {_cl(False)} SELECT rank, round(loss, 4) AS loss, pairs FROM cl",

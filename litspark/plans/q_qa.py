@@ -246,13 +246,23 @@ _held = f"""WITH {QUESTIONS}, {_clusters}, tq AS (SELECT {_num} AS query_id, que
 dv AS {_dense('cn', 'cid', 'text', DIMS)}, qv AS {_dense('tq', 'query_id', 'question', DIMS)}, {_ranked(20)},
 per AS (SELECT query_id, min(rank) FILTER (id = query_id) AS best FROM tq LEFT JOIN ranked USING (query_id) GROUP BY query_id)"""
 
+def q_graded_precision(spark, sf_dir):
+    return _measure_graded(10)(spark, sf_dir).select("queries", "precision")
+
+
+def q_graded_mrr(spark, sf_dir):
+    return _measure_graded(10)(spark, sf_dir).select("queries", "mrr")
+
+
 QUERIES = {
+    "graded_p10": q_graded_precision, "graded_mrr10": q_graded_mrr,
     "interaction_qa": _interaction, "function_qa": _function, "cloze_qa": _cloze, "yesno_qa": _yesno, "fulltext_qa": _fulltext, "fact_passages": _facts,
     "graded_set": _graded, "graded_questions": _graded_questions, "graded_validation": q_validate, "graded_p10_mrr10": _measure_graded(10), "graded_p20": _measure_graded(20),
     "heldout_mrr20": q_mrr20, "heldout_top20": q_top20, "rag_answers_small": q_small, "rag_answers_large": q_large, "no_retrieval_answers": q_control,
     "qa_accuracy_grid": q_grid, "fit_hybrid": q_fit, "fit_ablation_table": q_ablation, "registry_trace": q_registry,
 }
 ORACLES = {
+    "graded_p10": f"SELECT queries, precision FROM ({_graded_measures(10)})", "graded_mrr10": f"SELECT queries, mrr FROM ({_graded_measures(10)})",
     "interaction_qa": f"WITH {_inter}, {_choice('src')}", "function_qa": f"WITH {_func}, {_choice('src')}", "fact_passages": f"WITH {_fact} SELECT passage_id, text FROM facts",
     "cloze_qa": f"""WITH {_rarest(1)}, k AS (SELECT item_id, words[1] AS word FROM rare),
 src AS (SELECT b.item_id, array_to_string(list_transform({sql_tokens('text')}, lambda z: CASE WHEN z = word THEN '_' ELSE z END), ' ') AS question, word AS truth,
