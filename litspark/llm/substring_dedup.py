@@ -168,16 +168,18 @@ def duplicate_factors(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, scr
     text_batches(docs.sparkSession)
     scratch = scratch or Scratch(docs.sparkSession, "substring")
     profiles = scratch.write(docs.mapInArrow(lambda rows: _profiles(rows, width, gram), "doc long, tag long, digest binary, n long, anchors array<long>"), "profiles")
-    classes = profiles.groupBy("digest").agg(F.min(F.struct("doc", "tag")).alias("who"), F.first("anchors").alias("anchors"))
-    classes = scratch.write(classes.select("digest", F.col("who.doc").alias("first"), F.col("who.tag").alias("tag"), "anchors"), "classes")
+    classes = profiles.groupBy("digest").agg(F.min(F.struct("doc", "tag")).alias("who"))
+    classes = scratch.write(classes.select("digest", F.col("who.doc").alias("first"), F.col("who.tag").alias("tag")), "classes")
     rows = profiles.select("doc", "tag", "digest", "n")
     # (first, name) tells classes apart; name is 0 but where two sequences share a doc_id
     twice = scratch.hold(classes.groupBy("first").agg(F.count("*").alias("count")).where("count > 1").select("first"))
     named = classes.join(small(twice.withColumn("again", F.lit(True))), "first", "left").withColumn("name", F.when(F.col("again"), F.xxhash64("digest")).otherwise(F.lit(0).cast("long"))).drop("again")
-    spread = named.select("name", "first", "tag", F.explode("anchors").alias("anchor"))
+    # anchors stay in the profiles: the first row of each class is picked there
+    picked = profiles.select("doc", "tag", "anchors").join(small(named.select(F.col("first").alias("doc"), "tag", "name")), ["doc", "tag"])
+    spread = picked.select("name", F.col("doc").alias("first"), "tag", F.explode("anchors").alias("anchor"))
     shared = scratch.hold(spread.groupBy("anchor").agg(F.min("first").alias("low"), F.max("first").alias("high")).where("low <> high").select("anchor"))
     holders = scratch.hold(
-        spread.join(small(shared, BROADCAST_ANCHORS), "anchor", "left_semi").groupBy("name", "first", "tag").agg(F.collect_list("anchor").alias("shared"))
+        spread.join(small(shared, BROADCAST_ANCHORS), "anchor", "left_semi").groupBy("name", "first", "tag").agg(F.collect_set("anchor").alias("shared"))
     )
     many = holders.agg(F.sum(F.size("shared"))).first()[0] or 0
     side = holders.select(F.col("first").alias("doc"), "tag", "name", "shared")
