@@ -16,10 +16,15 @@ linked, and a component keeps its smallest doc_id.
 4. Stars of several blocks that still hold classes of different components get
    further rounds: ``DRAWS`` members of the largest component and two of any,
    drawn by hash anew, are centres for the classes outside that component.
-   Rounds end when one adds no link.
+   Rounds end when one adds no link; they only make the last step small.
+5. Stars that still hold several components are compared in full: every class
+   outside the largest component meets every class of another component whose
+   size allows the threshold, in tasks of two parts of about ``BLOCK`` classes.
 
 At the threshold two sets share none of the 32 bands with a probability of
-5e-6.  Nothing is capped or sampled; counts of pairs are linear in members.
+5e-6.  Nothing is capped or sampled: all pairs that share a bucket are joined or
+compared.  Pairs are linear in members but for step 5, whose work is the classes
+outside a star's largest component times the classes of the star.
 
 Edge cases: a null or empty text has the empty set and is linked with nothing
 (its own component); a null doc_id takes part but is never a component's id
@@ -110,9 +115,10 @@ def shared_counts(sets: list[np.ndarray]) -> np.ndarray:
     return out.astype(np.int64)
 
 
-def spanning_links(sets: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
-    """Links that join all members of a block that are linked at all; pairs already joined are passed over."""
-    above = list(range(len(sets)))
+def spanning_links(sets: list[np.ndarray], percent: int, labels: list | None = None) -> list[tuple[int, int]]:
+    """Links that join all members of a block that are linked at all; pairs already joined, by equal labels too, are passed over."""
+    first: dict = {}
+    above = [first.setdefault(c, i) for i, c in enumerate(labels)] if labels else list(range(len(sets)))
     sizes = [len(x) for x in sets]
     counts = shared_counts(sets) if len(sets) > 12 else None
 
@@ -162,6 +168,52 @@ def _blocks(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordB
         yield links()
 
 
+def _crossed(rows: Iterator[pa.RecordBatch], percent: int) -> Iterator[pa.RecordBatch]:
+    """Links between components inside each task (star, low, high) of rows sorted by task."""
+    names, sets, labels, now = [], [], [], None
+
+    def links() -> pa.RecordBatch:
+        found = spanning_links(sets, percent, labels) if len(set(labels)) > 1 else []
+        return pa.RecordBatch.from_arrays([pa.array([names[i] for i, _ in found], pa.binary()), pa.array([names[j] for _, j in found], pa.binary())], ["a", "b"])
+
+    for batch in rows:
+        for star, low, high, node, component, members in zip(*(batch.column(c).to_pylist() for c in ("star", "low", "high", "node", "component", "members"))):
+            if (star, low, high) != now:
+                if names:
+                    yield links()
+                names, sets, labels, now = [], [], [], (star, low, high)
+            names.append(node)
+            sets.append(np.frombuffer(members, np.uint64))
+            labels.append(component)
+    if names:
+        yield links()
+
+
+def _tasks(named: DataFrame, percent: int, block: int) -> DataFrame:
+    """(star, low, high, node, component): both sides of every comparison that can still join components of a star.
+
+    ``named(star, node, n, component)``.  Classes of the largest component of a
+    star and the others go apart into parts of about ``block``, by logarithm of
+    their size so that only neighbouring sizes can be similar; parts of the
+    largest component do not meet each other.
+    """
+    kinds = named.groupBy("star", "component").agg(F.count("*").alias("here"))
+    most = kinds.groupBy("star").agg(F.count("*").alias("kinds"), F.max_by("component", F.struct("here", "component")).alias("most")).where("kinds > 1")
+    # a hair wider than the exact ratio, so that rounding cannot part sizes that may be similar
+    scale = F.floor(F.log(F.col("n").cast("double")) / F.lit(np.log(100 / percent) * (1 + 1e-9))).cast("long") if 0 < percent < 100 else F.lit(0).cast("long")
+    own = named.join(small(most), "star").select("star", "node", "component", scale.alias("scale"), (F.col("component") == F.col("most")).alias("main"))
+    sized = own.groupBy("star", "scale").agg(F.ceil(F.count(F.when(~F.col("main"), 1)) / block).alias("others"), F.ceil(F.count(F.when(F.col("main"), 1)) / block).alias("mains"))
+    facing = sized.select("star", F.explode(F.array(*[F.col("scale") + d for d in (-1, 0, 1)])).alias("scale"), F.col("scale").alias("scale2"), F.col("others").alias("others2"), F.col("mains").alias("mains2"))
+    placed = own.join(small(sized), ["star", "scale"]).withColumn("place", F.pmod(F.xxhash64("node"), F.when(F.col("main"), F.col("mains")).otherwise(F.col("others"))))
+    met = placed.drop("others", "mains").join(small(facing), ["star", "scale"])
+    part = lambda scale, main, place: F.struct(scale.alias("scale"), main.alias("main"), place.alias("place"))
+    run = lambda count, main: F.when(count > 0, F.transform(F.sequence(F.lit(0).cast("long"), count - 1), lambda q: part(F.col("scale2"), F.lit(main), q)))
+    none = F.array().cast("array<struct<scale:bigint,main:boolean,place:bigint>>")
+    others, mains = F.coalesce(run(F.col("others2"), False), none), F.when(~F.col("main"), F.coalesce(run(F.col("mains2"), True), none)).otherwise(none)
+    both = met.withColumn("own", part(F.col("scale"), F.col("main"), F.col("place"))).withColumn("other", F.explode(F.concat(others, mains)))
+    return both.select("star", F.least("own", "other").alias("low"), F.greatest("own", "other").alias("high"), "node", "component")
+
+
 def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARITY, block: int = BLOCK) -> DataFrame:
     """One row per row of ``docs(doc_id, text)``: doc_id, n_shingles, component_id, kept, and tag, the hash of the text."""
     text_batches(docs.sparkSession)
@@ -218,6 +270,13 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
             break
         links = links.unionByName(more)
         labels = connected_components(links, scratch)
+    named = wide.join(small(labels), "node", "left").withColumn("component", F.coalesce("component", "node"))
+    tasks = scratch.write(_tasks(named, percent, block), "tasks")
+    if not tasks.isEmpty():
+        whole = tasks.withColumn("key", _key(F.col("node"))).join(sets, "key").withColumns({c: F.to_json(c) for c in ("low", "high")})
+        whole = whole.select("star", "low", "high", "node", "component", "members").repartition("star", "low", "high").sortWithinPartitions("star", "low", "high")
+        links = links.unionByName(scratch.write(whole.mapInArrow(lambda rows: _crossed(rows, percent), "a binary, b binary"), "links"))
+        labels = connected_components(links, scratch)
     out = profiles.select("doc_id", "tag", "n_shingles", "key").join(classes.select("key", "node"), "key", "left").join(small(labels), "node", "left")
     found = _rep(F.coalesce("component", "node"))
     whose = F.when(F.col("node").isNull(), F.col("doc_id")).when(found < LAST, found)

@@ -98,6 +98,37 @@ def test_large_star_equals_brute_force(spark):
     assert sorted(tuple(r) for r in got.collect()) == brute_components(rows)
 
 
+def test_components_of_a_split_star_are_compared_in_full(spark):
+    """Every pair of different components whose sizes allow the threshold meets in a task; draws used to decide that."""
+    rng = random.Random(4)
+    rows = [(b"s", b"%03d" % i, rng.randrange(20, 90), b"big" if i % 3 == 0 else b"%03d" % (i - i % 2)) for i in range(120)]
+    tasks = {}
+    for r in near_dedup._tasks(spark.createDataFrame(rows, "star binary, node binary, n long, component binary"), 75, 8).collect():
+        tasks.setdefault((r.star, r.low, r.high), []).append(bytes(r.node))
+    met = {(a, b) for nodes in tasks.values() for a in nodes for b in nodes}
+    assert max(map(len, tasks.values())) < 40
+    assert all((a[1], b[1]) in met for a in rows for b in rows if a[3] != b[3] and 100 * min(a[2], b[2]) >= 75 * max(a[2], b[2]))
+
+
+def test_links_between_components_equal_pairs():
+    rng = np.random.default_rng(6)
+    sets = [np.unique(rng.choice(60, size=50, replace=False).astype(np.uint64)) for _ in range(40)]
+    labels = [i // 4 for i in range(40)]
+    batch = near_dedup.pa.RecordBatch.from_pydict({"star": [b"s"] * 40, "low": ["l"] * 40, "high": ["h"] * 40, "node": [b"%d" % i for i in range(40)], "component": [b"%d" % c for c in labels], "members": [s.tobytes() for s in sets]})
+    links = [(int(a), int(b)) for out in near_dedup._crossed(iter([batch]), 75) for a, b in zip(out.column("a").to_pylist(), out.column("b").to_pylist())]
+
+    def parts(pairs):
+        above = list(range(40))
+        for a, b in [*pairs, *((i, i - 1) for i in range(1, 40) if labels[i] == labels[i - 1])]:
+            x, y = above[a], above[b]
+            above = [min(x, y) if v in (x, y) else v for v in above]
+        return above
+
+    close = lambda x, y: 100 * (both := words.overlap(x, y)) >= 75 * (len(x) + len(y) - both)
+    assert links and all(labels[a] != labels[b] for a, b in links)
+    assert parts(links) == parts([(a, b) for a in range(40) for b in range(a) if close(sets[a], sets[b])])
+
+
 def test_near_duplicate_edges(spark):
     out = {(r.doc_id, r.n_shingles): (r.component_id, r.kept) for r in near_dedup.near_duplicates(docs_of(spark, EDGES)).collect()}
     assert out[2, 0] == (2, True) and out[1, 0] == (1, True) and out[7, 1] == (6, False) and out[6, 1] == (6, True)
