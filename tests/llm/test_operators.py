@@ -373,6 +373,17 @@ def test_leaks_equal_brute_force(spark):
     assert decontamination.leaks(docs_of(spark, EDGES), bench).count() == 0
 
 
+def test_leaks_with_moved_parts_are_found(spark):
+    words_of = lambda name, n: [f"{name}{i}" for i in range(n)]
+    items = {1: words_of("a", 40), 2: words_of("b", 55), 3: words_of("c", 59)}
+    moved = {1: items[1][20:] + items[1][:20], 2: items[2][11:] + items[2][:11], 3: items[3][29:] + items[3][:29]}
+    rows = [(i, " ".join(words_of("x", 70) + moved[i] + words_of("y", 70))) for i in items]
+    bench = spark.createDataFrame([(i, " ".join(w)) for i, w in items.items()], "item_id long, text string")
+    got = {(r.doc_id, r.item_id): (r.start_word, r.similarity) for r in decontamination.leaks(docs_of(spark, rows), bench).collect()}
+    # the four shingles over the seam differ: n - 8 are common of n
+    assert got == {(i, i): (70, round((len(w) - 8) / len(w), 6)) for i, w in items.items()}
+
+
 # secrets, licences
 
 
