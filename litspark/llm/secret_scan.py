@@ -1,8 +1,9 @@
 """Secret scans: candidates by rule, false positives removed by a random forest.
 
 Candidates are the runs of at least ``LEAST`` letters, digits, ``_ + / -`` (and
-closing ``=``) that hold a digit, word by word, and the values that follow a
-word for a credential.  Each one gets its length, character transitions,
+closing ``=``) that hold a digit, all of each word, also where dots join them,
+and the values that follow a word for a credential: in the same word, or of
+``SHORT`` characters or more where one of the two words before is one.  Each one gets its length, character transitions,
 dictionary coverage, path and neighbouring words; a forest trained on labelled
 findings (``secret_forest``) decides.  Findings are replaced in the text.
 
@@ -22,16 +23,30 @@ from litspark.llm.quality_rules import BLANKS, let
 from litspark.llm.secret_forest import FEATURES, KEY_WORDS, features, load, probability
 
 LEAST = 16
+SHORT = 8
 THRESHOLD = 0.5
 REDACTED = "[SECRET]"
 BODY = r"([A-Za-z0-9_+/-]{%d,}={0,2})" % LEAST
 VALUE = r"(?i)(?:token|secret|passw|pwd|api_?key|access_?key|private_?key|credential|bearer)[A-Za-z_-]{0,20}[\"']?[=:][\"']?([^\s\"',;]{8,})"
 
 
-def _body(word: Column) -> Column:
-    """The candidate inside a word, empty if there is none."""
-    named = F.regexp_extract(word, VALUE, 1)
-    return F.when(named != "", named).otherwise(F.regexp_extract(word, BODY, 1))
+JOINED = r"([A-Za-z0-9_+/-]{%d,}(?:\.[A-Za-z0-9_+/-]{%d,})+={0,2})" % (LEAST, LEAST)
+LOOSE = r"([^\s\"',;]{%d,})" % SHORT
+#: Where the next field of a query string starts.
+FIELD = r"[?&](?=[A-Za-z0-9_.-]+=)"
+
+
+def _bodies(word: Column, near: Column) -> Column:
+    """All candidates inside a word; ``near`` tells that a word before it names a credential."""
+    every = lambda w, pattern: F.regexp_extract_all(w, F.lit(pattern), F.lit(1))
+
+    def of(fields: Column) -> Column:
+        named = every(fields, VALUE)
+        runs = F.concat(every(fields, BODY), F.when(fields.contains("."), every(fields, JOINED)).otherwise(F.array().cast("array<string>")))
+        own = F.concat(named, F.filter(runs, lambda r: ~F.exists(named, lambda v: v.contains(r))))
+        return F.when((F.size(own) == 0) & near, every(fields, LOOSE)).otherwise(own)
+
+    return let(F.regexp_replace(word, FIELD, " "), of)
 
 
 def candidates(text: Column) -> Column:
@@ -39,10 +54,12 @@ def candidates(text: Column) -> Column:
     trimmed = F.btrim(text, F.lit(BLANKS))
 
     def of(words: Column) -> Column:
-        spots = F.transform(words, lambda w, i: F.when((F.length(w) >= LEAST) & w.rlike(r"[0-9]"), i).when((F.length(w) >= 12) & w.rlike(r"[=:]"), i))
+        at = lambda i: F.coalesce(F.when(i >= 0, F.get(words, i)), F.lit(""))
+        told = lambda i: F.concat_ws(" ", at(i - 2), at(i - 1)).rlike(KEY_WORDS)
+        short = lambda w, i: (F.length(w) >= SHORT) & (w.rlike("[0-9]") | at(i - 1).rlike("[=:]$")) & told(i)
+        spots = F.transform(words, lambda w, i: F.when((F.length(w) >= LEAST) & w.rlike(r"[0-9]"), i).when((F.length(w) >= 12) & w.rlike(r"[=:]"), i).when(short(w, i), i))
         spots = F.filter(spots, lambda i: i.isNotNull())
-        near = lambda i: F.when(i >= 0, F.get(words, i)).otherwise("")
-        made = F.transform(spots, lambda i: F.struct(_body(F.get(words, i)).alias("body"), F.coalesce(near(i - 1), F.lit("")).alias("before"), F.coalesce(near(i - 2), F.lit("")).alias("second"), F.get(words, i).alias("whole")))
+        made = F.flatten(F.transform(spots, lambda i: F.transform(_bodies(F.get(words, i), told(i)), lambda b: F.struct(b.alias("body"), at(i - 1).alias("before"), at(i - 2).alias("second"), F.get(words, i).alias("whole")))))
         return F.filter(made, lambda c: (c["body"] != "") & (c["body"].rlike("[0-9]") | F.concat_ws(" ", c["before"], c["whole"]).rlike(KEY_WORDS)))
 
     return let(F.split(trimmed, "[ \t-\r]+"), of)
