@@ -4,6 +4,12 @@ Each stage works on all documents that the one before kept and was written as
 Parquet.  Rejected documents, all but one of a group of near-duplicates and
 documents that hold a benchmark passage go; secrets are replaced in the text;
 the last stage turns texts into token ids.
+
+Edge cases, for every stage: rows are named by doc_id and the hash of their text,
+nulls being values, so repeated doc_ids and null doc_ids are told apart; null and
+empty texts fail the quality rules, and where a stage meets them all the same
+they are kept as they are; an empty table stays empty; extra columns, whatever
+their names, are carried unchanged up to the last stage, which returns its own.
 """
 
 from __future__ import annotations
@@ -12,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from litspark.llm.bpe import bpe_encode
-from litspark.llm.common import Scratch, drop_rows, read, release
+from litspark.llm.common import Scratch, drop_rows, read, scratches
 from litspark.llm.decontamination import leaks
 from litspark.llm.near_dedup import keep_one
 from litspark.llm.quality_rules import quality_verdicts
@@ -36,9 +42,13 @@ def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents, with secrets in their texts replaced and n_chars following the text."""
-    done = scan_secrets(docs)
+    # the row travels as one column, so that its names cannot meet those of the scan
+    done = scan_secrets(docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), "text"))
     changed = F.size("findings") > 0
-    return done.withColumns({"text": F.col("redacted"), "n_chars": F.when(changed, F.char_length("redacted").cast("long")).otherwise(F.col("n_chars"))}).select(*docs.columns)
+    new = {"text": F.col("redacted")}
+    if "n_chars" in docs.columns:
+        new["n_chars"] = F.when(changed, F.char_length("redacted").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("row")["n_chars"])
+    return done.select(*[new.get(c, F.col("row")[c]).alias(c) for c in docs.columns])
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -53,10 +63,12 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The last stage's rows; every stage before it is written and read again."""
-    scratch = Scratch(spark, "pipeline")
+    """The last stage's rows; every stage before it is written and read again, and its own tables go."""
+    kept = Scratch(spark, "pipeline")
     docs = read(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = scratch.write(stage(spark, docs, sf_dir), name)
-        release(scratch)
+        with scratches() as made:
+            docs = kept.write(stage(spark, docs, sf_dir), name)
+        for scratch in made:
+            scratch.close()
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -3,25 +3,33 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import contextvars
 import tempfile
 import uuid
+from collections.abc import Iterator
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Rows of a side that may be broadcast; a row here is one or two longs or a short key.
 BROADCAST_ROWS = 1_000_000
 
-_held: list[DataFrame] = []
-_open: list["Scratch"] = []
+_made: contextvars.ContextVar[list["Scratch"] | None] = contextvars.ContextVar("made", default=None)
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder named in ``spark.checkpoint.dir``; a temporary one only where it is unset."""
-    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    """The folder named in ``spark.checkpoint.dir``.
+
+    Where it is unset: a temporary folder if the driver and the executors are one
+    process, else a folder in the warehouse, which a cluster shares.
+    """
+    context = spark.sparkContext
+    named = context.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not context.master.startswith("local[") and context.master != "local":
+        return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/litspark"
     own = getattr(shared_folder, "own", None)
     if own is None:
         own = shared_folder.own = tempfile.mkdtemp(prefix="litspark-")
@@ -29,14 +37,19 @@ def shared_folder(spark: SparkSession) -> str:
 
 
 class Scratch:
-    """Written tables that cut lineage; they sit in the shared folder and go when the process ends or when dropped."""
+    """Written tables that cut lineage; they sit in the shared folder and go when closed, dropped, or when the process ends.
+
+    A result of an operator reads the tables of the operator's own scratch, so it
+    is good until that scratch is closed; no other call touches it.
+    """
 
     def __init__(self, spark: SparkSession, name: str):
         self.spark = spark
         self.root = f"{shared_folder(spark)}/scratch/{name}-{uuid.uuid4().hex}"
         self.count = 0
         self.paths: dict[int, str] = {}
-        _open.append(self)
+        if (made := _made.get()) is not None:
+            made.append(self)
         atexit.register(_remove, spark, self.root)
 
     def write(self, df: DataFrame, label: str = "t") -> DataFrame:
@@ -48,16 +61,6 @@ class Scratch:
         self.paths[id(back)] = path
         return back
 
-    def hold(self, df: DataFrame) -> DataFrame:
-        """The same rows, kept on the executors' disks once computed.
-
-        The lineage stays, so blocks of a lost executor are computed again.  For
-        tables that are read a few times, outside loops, and not one upon
-        another: plans of held tables stand inside the plans that read them.
-        """
-        _held.append(df.persist(StorageLevel.DISK_ONLY))
-        return df
-
     def drop(self, *tables: DataFrame) -> None:
         """Delete tables that no later plan reads."""
         for t in tables:
@@ -65,22 +68,41 @@ class Scratch:
             if path:
                 _remove(self.spark, path)
 
+    def close(self) -> None:
+        _remove(self.spark, self.root)
+        self.paths.clear()
+
+
+@contextlib.contextmanager
+def scratches() -> Iterator[list[Scratch]]:
+    """The scratches that are opened inside, for whoever writes the results elsewhere to close afterwards."""
+    made: list[Scratch] = []
+    token = _made.set(made)
+    try:
+        yield made
+    finally:
+        _made.reset(token)
+
 
-def release(*keep: Scratch) -> None:
-    """Give back the tables of operators, but for those of ``keep``, once their results are written elsewhere."""
-    while _held:
-        _held.pop().unpersist()
-    for scratch in [s for s in _open if s not in keep]:
-        _remove(scratch.spark, scratch.root)
-        _open.remove(scratch)
+def fresh(df: DataFrame, *names: str) -> list[str]:
+    """The names, lengthened until no column of ``df`` has them in any case."""
+    taken = {c.lower() for c in df.columns}
+    out = []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
 def drop_rows(docs: DataFrame, gone: DataFrame) -> DataFrame:
     """``docs`` without the rows named by ``gone(doc_id, tag)``, tag being the hash of the text; nulls are values."""
     pick = F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63)))
-    named = gone.select(pick.alias("_pick"), F.col("tag").alias("_tag")).distinct()
-    marked = docs.withColumns({"_pick": pick, "_tag": F.xxhash64(F.col("text").cast("string"))})
-    return marked.join(small(named), ["_pick", "_tag"], "left_anti").drop("_pick", "_tag")
+    a, b = fresh(docs, "pick", "tag")
+    named = gone.select(pick.alias(a), F.col("tag").alias(b)).distinct()
+    marked = docs.withColumns({a: pick, b: F.xxhash64(F.col("text").cast("string"))})
+    return marked.join(small(named), [a, b], "left_anti").drop(a, b)
 
 
 def _remove(spark: SparkSession, path: str) -> None:

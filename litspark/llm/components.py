@@ -25,7 +25,7 @@ def connected_components(edges: DataFrame, scratch: Scratch, local: int = LOCAL_
     known = edges.where("a is not null and b is not null and a <> b").select("a", "b")
     if known.count() > local:
         return contracted(known, scratch)
-    return scratch.hold(known.coalesce(1).mapInArrow(_joined, "node binary, component binary"))
+    return scratch.write(known.coalesce(1).mapInArrow(_joined, "node binary, component binary"))
 
 
 def _joined(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

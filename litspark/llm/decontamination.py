@@ -89,7 +89,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, percent: int = SIMILARITY) -> D
     said = benchmark.select(F.col("item_id").cast("long").alias("item_id"), words(F.col("text")).alias("w")).where("size(w) > 0").distinct()
     said = said.withColumn("width", F.least(F.size("w"), F.lit(WIDTH)))
     sized = F.coalesce(*[F.when(F.col("width") == k, grams(F.col("w"), k)) for k in range(1, WIDTH + 1)])
-    items = scratch.hold(said.select("item_id", F.size("w").alias("w"), "width", sized.alias("item_grams")).withColumn("print", F.expr(simhash("item_grams"))))
+    items = scratch.write(said.select("item_id", F.size("w").alias("w"), "width", sized.alias("item_grams")).withColumn("print", F.expr(simhash("item_grams"))))
     widths = sorted(r.width for r in items.select("width").distinct().collect())
     of_items = items.select("item_id", "w", "width", F.size("item_grams").alias("n"), F.explode(F.array_distinct("item_grams")).alias("gram")).distinct()
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63))).alias("pick"), F.col("text").cast("string").alias("text"))
@@ -117,7 +117,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, percent: int = SIMILARITY) -> D
     whole = F.when(F.get(F.col("places"), in_short - 1) < F.col("n"), F.array(F.lit(0))).otherwise(F.array().cast("array<int>"))
     tried = F.array_union(whole, F.flatten(F.transform("places", starts)))
     near = dense.where(F.size("places") >= in_short).select("pick", "tag", F.explode(tried).alias("start"), "w", "width")
-    windows = scratch.hold(near.distinct().groupBy("pick", "tag").agg(F.collect_set(F.struct("w", "width", "start")).alias("spans")))
+    windows = scratch.write(near.distinct().groupBy("pick", "tag").agg(F.collect_set(F.struct("w", "width", "start")).alias("spans")))
 
     again = source.join(small(windows), ["pick", "tag"]).select("doc_id", "tag", "spans", words(F.col("text")).alias("tokens"))
     again = again.select("doc_id", "tag", "spans", F.size("tokens").alias("n_tokens"), *[grams(F.col("tokens"), k).alias(f"g{k}") for k in widths])
@@ -125,7 +125,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, percent: int = SIMILARITY) -> D
     at = F.greatest(F.least(F.col("s.start"), F.col("n_tokens") - F.col("s.w")), F.lit(0))
     taken = F.coalesce(*[F.when(F.col("s.width") == k, F.slice(f"g{k}", at + 1, F.col("s.w") - k + 1)) for k in widths])
     cut = one.select("doc_id", "tag", F.col("s.w").alias("w"), at.alias("start_word"), F.least("n_tokens", F.col("s.w")).alias("n_words"), taken.alias("grams"))
-    marked = scratch.hold(cut.where("size(grams) > 0").distinct().withColumn("print", F.expr(simhash("grams"))))
+    marked = scratch.write(cut.where("size(grams) > 0").distinct().withColumn("print", F.expr(simhash("grams"))))
 
     places = lambda value: F.array(*[F.struct(F.lit(k).alias("block"), _block(value, k).alias("bits")) for k in range(BLOCKS)])
     masks = F.array(*[F.lit(m) for m in _masks()])

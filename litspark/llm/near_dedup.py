@@ -42,7 +42,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from litspark.llm.common import Scratch, drop_rows, small, text_batches
+from litspark.llm.common import BROADCAST_ROWS, Scratch, drop_rows, small, text_batches
 from litspark.llm.components import connected_components
 from litspark.llm.oph import band_hashes, signatures
 from litspark.llm.words import overlap, set_digest, shingle_set
@@ -214,29 +214,29 @@ def _tasks(named: DataFrame, percent: int, block: int) -> DataFrame:
     return both.select("star", F.least("own", "other").alias("low"), F.greatest("own", "other").alias("high"), "node", "component")
 
 
-def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARITY, block: int = BLOCK) -> DataFrame:
-    """One row per row of ``docs(doc_id, text)``: doc_id, n_shingles, component_id, kept, and tag, the hash of the text."""
+def labelled(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARITY, block: int = BLOCK) -> DataFrame:
+    """One row per row of ``docs(doc_id, text)``: doc_id, tag, n_shingles, node (its class) and component, both null for an empty set."""
     text_batches(docs.sparkSession)
     scratch = Scratch(docs.sparkSession, "near")
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("tag", F.xxhash64("text"))
     schema = "doc_id long, tag long, n_shingles long, key binary, bands array<long>"
-    profiles = scratch.hold(source.mapInArrow(lambda rows: _profiles(rows, width), schema))
+    profiles = scratch.write(source.mapInArrow(lambda rows: _profiles(rows, width), schema))
     first = profiles.where("key is not null").groupBy("key").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("bands").alias("bands"))
     # a node's name starts with its doc_id in sortable form, so the smallest node of a component is that of its smallest doc_id
     classes = scratch.write(first.select(_node(F.coalesce("rep", F.lit(LAST)), F.col("key")).alias("node"), "key", "n", "bands"), "classes")
     spots = classes.select("node", "n", F.posexplode("bands").alias("band", "value"))
     shared = spots.groupBy("band", "value").agg(F.count("*").alias("size")).where("size > 1")
-    members = scratch.hold(spots.join(shared, ["band", "value"]))
+    members = scratch.write(spots.join(shared, ["band", "value"]))
     met = members.groupBy("node").agg(F.sum("size").alias("met"))
     central = members.join(met, "node").groupBy("band", "value").agg(F.max_by("node", F.struct("met", "node")).alias("centre"))
     placed = scratch.write(members.join(central, ["band", "value"]), "placed")
-    stars = scratch.hold(placed.select("centre", "node", "n").distinct())
+    stars = scratch.write(placed.select("centre", "node", "n").distinct())
 
-    ids = scratch.hold(placed.select(_rep(F.col("node")).alias("pick")).distinct())
+    ids = scratch.write(placed.select(_rep(F.col("node")).alias("pick")).distinct())
     texts = source.withColumn("pick", F.coalesce("doc_id", F.lit(LAST))).join(small(ids), "pick", "left_semi").select("text")
     sets = scratch.write(texts.mapInArrow(lambda rows: _sets(rows, width), "key binary, members binary").dropDuplicates(["key"]), "sets")
 
-    parts = scratch.hold(stars.where("node <> centre").groupBy("centre").agg(F.ceil(F.count("*") / block).cast("int").alias("parts")))
+    parts = scratch.write(stars.where("node <> centre").groupBy("centre").agg(F.ceil(F.count("*") / block).cast("int").alias("parts")))
     shares = stars.where("node <> centre").select("centre", "node").join(small(parts), "centre").withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int")).drop("parts")
     every = shares.unionByName(shares.select("centre", F.col("centre").alias("node"), "part").distinct()).withColumn("key", _key(F.col("node")))
     laid = every.join(sets, "key").select("centre", "part", "node", "members").repartition("centre", "part").sortWithinPartitions("centre", "part", "node")
@@ -251,7 +251,7 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
         return scratch.write(both.select(F.col("centre").alias("a"), "b", "a_set", "b_set").mapInArrow(lambda rows: _verified(rows, percent), "a binary, b binary"), "links")
 
     split = parts.where("parts > 1").select("centre")
-    wide = scratch.hold(stars.join(small(split), "centre", "left_semi").select(F.col("centre").alias("star"), "node", "n"))
+    wide = scratch.write(stars.join(small(split), "centre", "left_semi").select(F.col("centre").alias("star"), "node", "n"))
     turn = 0
     while True:
         turn += 1
@@ -277,9 +277,14 @@ def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARI
         whole = whole.select("star", "low", "high", "node", "component", "members").repartition("star", "low", "high").sortWithinPartitions("star", "low", "high")
         links = links.unionByName(scratch.write(whole.mapInArrow(lambda rows: _crossed(rows, percent), "a binary, b binary"), "links"))
         labels = connected_components(links, scratch)
-    out = profiles.select("doc_id", "tag", "n_shingles", "key").join(classes.select("key", "node"), "key", "left").join(small(labels), "node", "left")
-    found = _rep(F.coalesce("component", "node"))
-    whose = F.when(F.col("node").isNull(), F.col("doc_id")).when(found < LAST, found)
+    return profiles.select("doc_id", "tag", "n_shingles", "key").join(classes.select("key", "node"), "key", "left").join(small(labels), "node", "left").withColumn("component", F.coalesce("component", "node"))
+
+
+def near_duplicates(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARITY, block: int = BLOCK) -> DataFrame:
+    """One row per row of ``docs(doc_id, text)``: doc_id, n_shingles, component_id, kept, and tag, the hash of the text."""
+    out = labelled(docs, width, percent, block)
+    found = _rep(F.col("component"))
+    whose = F.when(F.col("component").isNull(), F.col("doc_id")).when(found < LAST, found)
     return out.select("doc_id", "tag", "n_shingles", whose.alias("component_id"), F.coalesce(F.col("doc_id") == whose, F.lit(False)).alias("kept"))
 
 
@@ -297,13 +302,22 @@ def _key(node: Column) -> Column:
 
 
 def keep_one(docs: DataFrame) -> DataFrame:
-    """``docs`` with one document of each group of near-duplicates; of repeated rows of it one stays."""
-    judged = near_duplicates(docs)
-    kept = drop_rows(docs, judged.where("not kept").select("doc_id", "tag"))
-    twice = judged.where("kept").groupBy("doc_id", "tag").count().where("count > 1").select("doc_id", "tag")
-    if twice.isEmpty():
+    """``docs`` with one row of each group of near-duplicates: its smallest (doc_id, tag), a null doc_id being the largest.
+
+    Rows with the empty set stay, each being its own group.
+    """
+    judged = Scratch(docs.sparkSession, "kept").write(labelled(docs).where("component is not null").select("doc_id", "tag", "component"), "judged")
+    order = F.struct(F.coalesce("doc_id", F.lit(LAST)).alias("pick"), "tag")
+    # the smallest doc_id stands in the component's name, so only rows with it compete
+    first = judged.where(F.coalesce("doc_id", F.lit(LAST)) == _rep(F.col("component"))).groupBy("component").agg(F.min(order).alias("first"))
+    stays = F.broadcast(first) if first.count() <= BROADCAST_ROWS else first
+    gone = judged.join(stays, "component").where(order != F.col("first"))
+    kept = drop_rows(docs, gone.select("doc_id", "tag"))
+    # rows that repeat the one that stays, doc_id and text
+    again = judged.join(stays, "component").where(order == F.col("first")).groupBy("doc_id", "tag").count().where("count > 1").select("doc_id", "tag")
+    if again.isEmpty():
         return kept
-    once = drop_rows(kept, twice)
+    once = drop_rows(kept, again)
     return once.unionByName(kept.exceptAll(once).dropDuplicates(["doc_id", "text"]))
 
 

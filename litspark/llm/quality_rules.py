@@ -1,18 +1,31 @@
 """Quality rules: fixed base rules, then robust multivariate outliers per language and source.
 
-Every text becomes a vector of transformed statistics in fixed point (so sums
-are exact integers and no result depends on the order of rows).  For each group
-(language, source) the minimum-covariance-determinant estimate is found by
-concentration steps: distances to the last estimate, the share ``COVER`` of the
-rows with the smallest ones, their mean and covariance.  Distances are ranked by
-a histogram, so a step is one aggregation of mergeable counts and moments, and
-nothing of a group is gathered.  A row whose squared Mahalanobis distance to the
-final estimate exceeds ``CUTOFF`` is rejected.
+Every text becomes a vector of transformed statistics in fixed point, so sums are
+exact integers and no result depends on the order of rows.  The vectors are
+written once; all that follows reads that narrow table.  For each group
+(language, source) the minimum-covariance-determinant estimate is searched for:
+
+1. ``STARTS`` starts per group, each the mean and covariance of ``DRAWN`` rows,
+   the ones with the smallest of as many hashes.
+2. Concentration steps for all starts at once: distances to the last estimate,
+   the share ``COVER`` of the rows with the smallest ones, their mean and
+   covariance.  Distances are ranked by a histogram, so a step is one aggregation
+   of mergeable counts and moments; of the bin that the share ends in, rows count
+   by the fraction that is still needed, so that every estimate covers exactly
+   the same number of rows and their determinants can be compared.
+3. The start with the smallest determinant wins, gets further steps, and then one
+   reweighting step over the rows within the 97.5 % quantile of its distances.
+
+A row whose squared Mahalanobis distance to that estimate exceeds ``CUTOFF`` is
+rejected.  Statistics that are equal in most rows have no spread of their own, so
+the covariance gets a fixed diagonal target (``FLOORS``), as regularised
+estimates of this kind do.
 
 Groups of fewer than ``LEAST`` rows are pooled by language, then over all; a pool
 still smaller gives no verdict and its rows are kept.
 
-Everything is DataFrame expressions; texts are read once.
+Everything is DataFrame expressions; texts are read once.  Per group only bins
+and estimates are shuffled.
 
 Edge cases: a null or empty text has no words and fails the base rule; null
 language or source is a value of its own; rows repeated are judged alike and all
@@ -27,7 +40,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from litspark.llm.common import Scratch, small
+from litspark.llm.common import BROADCAST_ROWS, Scratch
 
 SYMBOLS = "#*$%&|<>"
 BLANKS = " \t\n\x0b\x0c\r"
@@ -35,10 +48,15 @@ WINDOW = 8
 MIN_WORDS = 20
 MAX_REPEATED = 30
 COVER = 0.75
-STEPS = 6
+#: Starts per group, rows of each, steps of all starts, and further steps of the best one.
+STARTS, DRAWN, FIRST_STEPS, LAST_STEPS = 6, 5, 2, 3
+#: Bins of a doubling of one plus the squared distance.
+BINS = 12
+#: The 97.5 % quantile of chi-squared with four degrees of freedom, and the share of it.
+NEAR, NEAR_SHARE = 11.143287, 0.975
 LEAST = 40
-#: About the 1 - 1e-7 quantile of chi-squared with four degrees of freedom.
-CUTOFF = 38.2
+#: The 1 - 1e-4 quantile of chi-squared with four degrees of freedom.
+CUTOFF = 23.513
 SCALE = 4096
 #: Standard deviations that a group is granted at least: log word length, log symbols, log repeated lines, repeated words.
 FLOORS = (0.035, 0.25, 0.6, 0.1)
@@ -127,31 +145,30 @@ def consistency(cover: float, dof: int = len(VECTOR)) -> float:
     return cover / _chi2_cdf(low, dof + 2)
 
 
-def _cholesky(moments: DataFrame, factor: float) -> DataFrame:
-    """grp, m0.. and the lower triangle l00.. of the floored covariance, from n and integer sums s_i, s_ij."""
-    p = len(VECTOR)
+def _estimate(moments: DataFrame, factor: float, *keys: str) -> DataFrame:
+    """keys, m0.. , the rows w00.. of the inverse Cholesky factor and the log determinant, from n and sums s_i, s_ij."""
+    p = range(len(VECTOR))
     n = F.col("n").cast("double")
-    means = moments.select("grp", "n", *[(F.col(f"s{i}") / n / SCALE).alias(f"m{i}") for i in range(p)], *[f"s{i}{j}" for i in range(p) for j in range(i + 1)])
-    cov = means.select("grp", *[f"m{i}" for i in range(p)], *[
-        (F.greatest(F.col(f"s{i}{j}") / n / SCALE / SCALE - F.col(f"m{i}") * F.col(f"m{j}"), F.lit(0.0 if i == j else -1e9)) * factor + (FLOORS[i] ** 2 if i == j else 0.0)).alias(f"v{i}{j}")
-        for i in range(p) for j in range(i + 1)
-    ])
-    out = cov
-    for j in range(p):
-        inner = lambda a, b: sum((F.col(f"l{a}{k}") * F.col(f"l{b}{k}") for k in range(j)), F.lit(0.0))
-        out = out.withColumn(f"l{j}{j}", F.sqrt(F.greatest(F.col(f"v{j}{j}") - inner(j, j), F.lit(FLOORS[j] ** 2 / 4))))
-        out = out.withColumns({f"l{i}{j}": (F.col(f"v{i}{j}") - inner(i, j)) / F.col(f"l{j}{j}") for i in range(j + 1, p)}) if j < p - 1 else out
-    return out.select("grp", *[f"m{i}" for i in range(p)], *[f"l{i}{j}" for i in range(p) for j in range(i + 1)])
-
-
-def _distance(rows: DataFrame, estimate: DataFrame) -> DataFrame:
-    """Rows with ``d2``: squared Mahalanobis distance by forward substitution; null without an estimate."""
-    p = len(VECTOR)
-    out = rows.join(small(estimate), "grp", "left")
-    for i in range(p):
-        rest = sum((F.col(f"l{i}{k}") * F.col(f"y{k}") for k in range(i)), F.lit(0.0))
-        out = out.withColumn(f"y{i}", (F.col(VECTOR[i]) / F.lit(float(SCALE)) - F.col(f"m{i}") - rest) / F.col(f"l{i}{i}"))
-    return out.select(*rows.columns, sum((F.col(f"y{i}") * F.col(f"y{i}") for i in range(p)), F.lit(0.0)).alias("d2"))
+    out = moments.select(*keys, "n", *[(F.col(f"s{i}") / n / SCALE).alias(f"m{i}") for i in p], *[f"s{i}{j}" for i in p for j in range(i + 1)])
+    spread = lambda i, j: F.col(f"s{i}{j}") / n / SCALE / SCALE - F.col(f"m{i}") * F.col(f"m{j}")
+    out = out.withColumns({f"v{i}{j}": F.greatest(spread(i, i), F.lit(0.0)) * factor + FLOORS[i] ** 2 if i == j else spread(i, j) * factor for i in p for j in range(i + 1)})
+    dot = lambda a, b, upto: sum((F.col(f"{a}{k}") * F.col(f"{b}{k}") for k in range(upto)), F.lit(0.0))
+    for j in p:
+        out = out.withColumn(f"l{j}{j}", F.sqrt(F.greatest(F.col(f"v{j}{j}") - dot(f"l{j}", f"l{j}", j), F.lit(FLOORS[j] ** 2 / 4))))
+        if j + 1 < len(VECTOR):
+            out = out.withColumns({f"l{i}{j}": (F.col(f"v{i}{j}") - dot(f"l{i}", f"l{j}", j)) / F.col(f"l{j}{j}") for i in range(j + 1, len(VECTOR))})
+    for i in p:
+        below = {f"w{i}{j}": -sum((F.col(f"l{i}{k}") * F.col(f"w{k}{j}") for k in range(j, i)), F.lit(0.0)) / F.col(f"l{i}{i}") for j in range(i)}
+        out = out.withColumns(below | {f"w{i}{i}": 1 / F.col(f"l{i}{i}")})
+    logdet = sum((F.log(F.col(f"l{i}{i}")) for i in p), F.lit(0.0)).alias("logdet")
+    return out.select(*keys, *[f"m{i}" for i in p], *[f"w{i}{j}" for i in p for j in range(i + 1)], logdet)
+
+
+def _distance() -> Column:
+    """Squared Mahalanobis distance of a row's vector to the estimate beside it; null without one."""
+    p = range(len(VECTOR))
+    off = [F.col(VECTOR[i]) / F.lit(float(SCALE)) - F.col(f"m{i}") for i in p]
+    return sum((F.pow(sum((F.col(f"w{i}{k}") * off[k] for k in range(i + 1)), F.lit(0.0)), F.lit(2.0)) for i in p), F.lit(0.0))
 
 
 def _sums() -> list[Column]:
@@ -159,38 +176,46 @@ def _sums() -> list[Column]:
     return [F.count("*").alias("n"), *[F.sum(VECTOR[i]).alias(f"s{i}") for i in p], *[F.sum(F.col(VECTOR[i]) * F.col(VECTOR[j])).alias(f"s{i}{j}") for i in p for j in range(i + 1)]]
 
 
-def _start(rows: DataFrame, scratch: Scratch) -> DataFrame:
-    """First estimates: medians and a diagonal from the median absolute deviation, both read off histograms."""
-    p = range(len(VECTOR))
-    long = lambda df: df.select("grp", F.posexplode(F.array(*VECTOR)).alias("dim", "x"))
-    median = lambda df: (
-        df.groupBy("grp", "dim", "x").agg(F.count("*").alias("c"))
-        .withColumn("below", F.sum("c").over(Window.partitionBy("grp", "dim").orderBy("x")))
-        .withColumn("all", F.sum("c").over(Window.partitionBy("grp", "dim")))
-        .where("2 * below >= all").groupBy("grp", "dim").agg(F.min("x").alias("mid"))
-    )
-    binned = rows.select("grp", *[(F.floor(F.col(x) / 16) * 16).cast("long").alias(x) for x in VECTOR])
-    mids = scratch.hold(median(long(binned)))
-    spread = long(binned).join(small(mids), ["grp", "dim"]).select("grp", "dim", F.abs(F.col("x") - F.col("mid")).alias("x"))
-    scale = median(spread).withColumnRenamed("mid", "mad")
-    both = mids.join(scale, ["grp", "dim"]).groupBy("grp").agg(*[F.max(F.when(F.col("dim") == i, F.col(c))).alias(f"{c}{i}") for i in p for c in ("mid", "mad")])
-    root = lambda i: F.sqrt(F.pow(1.4826 * F.col(f"mad{i}") / F.lit(float(SCALE)), F.lit(2.0)) + F.lit(FLOORS[i] ** 2))
-    return both.select("grp", *[(F.col(f"mid{i}") / F.lit(float(SCALE))).alias(f"m{i}") for i in p], *[(root(i) if i == j else F.lit(0.0)).alias(f"l{i}{j}") for i in p for j in range(i + 1)])
-
-
-def mcd_estimates(rows: DataFrame, scratch: Scratch, cover: float = COVER, steps: int = STEPS) -> DataFrame:
-    """Minimum-covariance-determinant estimates of ``rows(grp, x0..)`` per group, as means and Cholesky factors."""
-    estimate = scratch.write(_start(rows, scratch), "estimate")
-    factor = consistency(cover)
-    for _ in range(steps):
-        measured = _distance(rows, estimate).withColumn("bin", F.floor(16 * F.log2(1 + F.col("d2"))).cast("int"))
-        parts = measured.groupBy("grp", "bin").agg(*_sums())
-        within = Window.partitionBy("grp")
-        before = F.coalesce(F.sum("n").over(within.orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-        near = parts.withColumns({"before": before, "all": F.sum("n").over(within)}).where(F.col("before") < F.lit(cover) * F.col("all"))
-        names = [c for c in parts.columns if c not in ("grp", "bin")]
-        estimate = scratch.write(_cholesky(near.groupBy("grp").agg(*[F.sum(c).alias(c) for c in names]), factor), "estimate")
-    return estimate
+def _starts(rows: DataFrame, scratch: Scratch, near: Callable[[DataFrame], DataFrame], starts: int) -> DataFrame:
+    """Estimates (grp, start) of the rows that hold the smallest of ``DRAWN`` hashes for each start."""
+    spots = [(s, k) for s in range(starts) for k in range(DRAWN)]
+    hashes = [F.xxhash64(*VECTOR, "tag", F.lit(s * DRAWN + k)) for s, k in spots]
+    lows = scratch.write(rows.groupBy("grp").agg(*[F.min(h).alias(f"h{i}") for i, h in enumerate(hashes)]), "draws")
+    met = rows.join(near(lows), "grp")
+    drawn = F.filter(F.array(*[F.when(h == F.col(f"h{i}"), F.lit(s)) for i, ((s, _), h) in enumerate(zip(spots, hashes))]), lambda s: s.isNotNull())
+    # of rows that are equal in all that is hashed one stands for all
+    taken = met.select("grp", "tag", *VECTOR, F.explode(drawn).alias("start")).distinct()
+    return scratch.write(_estimate(taken.groupBy("grp", "start").agg(*_sums()), 1.0, "grp", "start"), "estimate")
+
+
+def _step(rows: DataFrame, estimate: DataFrame, cover: float) -> DataFrame:
+    """One concentration step of every (grp, start) of ``estimate``."""
+    d2 = _distance()
+    parts = rows.join(estimate, "grp").select("grp", "start", F.floor(BINS * F.log2(1 + d2)).cast("int").alias("bin"), *VECTOR).groupBy("grp", "start", "bin").agg(*_sums())
+    names = [c for c in parts.columns if c not in ("grp", "start", "bin")]
+    within = Window.partitionBy("grp", "start")
+    before = F.coalesce(F.sum("n").over(within.orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranked = parts.withColumns({"before": before, "need": F.ceil(F.lit(cover) * F.sum("n").over(within))})
+    share = F.least(F.lit(1.0), (F.col("need") - F.col("before")) / F.col("n"))
+    covered = ranked.where("before < need").select("grp", "start", *[(F.col(c) * share).alias(c) for c in names])
+    # in the order of the bins, so that the sums of fractions do not depend on how rows are dealt
+    listed = covered.groupBy("grp", "start").agg(F.sort_array(F.collect_list(F.struct(*names))).alias("all"))
+    total = lambda c: F.aggregate(F.col("all")[c], F.lit(0.0), lambda a, b: a + b).alias(c)
+    return _estimate(listed.select("grp", "start", *[total(c) for c in names]), consistency(cover), "grp", "start")
+
+
+def mcd_estimates(rows: DataFrame, groups: int, scratch: Scratch, cover: float = COVER, starts: int = STARTS) -> DataFrame:
+    """Minimum-covariance-determinant estimates of ``rows(grp, tag, x0..)`` per group, ``groups`` of them: means and inverse Cholesky factors."""
+    near = (lambda df: F.broadcast(df)) if groups * starts <= BROADCAST_ROWS else (lambda df: df)
+    estimate = _starts(rows, scratch, near, starts)
+    for _ in range(FIRST_STEPS):
+        estimate = scratch.write(_step(rows, near(estimate), cover), "estimate")
+    best = estimate.groupBy("grp").agg(F.min_by("start", F.struct("logdet", "start")).alias("start"))
+    estimate = estimate.join(best, ["grp", "start"])
+    for _ in range(LAST_STEPS):
+        estimate = scratch.write(_step(rows, near(estimate), cover), "estimate")
+    inside = rows.join(near(estimate), "grp").where(_distance() <= NEAR).groupBy("grp").agg(*_sums())
+    return scratch.write(_estimate(inside, consistency(NEAR_SHARE), "grp"), "estimate")
 
 
 def _grouped(stats: DataFrame, least: int) -> DataFrame:
@@ -199,8 +224,9 @@ def _grouped(stats: DataFrame, least: int) -> DataFrame:
     pair = usable.groupBy("lang", "source").agg(F.count("*").alias("c_pair"))
     pooled = pair.where(F.col("c_pair") < least)
     by_lang = pooled.groupBy("lang").agg(F.sum("c_pair").alias("c_lang"))
-    rest = by_lang.where(F.col("c_lang") < least).agg(F.coalesce(F.sum("c_lang"), F.lit(0)).alias("c_all"))
-    named = pair.join(by_lang, "lang", "left").crossJoin(F.broadcast(rest))  # one row beside the groups
+    # pooled languages that are small themselves share one key, so that their sum is a plain aggregate
+    rest = by_lang.where(F.col("c_lang") < least).groupBy(F.lit("all").alias("every")).agg(F.sum("c_lang").alias("c_all"))
+    named = pair.withColumn("every", F.lit("all")).join(by_lang, "lang", "left").join(rest, "every", "left")
     grp = (
         F.when(F.col("c_pair") >= least, F.to_json(F.array("lang", "source")))
         .when(F.col("c_lang") >= least, F.to_json(F.array("lang")))
@@ -215,10 +241,11 @@ def quality_verdicts(docs: DataFrame, cover: float = COVER, cutoff: float = CUTO
     ``tag`` is the 64-bit hash of the text, which with doc_id names the row.
     """
     scratch = Scratch(docs.sparkSession, "quality")
-    stats = scratch.hold(document_statistics(docs))
-    groups = scratch.hold(_grouped(stats, least))
-    rows = stats.join(small(groups), ["lang", "source"], "left")
-    estimate = mcd_estimates(rows.where("not base_failed and grp is not null").select("grp", *VECTOR), scratch, cover)
-    judged = _distance(rows, estimate)
+    stats = scratch.write(document_statistics(docs), "stats")
+    groups = scratch.write(_grouped(stats, least), "groups")
+    named, judging = groups.count(), groups.where("grp is not null").select("grp").distinct().count()
+    rows = stats.join(F.broadcast(groups) if named <= BROADCAST_ROWS else groups, ["lang", "source"], "left")
+    estimate = mcd_estimates(rows.where("not base_failed and grp is not null").select("grp", "tag", *VECTOR), judging, scratch, cover)
+    judged = rows.join(F.broadcast(estimate) if judging <= BROADCAST_ROWS else estimate, "grp", "left").withColumn("d2", _distance())
     kept = ~F.col("base_failed") & (F.coalesce(F.col("d2"), F.lit(0.0)) <= cutoff)
     return judged.select("doc_id", "tag", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", F.round("d2", 6).alias("distance2"), kept.alias("kept"))

@@ -19,6 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from litspark.llm.common import fresh
 from litspark.llm.quality_rules import BLANKS, let
 from litspark.llm.secret_forest import FEATURES, KEY_WORDS, features, load, probability
 
@@ -81,14 +82,15 @@ def scan_secrets(docs: DataFrame, threshold: float = THRESHOLD, forest: list | N
     if {n for t in forest for n in _used(t)} - set(FEATURES):
         raise ValueError("the forest asks for unknown features")
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    (score,) = fresh(docs, "judged")
     found = docs.withColumn("candidates", candidates(text))
     # a plan of its own, so that the array is not computed again inside each later expression
-    judged = found.withColumn("judged", scored(F.col("candidates"), forest))
-    hits = F.transform(F.filter("judged", lambda c: c["score"] >= threshold), lambda c: c["body"])
+    judged = found.withColumn(score, scored(F.col("candidates"), forest))
+    hits = F.transform(F.filter(score, lambda c: c["score"] >= threshold), lambda c: c["body"])
     marked = judged.withColumn("findings", hits)
     longest_first = F.array_sort(F.array_distinct("findings"), lambda a, b: F.length(b) - F.length(a))
     cleaned = F.aggregate(longest_first, F.col("text").cast("string"), lambda t, s: F.replace(t, s, F.lit(REDACTED)))
-    return marked.withColumn("redacted", F.when(F.size("findings") == 0, F.col("text").cast("string")).otherwise(cleaned)).drop("judged")
+    return marked.withColumn("redacted", F.when(F.size("findings") == 0, F.col("text").cast("string")).otherwise(cleaned)).drop(score)
 
 
 def _used(node) -> set[str]:

@@ -172,13 +172,13 @@ def duplicate_factors(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, scr
     classes = scratch.write(classes.select("digest", F.col("who.doc").alias("first"), F.col("who.tag").alias("tag")), "classes")
     rows = profiles.select("doc", "tag", "digest", "n")
     # (first, name) tells classes apart; name is 0 but where two sequences share a doc_id
-    twice = scratch.hold(classes.groupBy("first").agg(F.count("*").alias("count")).where("count > 1").select("first"))
+    twice = scratch.write(classes.groupBy("first").agg(F.count("*").alias("count")).where("count > 1").select("first"))
     named = classes.join(small(twice.withColumn("again", F.lit(True))), "first", "left").withColumn("name", F.when(F.col("again"), F.xxhash64("digest")).otherwise(F.lit(0).cast("long"))).drop("again")
     # anchors stay in the profiles: the first row of each class is picked there
     picked = profiles.select("doc", "tag", "anchors").join(small(named.select(F.col("first").alias("doc"), "tag", "name")), ["doc", "tag"])
     spread = picked.select("name", F.col("doc").alias("first"), "tag", F.explode("anchors").alias("anchor"))
-    shared = scratch.hold(spread.groupBy("anchor").agg(F.min("first").alias("low"), F.max("first").alias("high")).where("low <> high").select("anchor"))
-    holders = scratch.hold(
+    shared = scratch.write(spread.groupBy("anchor").agg(F.min("first").alias("low"), F.max("first").alias("high")).where("low <> high").select("anchor"))
+    holders = scratch.write(
         spread.join(small(shared, BROADCAST_ANCHORS), "anchor", "left_semi").groupBy("name", "first", "tag").agg(F.collect_set("anchor").alias("shared"))
     )
     many = holders.agg(F.sum(F.size("shared"))).first()[0] or 0
@@ -209,7 +209,7 @@ def substring_dedup(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_
     named = rows.distinct().join(classes, "digest").join(factors.select("digest", "starts", "lengths"), "digest", "left")
     whole = (F.col("doc") > F.col("first")) & (F.col("n") >= width)
     acted = named.select("doc", "tag", whole.alias("whole"), F.when(F.col("doc") == F.col("first"), F.col("starts")).alias("starts"), "lengths").where("whole or starts is not null")
-    acted = scratch.hold(acted)
+    acted = scratch.write(acted)
     joined = source.join(small(acted), ["doc", "tag"], "left").select("doc_id", "text", F.coalesce("whole", F.lit(False)).alias("whole"), "starts", "lengths")
     schema = "doc_id long, n_words long, n_removed long, kept_sha256 string" + ", kept_text string" * with_text
     return joined.mapInArrow(lambda rows: _cut(rows, with_text), schema)

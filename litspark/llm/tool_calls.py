@@ -143,8 +143,8 @@ def link_tool_calls(calls: DataFrame, results: DataFrame, schemas: DataFrame) ->
     its result and its turn numbers (null for orphans).
     """
     scratch = Scratch(calls.sparkSession, "tools")
-    one = scratch.hold(_first(calls, "name", "arguments", "parents").withColumnRenamed("seen", "n_calls"))
-    answers = scratch.hold(_first(results, "content").select("conv_id", "call_id", F.col("seen").alias("n_results"), F.col("turn").alias("answered"), "content"))
+    one = scratch.write(_first(calls, "name", "arguments", "parents").withColumnRenamed("seen", "n_calls"))
+    answers = scratch.write(_first(results, "content").select("conv_id", "call_id", F.col("seen").alias("n_results"), F.col("turn").alias("answered"), "content"))
     levels = topological_levels(one, scratch)
     placed = dense_position(levels.join(one.select("conv_id", "call_id", "turn"), ["conv_id", "call_id"]), scratch).drop("turn")
     checked = validate(one.drop("parents"), schemas)
