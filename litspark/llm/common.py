@@ -12,8 +12,8 @@ from collections.abc import Iterator
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Rows of a side that may be broadcast; a row here is one or two longs or a short key.
-BROADCAST_ROWS = 1_000_000
+#: Rows of a side that may be broadcast; a row here is a few longs or short keys, so about 20 MB.
+BROADCAST_ROWS = 200_000
 
 _made: contextvars.ContextVar[list["Scratch"] | None] = contextvars.ContextVar("made", default=None)
 

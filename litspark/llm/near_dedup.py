@@ -261,7 +261,7 @@ def labelled(docs: DataFrame, width: int = WIDTH, percent: int = SIMILARITY, blo
         largest = F.max_by(F.struct("component", *[f"c{i}" for i in range(DRAWS)]), F.struct("here", "component"))
         others = [F.min(F.struct(F.xxhash64("component", F.lit(turn * 1000 + i)).alias("r"), F.col(f"c{i}").alias("c"))).alias(f"any{i}") for i in range(2)]
         mixed = held.groupBy("star").agg(F.count("*").alias("kinds"), largest.alias("most"), *others).where("kinds > 1")
-        rest = named.join(mixed, "star").where("component <> most.component")
+        rest = named.join(small(scratch.write(mixed, "mixed")), "star").where("component <> most.component")
         chosen = F.array(*[F.col(f"most.c{i}") for i in range(DRAWS)], *[F.col(f"any{i}.c") for i in range(2)])
         pairs = rest.select("node", "n", F.explode(chosen).alias("c")).select("node", "n", "c.centre", "c.centre_n")
         fits = f"node <> centre and 100 * least(n, centre_n) >= {percent} * greatest(n, centre_n)"
