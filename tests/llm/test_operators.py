@@ -541,7 +541,43 @@ def test_page_edges():
     assert main_text(None, model) == main_text("", model) == main_text("<script>x</script>", model) == ""
     page = '<body><nav><a href="/">menu</a></nav><article><h1>T</h1><p>One &amp;\n two&#233;<p>Three <i>fo</i>ur</article><div class="comments"><p>first!</p></div><form><p>mail</p></form><footer>f</footer>'
     assert main_text(page, model) == "One & twoé Three four"
-    assert [b.text for b in html_blocks.leaf_blocks("<p>a<p>b<!-- c --><br>d</p")] == ["a", "b", "d</p"]
+    assert [b.text for b in html_blocks.leaf_blocks("<p>a<p>b<!-- c --><br>d</p")] == ["a", "b", "d"]
+
+
+def test_broken_markup_keeps_its_text():
+    said = lambda page: [b.text for b in html_blocks.leaf_blocks(page)]
+    assert said("<article><p title=it's>Hello</p><p>world isn't it</p><p>more</p></article>") == ["Hello", "world isn't it", "more"]
+    assert said('<p class="x>Hello</p><p class="y">she said "yes"</p>') == ["Hello", 'she said "yes"']
+    assert said('<p class="x>Hello</p><p>end') == ["Hello", "end"]
+    assert said('<p title="a > b" data-x=\'<b>no</b>\'>kept</p>') == ["kept"]
+    assert said("<p>a < b and 3<4 &lt; 5</p>") == ["a < b and 3<4 < 5"]
+    assert said("<p>one</p><title>t<p>two</p>") == ["one", "t", "two"] and said("<p>one</p><svg><p>two</p>") == ["one", "two"]
+    assert said("<p>one<!----><!--x--!>y--> two<!>three</p></>") == ["one twothree"]
+    assert said("<p>one</p><script>if (a<b) '</p>'") == ["one"] and said("<p>one</p><SCRIPT>x</Script ><p>two") == ["one", "two"]
+    assert said("<p>one <a href=x>two<br/>three</a><p>cut <a href='") == ["one two", "three", "cut"]
+    assert [b.path[-1][1] for b in html_blocks.leaf_blocks("<div CLASS=Side-Bar id='Top'>x</div>")] == [("side", "bar", "top")]
+
+
+@pytest.mark.parametrize("unit", ["<a ", "<a b=\"", "<a b='x> ", "<!", "<!--", "<script", "<title>", "<svg>", "<div>x", "</div>x", "<p>x<ul>", "<", "<a b=c\"d> '", "&lt;<b>"])
+def test_hostile_pages_take_linear_time(unit):
+    import time
+
+    page = unit * (2_000_000 // len(unit))
+    began = time.process_time()
+    html_blocks.leaf_blocks(page)
+    assert time.process_time() - began < 20
+
+
+def test_page_rows_with_edges(spark, tmp_path):
+    good = "<html><body><nav><a href='/'>menu</a></nav><article><h1>T</h1><p>One and two are said here.</p></article></body></html>"
+    rows = [(1, "u", good), (1, "u", good), (None, None, None), (2, "u", ""), (3, None, "<p " * 1000), (4, "u", good.replace("two", "two " * 100_000))]
+    pages = spark.createDataFrame(rows, "page_id long, url string, html string").withColumns({"text": F.lit(1), "n_chars": F.lit("x")})
+    out = extract_pages(pages)
+    assert out.columns == ["page_id", "url", "text", "n_chars"] and extract_pages(pages.limit(0)).count() == 0
+    got = sorted(((r.page_id or 0, r.url or "", r.text) for r in out.collect()))
+    assert [g[:2] for g in got] == [(0, ""), (1, "u"), (1, "u"), (2, "u"), (3, ""), (4, "u")]
+    assert got[1][2] == got[2][2] == "One and two are said here." and got[0][2] == got[3][2] == got[4][2] == ""
+    assert got[5][2].count("two") == 100_000
 
 
 def test_plain_is_symmetric():
