@@ -5,19 +5,24 @@
 1. Hash join of calls and results on (conv_id, call_id).  The first call of an
    identifier and its first result count; the others are reported as repeated.
 2. Topological levels from the calls' ``parents`` (identifiers whose results a
-   call uses).  Calls with one parent form trees; pointer doubling collapses a
-   chain of any length in logarithmically many joins, so only calls with several
-   parents take part in Kahn's rounds.  Calls on a cycle, or behind one, have no
-   level.  Position is the dense order of (level, turn, call_id) in the
-   conversation.
+   call uses): 0 without known parents, else one more than the highest parent;
+   none on a cycle or behind one.  Calls are numbered in the order (conv_id, turn,
+   call_id) of a range-partitioned sort and cut into blocks of at most ``BLOCK``
+   calls of one conversation.  A block is solved by one expression: a fold in that
+   order, then sweeps for calls whose parents come later.  Levels travel between
+   blocks in rounds, so a conversation of up to ``BLOCK`` calls takes one round or
+   two, however deep it is, and a longer one a round for each block that a chain
+   passes through.
+   Position is the dense order of (level, turn, call_id) in the conversation, read
+   off a second sort and the counts of its partitions.
 3. Arguments are validated against the schema of their tool: a JSON object,
    every required field present, every present field of its type, no unknown
    field where the schema is closed.
 4. Each linked call becomes canonical JSON: keys sorted, no blanks.
 
-Everything is DataFrame expressions.  Keys are (conv_id, call_id), so that a
-conversation with a third of all calls is spread over tasks; only the dense
-position groups by conversation, from counts of blocks.
+Everything is DataFrame expressions.  Keys are (conv_id, call_id), blocks or
+partitions of a sort, so that a conversation with a third of all calls is spread
+over tasks; only counts of partitions are grouped by conversation.
 
 Edge cases: calls with a null conv_id or call_id link with nothing; results
 without a call are returned as orphans; null or malformed arguments are invalid;
@@ -31,9 +36,12 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from litspark.llm.common import Scratch, small
+from litspark.llm.quality_rules import let
 
-#: Calls of one block in the dense order; a block is ordered by one task.
+#: Calls of one block, which one expression solves; a power of two, so that no block crosses a partition of the numbering.
 BLOCK = 4096
+#: Tables of finished blocks that are read side by side before they are written as one.
+PARTS = 8
 
 # Kinds of fields and the names of their shapes.
 KINDS = {"string": "STRING", "integer": "BIGINT", "number": "BIGINT DOUBLE DECIMAL FLOAT", "boolean": "BOOLEAN", "array": "ARRAY", "object": "OBJECT"}
@@ -54,56 +62,97 @@ def canonical(text: Column) -> Column:
     return F.to_json(F.try_parse_json(text))
 
 
-def topological_levels(calls: DataFrame, scratch: Scratch) -> DataFrame:
-    """(conv_id, call_id, level) of ``calls(conv_id, call_id, parents)``, keys distinct; level null on and behind cycles.
+def numbered(rows: DataFrame, scratch: Scratch, *order: Column) -> DataFrame:
+    """``rows`` with ``gid``: rising in the order, without gaps inside a partition of the sort, 2**33 apart between partitions."""
+    # written, so that the numbers stay what they are
+    return scratch.write(rows.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("gid", F.monotonically_increasing_id()), "numbered")
+
+
+def _solved(nodes: Column) -> Column:
+    """Levels of the calls of a block, null where a parent's is not known; ``nodes`` are ordered by gid without gaps."""
+    none = F.array().cast("array<bigint>")
+
+    def of_base(base: Column) -> Column:
+        at = lambda levels, p: F.get(levels, (p - base).cast("int"))
+
+        def level(x: Column, levels: Column) -> Column:
+            highest = F.aggregate(x["locals"], x["ahead"], lambda m, p: F.greatest(m, at(levels, p)))
+            return F.coalesce(x["level"], F.when(x["free"] & F.forall(x["locals"], lambda p: at(levels, p).isNotNull()), highest + 1))
+
+        def sweeps(first: Column) -> Column:
+            missing = lambda levels: F.size(F.filter(levels, lambda v: v.isNull()))
+            state = lambda levels, left, moved: F.struct(levels.alias("levels"), left.alias("left"), moved.alias("moved"))
+
+            def sweep(held: Column) -> Column:
+                following = F.transform(nodes, lambda x, i: F.coalesce(F.get(held["levels"], i), level(x, held["levels"])))
+                return let(following, lambda n: state(n, missing(n), missing(n) < held["left"]))
+
+            whole = F.aggregate(nodes, state(first, missing(first), missing(first) > 0), lambda held, _: F.when(held["moved"] & (held["left"] > 0), sweep(held)).otherwise(held))
+            return F.when(missing(first) == 0, first).otherwise(whole["levels"])
+
+        return let(F.aggregate(nodes, none, lambda levels, x: F.concat(levels, F.array(level(x, levels)))), sweeps)
+
+    return let(F.get(nodes, F.lit(0))["gid"], of_base)
+
+
+def topological_levels(calls: DataFrame, scratch: Scratch, block: int = BLOCK) -> DataFrame:
+    """(conv_id, call_id, level) of ``calls(conv_id, call_id, turn, parents)``, keys distinct; level null on and behind cycles.
 
     A call without (known) parents has level 0, any other one more than its highest parent.
     """
-    keys = calls.select("conv_id", "call_id")
-    asked = calls.select("conv_id", "call_id", F.explode(F.array_distinct(F.coalesce("parents", F.array().cast("array<string>")))).alias("parent"))
-    edges = scratch.write(asked.join(keys.withColumnRenamed("call_id", "parent"), ["conv_id", "parent"]), "edges")
-    degree = edges.groupBy("conv_id", "call_id").agg(F.count("*").alias("parents"), F.min("parent").alias("parent"))
-    named = calls.select("conv_id", "call_id").join(degree, ["conv_id", "call_id"], "left")
-    # up: the nearest known ancestor by single parents, and the distance to it; open while that ancestor has one parent itself
-    up = named.select("conv_id", "call_id", F.when(F.col("parents") == 1, F.col("parent")).otherwise(F.col("call_id")).alias("top"), F.when(F.col("parents") == 1, 1).otherwise(0).cast("long").alias("far"))
-    up = scratch.write(up.withColumn("open", F.col("far") > 0), "up")
-    limit, done = up.count() + 1, 1
-    while done <= 2 * limit:  # one round more than the longest chain needs, to see that its top is a root
-        above = up.select("conv_id", F.col("call_id").alias("top"), F.col("top").alias("next"), F.col("far").alias("more"))
-        joined = up.join(above, ["conv_id", "top"]).select("conv_id", "call_id", F.col("next").alias("top"), (F.col("far") + F.col("more")).alias("far"), (F.col("more") > 0).alias("open"))
-        fresh = scratch.write(joined, "up")
-        scratch.drop(up)
-        up, done = fresh, done * 2
-        if up.where("open").isEmpty():
-            break
-    tops = up.where("not open").select("conv_id", "call_id", "top", "far")
-    # junctions: calls with several parents; known: levels of tops
-    known = scratch.write(named.where("coalesce(parents, 0) = 0").select("conv_id", F.col("call_id").alias("top"), F.lit(0).cast("long").alias("level")), "known")
-    several = named.where("parents > 1").select("conv_id", "call_id", "parents")
-    wants = scratch.write(edges.join(several, ["conv_id", "call_id"]).join(tops.withColumnRenamed("call_id", "parent"), ["conv_id", "parent"]).select("conv_id", F.col("call_id").alias("junction"), "parents", "top", "far"), "wants")
-    while not wants.isEmpty():
-        met = wants.join(known, ["conv_id", "top"]).groupBy("conv_id", "junction", "parents").agg(F.count("*").alias("have"), F.max(F.col("level") + F.col("far") + 1).alias("level"))
-        ready = scratch.write(met.where("have = parents").select("conv_id", F.col("junction").alias("top"), "level"), "ready")
-        if ready.isEmpty():
+    order = (F.col("conv_id"), F.col("turn").asc_nulls_first(), F.col("call_id"))
+    nodes = numbered(calls.select("conv_id", "call_id", "turn", "parents"), scratch, *order)
+    keys = nodes.select("conv_id", "call_id", "gid")
+    asked = nodes.select("conv_id", "gid", F.explode(F.array_distinct("parents")).alias("parent"))
+    edges = asked.join(keys.select("conv_id", F.col("call_id").alias("parent"), F.col("gid").alias("up")), ["conv_id", "parent"])
+    near = F.floor(F.col("gid") / block) == F.floor(F.col("up") / block)
+    sides = edges.groupBy("gid").agg(F.collect_list(F.when(near, F.col("up"))).alias("locals"), F.collect_list(F.when(~near, F.col("up"))).alias("far"))
+    none = F.array().cast("array<bigint>")
+    todo = keys.join(sides, "gid", "left").select(
+        "conv_id", "gid", F.floor(F.col("gid") / block).alias("block"), F.coalesce("locals", none).alias("locals"), F.coalesce("far", none).alias("far"), F.lit(None).cast("long").alias("level"),
+    )
+    # parents in other blocks: all known (free), and the highest of them
+    todo = todo.withColumns({"free": F.size("far") == 0, "ahead": F.lit(-1).cast("long")})
+    finished: list[DataFrame] = []
+    left = None
+    while True:
+        listed = todo.groupBy("conv_id", "block").agg(F.array_sort(F.collect_list(F.struct("gid", "locals", "far", "free", "ahead", "level"))).alias("nodes"))
+        solved = listed.select("conv_id", "block", F.explode(F.arrays_zip("nodes", _solved(F.col("nodes")).alias("solved"))).alias("n"))
+        out = scratch.write(solved.select("conv_id", "block", "n.nodes.gid", "n.nodes.locals", "n.nodes.far", F.col("n.solved").alias("level")), "solved")
+        still = out.agg(F.count(F.when(F.col("level").isNull(), 1))).first()[0]
+        if not still or still == left:
+            finished.append(out)
             break
-        known = scratch.write(known.unionByName(ready), "known")
-        wants = scratch.write(wants.join(ready.select("conv_id", F.col("top").alias("junction")), ["conv_id", "junction"], "left_anti"), "wants")
-    levels = tops.join(known, ["conv_id", "top"]).select("conv_id", "call_id", (F.col("level") + F.col("far")).alias("level"))
-    return keys.join(levels, ["conv_id", "call_id"], "left")
+        left = still
+        some = out.where("level is null").select("conv_id", "block").distinct()
+        finished.append(out.join(some, ["conv_id", "block"], "left_anti"))
+        if len(finished) > PARTS:
+            finished = [scratch.write(_united(finished), "finished")]
+        again = out.join(some, ["conv_id", "block"], "left_semi")
+        known = _united([*finished, again.select(*out.columns)]).where("level is not null").select(F.col("gid").alias("up"), F.col("level").alias("above"))
+        met = again.where("level is null").select("gid", F.explode("far").alias("up")).join(known, "up").groupBy("gid").agg(F.count("*").alias("have"), F.max("above").alias("highest"))
+        todo = again.join(met, "gid", "left").withColumns({"free": F.size("far") == F.coalesce("have", F.lit(0)), "ahead": F.coalesce("highest", F.lit(-1))})
+    return keys.join(_united(finished).select("gid", "level"), "gid").select("conv_id", "call_id", "level")
+
+
+def _united(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
 
 
 def dense_position(rows: DataFrame, scratch: Scratch) -> DataFrame:
     """``rows(conv_id, call_id, level, turn)`` with ``position`` from 0 in the order (level, turn, call_id) of each conversation.
 
-    Conversations are cut into blocks of turns at one level, ordered on their
-    own; offsets come from the blocks' counts.  Calls without a level come last.
+    Calls without a level come last.
     """
-    ranked = rows.withColumn("rank", F.coalesce("level", F.lit(2**62))).withColumn("block", F.floor(F.coalesce("turn", F.lit(-1)) / BLOCK))
-    counts = ranked.groupBy("conv_id", "rank", "block").agg(F.count("*").alias("here"))
-    before = F.sum("here").over(Window.partitionBy("conv_id").orderBy("rank", "block").rowsBetween(Window.unboundedPreceding, -1))
-    offsets = scratch.write(counts.select("conv_id", "rank", "block", F.coalesce(before, F.lit(0)).alias("offset")), "offsets")
-    inside = F.row_number().over(Window.partitionBy("conv_id", "rank", "block").orderBy(F.col("turn").asc_nulls_first(), "call_id")) - 1
-    return ranked.withColumn("inside", inside).join(offsets, ["conv_id", "rank", "block"]).select(*rows.columns, (F.col("offset") + F.col("inside")).cast("long").alias("position"))
+    order = (F.col("conv_id"), F.col("level").asc_nulls_last(), F.col("turn").asc_nulls_first(), F.col("call_id"))
+    ranked = numbered(rows, scratch, *order).withColumn("part", F.shiftright("gid", 33))
+    counts = ranked.groupBy("conv_id", "part").agg(F.count("*").alias("here"), F.min("gid").alias("first"))
+    before = F.sum("here").over(Window.partitionBy("conv_id").orderBy("part").rowsBetween(Window.unboundedPreceding, -1))
+    offsets = counts.select("conv_id", "part", "first", F.coalesce(before, F.lit(0)).alias("before"))
+    return ranked.join(offsets, ["conv_id", "part"]).select(*rows.columns, (F.col("gid") - F.col("first") + F.col("before")).alias("position"))
 
 
 def validate(calls: DataFrame, schemas: DataFrame) -> DataFrame:
@@ -146,7 +195,7 @@ def link_tool_calls(calls: DataFrame, results: DataFrame, schemas: DataFrame) ->
     one = scratch.write(_first(calls, "name", "arguments", "parents").withColumnRenamed("seen", "n_calls"))
     answers = scratch.write(_first(results, "content").select("conv_id", "call_id", F.col("seen").alias("n_results"), F.col("turn").alias("answered"), "content"))
     levels = topological_levels(one, scratch)
-    placed = dense_position(levels.join(one.select("conv_id", "call_id", "turn"), ["conv_id", "call_id"]), scratch).drop("turn")
+    placed = dense_position(levels.join(one.select("conv_id", "call_id", "turn"), ["conv_id", "call_id"]), scratch).select("conv_id", "call_id", "level", "position")
     checked = validate(one.drop("parents"), schemas)
     joined = checked.join(placed, ["conv_id", "call_id"]).join(answers, ["conv_id", "call_id"], "left")
     # fields in alphabetical order; arguments stand as JSON where they are JSON, else as a string

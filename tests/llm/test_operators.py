@@ -490,13 +490,67 @@ def test_tool_calls(spark):
 
 def test_long_chains_and_recorded_calls(spark):
     chain = spark.createDataFrame([(1, i, f"c{i}", "f", "{}", [f"c{i - 1}"] if i else []) for i in range(200)], tool_calls.CALLS)
-    levels = tool_calls.topological_levels(chain, Scratch(spark, "test")).collect()
-    assert sorted(r.level for r in levels) == list(range(200))
+    for block in (4096, 64):
+        levels = tool_calls.topological_levels(chain, Scratch(spark, "test"), block).collect()
+        assert sorted(r.level for r in levels) == list(range(200))
     told = spark.createDataFrame([(1, 0, "assistant", '{"tool_calls":[{"id":"k","name":"f","arguments":"{}"}]}'), (1, 1, "tool", '{"tool_call_id":"k","content":"done"}'), (1, 2, "user", None), (2, None, "user", "x")], "conv_id long, turn long, role string, text string")
     got = {(r.conv_id, r.call_id): r.linked for r in tool_calls.link_tool_calls(*tool_calls.dialogue_events(told)).collect()}
     assert got == {(1, "k"): True, (1, "turn-2"): False}
 
 
+def test_levels_equal_longest_paths(spark):
+    """Random graphs with cycles, parents in any order, ties and nulls in turn, in blocks smaller than conversations."""
+    rng = random.Random(11)
+    rows, want = [], {}
+    for conv in range(6):
+        n = rng.randrange(1, 60)
+        names = [f"k{i}" for i in rng.sample(range(1000), n)]
+        parents = {names[i]: rng.sample(names[:i], min(i, rng.randrange(3))) + ["nobody"] for i in range(n)}
+        if conv % 2:
+            parents[names[0]] = [names[-1]]  # some of them close a cycle
+        level = {}
+        for _ in range(n):
+            for k, up in parents.items():
+                known = [u for u in up if u in parents]
+                if k not in level and all(u in level for u in known):
+                    level[k] = 1 + max((level[u] for u in known), default=-1)
+        for k, up in parents.items():
+            rows.append((conv, rng.choice([None, 1, 2, 3]), k, "f", "{}", up + up[:1]))
+            want[conv, k] = level.get(k)
+    calls = spark.createDataFrame(rows, tool_calls.CALLS).repartition(3)
+    for block in (4096, 8):
+        out = tool_calls.topological_levels(calls, Scratch(spark, "test"), block)
+        assert {(r.conv_id, r.call_id): r.level for r in out.collect()} == want
+    placed = tool_calls.dense_position(out.join(calls.select("conv_id", "call_id", "turn"), ["conv_id", "call_id"]), Scratch(spark, "test")).collect()
+    for conv in range(6):
+        own = sorted((r for r in placed if r.conv_id == conv), key=lambda r: (r.level is None, r.level or 0, -1 if r.turn is None else r.turn, r.call_id))
+        assert [r.position for r in own] == list(range(len(own)))
+
+
+def test_thousands_of_user_turns_take_few_jobs(spark):
+    told = spark.createDataFrame([(7, i, "user", f"t{i}") for i in range(3000)], "conv_id long, turn long, role string, text string").repartition(4)
+    group = spark.sparkContext.statusTracker()
+    spark.sparkContext.setJobGroup("few", "few")
+    out = tool_calls.link_tool_calls(*tool_calls.dialogue_events(told)).select("call_id", "level", "position").collect()
+    jobs = len(group.getJobIdsForGroup("few"))
+    spark.sparkContext.setJobGroup("rest", "rest")
+    assert {r.call_id: (r.level, r.position) for r in out} == {f"turn-{i}": (i, i) for i in range(3000)} and jobs < 60
+
+
+def test_dialogue_edges(spark, tmp_path):
+    rows = [(None, 1, "user", "x"), (1, None, "user", "x"), (1, 1, None, None), (1, 1, "user", "again"), (1, 2, "assistant", ""), (2, 1, "assistant", "no call"), (3, 1, "user", "w " * 200_000), (3, 1, "user", "tie"), (4, 1, "tool", "{"), (5, 1, "user", '{"tool_calls": 3}')]
+    told = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").withColumns({c: F.lit("x") for c in ("call_id", "level", "gid", "block", "part", "name")})
+    told.write.parquet(str(tmp_path / "conversations.parquet"))
+    got = QUERIES["op1_tool_call_linking"](spark, str(tmp_path))
+    out = {(r.conv_id, r.call_id): (r.n_calls, r.n_results, r.linked, r.problem) for r in got.collect()}
+    assert out == {
+        (1, "turn-1"): (2, 1, True, None), (2, "turn-0"): (0, 1, False, "orphan result"), (3, "turn-1"): (2, 0, False, None),
+        (4, "turn-0"): (0, 1, False, "orphan result"), (5, "turn-1"): (1, 0, False, None),
+    }
+    told.limit(0).write.parquet(str(tmp_path / "none/conversations.parquet"))
+    assert QUERIES["op1_tool_call_linking"](spark, str(tmp_path / "none")).count() == 0
+
+
 # pages
 
 
