@@ -8,14 +8,15 @@ from pyspark.sql import functions as F
 
 from litspark.catalog import load
 from litspark.operators import chunk, clusters, encode, index, qa
-from litspark.plans.q_index import K, PROBES, _queries, _vectors
+from litspark.plans.q_index import K, _queries, _vectors
 from litspark.plans.q_qa import DIMS, _cloze, _fulltext, _measure_graded, q_registry
 
 
 def kmeans_ivf(spark, sf_dir):
     vectors = _vectors(spark, sf_dir)
-    seeds = clusters.kmeans_seeds(vectors, index.default_cells(vectors.count()))
-    return index.knn_ivf(_queries(vectors), index.build_ivf(vectors, seeds), seeds, K, PROBES)
+    cells = index.default_cells(vectors.count())
+    seeds = clusters.kmeans_seeds(vectors, cells)
+    return index.knn_ivf(_queries(vectors), index.build_ivf(vectors, seeds), seeds, K, index.default_probes(cells))
 
 
 def cluster_quality(spark, sf_dir):
@@ -30,7 +31,7 @@ def cluster_quality(spark, sf_dir):
 def concept_graph(spark, sf_dir):
     docs = load(spark, sf_dir, "documents", "doc_id", "text", "source")
     vectors = encode.hashed_vectors(docs, "text", "doc_id", DIMS).join(docs.select(F.col("doc_id").alias("id"), "source"), "id")
-    return clusters.concept_graph(vectors, vectors.where("id % 50 = 0").select(F.col("id").alias("query_id"), "vector"), 3)
+    return clusters.concept_graph(vectors, vectors.where("id % 50 = 0").select(F.col("id").alias("query_id"), "vector", "source"), 3)
 
 
 def qa_corpora(spark, sf_dir):

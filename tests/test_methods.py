@@ -191,7 +191,8 @@ def test_all_probes_equal_exact(spark, sf):
     seeds = v.where("id < 5").select(F.col("id").alias("cell"), F.col("vector").alias("seed"))
     exact = sorted(index.knn_gemm(q, v, 5).collect())
     assert sorted(index.knn_ivf(q, index.build_ivf(v, seeds), seeds, 5, 5).collect()) == exact
-    assert sorted(index.knn_gemm(q, v, 5, codec="int8").collect()) == exact
+    assert sorted(index.knn_int8(q, index.codes_of(v), v, 5).collect()) == exact
+    assert sorted(index.knn_gemm(q, v, 5, query_bytes=0).collect()) == exact  # blocks against blocks
     assert index.knn_gemm(q.limit(0), v, 5).count() == 0
     assert [index.plan_knn(q_, 10**9, 10) for q_ in (1, 50, 10**6)] == ["exact", "ivf+rescore", "ivf"]
 
@@ -270,3 +271,38 @@ def test_plans(spark, sf):
     said = chunk.semantic_chunks(docs.where("lang = 'en'"))._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in said and "PushedFilters" in said and "EqualTo(lang,en)" in said
     assert "source" not in said.split("ReadSchema")[1].split("\n")[0]
+
+
+def test_index_recall(spark):
+    """Recall against brute force of every approximate index at its registered parameters."""
+    from litspark.plans import q_index, q_more
+
+    sf = "/root/testdata/sf0.1"
+    rows = {r.method: r.found / r.true_neighbours for r in q_index._recall(spark, sf).collect()}
+    vectors = q_index._vectors(spark, sf)
+    truth = index.knn_gemm(q_index._queries(vectors), vectors, q_index.K)
+    r = index.recall(q_more.kmeans_ivf(spark, sf), truth).first()
+    rows["kmeans"] = r.found / r.true_neighbours
+    print(rows)
+    assert set(rows) == {"int8", "ivf", "lsh", "kmeans"} and min(rows.values()) >= 0.9
+
+
+def test_codes_are_scanned_without_vectors(spark, tmp_path, sf):
+    v = spark.read.parquet(f"{sf}/embeddings.parquet").select(F.col("vec_id").alias("id"), F.col("embedding").alias("vector"))
+    index.codes_of(v).write.parquet(str(tmp_path / "codes"))
+    codes = spark.read.parquet(str(tmp_path / "codes"))
+    assert codes.count() == v.count() and all(len(r.code) == 64 for r in codes.limit(5).collect())
+    q = v.where("id % 50 = 0").select(F.col("id").alias("query_id"), "vector")
+    assert sorted(index.knn_int8(q, codes, v, 5).collect()) == sorted(index.knn_gemm(q, v, 5).collect())
+
+
+def test_graph_edges_leave_crowded_sources(spark):
+    from litspark.operators import clusters
+
+    rows = [(i, [1.0, 0.001 * i], "a") for i in range(40)] + [(100 + i, [0.0, 1.0 + i], "b") for i in range(4)] + [(200, [1.0, 1.0], None)]
+    vectors = spark.createDataFrame(rows, "id long, vector array<float>, source string")
+    asked = vectors.where("id in (0, 100)").select(F.col("id").alias("query_id"), "vector", "source")
+    got = {}
+    for r in clusters.concept_graph(vectors, asked, 3).collect():
+        got.setdefault(r.query_id, set()).add(r.id)
+    assert got[0] == {200, 100, 101} and 200 in got[100] and len(got[100]) == 3
