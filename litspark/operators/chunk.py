@@ -31,8 +31,13 @@ def joins(dot: int, left: int, right: int, threshold: Fraction) -> bool:
     return left * right > 0 and dot * dot * den * den >= num * num * left * right
 
 
-def cut(sentence_list: list[str], threshold: Fraction = THRESHOLD, dims: int = DIMS) -> list[tuple[int, int, int]]:
-    """(first sentence, last sentence, tokens) of each chunk."""
+def cut(sentence_list: list[str], threshold: Fraction = THRESHOLD, dims: int = DIMS, max_tokens: int | None = None, centroid: bool = False) -> list[tuple[int, int, int]]:
+    """(first sentence, last sentence, tokens) of each chunk.
+
+    ``max_tokens`` ends a chunk before the sentence that would exceed it (a longer
+    sentence is a chunk of its own); ``centroid`` compares a sentence with the sum
+    of its chunk so far in place of the sentence before it.
+    """
     out: list[list[int]] = []
     before: Counter = Counter()
     size_before = 0
@@ -40,24 +45,28 @@ def cut(sentence_list: list[str], threshold: Fraction = THRESHOLD, dims: int = D
         codes = [token_code(w) % dims for w in split_tokens(sentence)]
         counts = Counter(codes)
         size = sum(c * c for c in counts.values())
-        if out and joins(sum(c * before[d] for d, c in counts.items()), size_before, size, threshold):
+        fits = max_tokens is None or (out and out[-1][2] + len(codes) <= max_tokens)
+        if out and fits and joins(sum(c * before[d] for d, c in counts.items()), size_before, size, threshold):
             out[-1][1] = i
             out[-1][2] += len(codes)
+            if centroid:
+                counts.update(before)
+                size = sum(c * c for c in counts.values())
         else:
             out.append([i, i, len(codes)])
         before, size_before = counts, size
     return [tuple(c) for c in out]
 
 
-def semantic_chunks(docs: DataFrame, threshold: Fraction = THRESHOLD, dims: int = DIMS) -> DataFrame:
-    """Chunks of ``docs(doc_id, text)`` in one pass over each row: no shuffle."""
+def semantic_chunks(docs: DataFrame, threshold: Fraction = THRESHOLD, dims: int = DIMS, max_tokens: int | None = None, centroid: bool = False) -> DataFrame:
+    """Chunks of ``docs(doc_id, text)`` in one pass over each row: no shuffle; ``max_tokens`` and ``centroid`` as in ``cut``."""
 
     def sweep(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in rows:
             out: list[tuple] = []
             for doc_id, text in zip(batch.column("doc_id").to_pylist(), batch.column("text").to_pylist()):
                 said = split_sentences(text)
-                for no, (first, last, n) in enumerate(cut(said, threshold, dims)):
+                for no, (first, last, n) in enumerate(cut(said, threshold, dims, max_tokens, centroid)):
                     out.append((f"{doc_id}-{no}", doc_id, no, first, last, ". ".join(said[first : last + 1]), n))
             columns = list(zip(*out)) or [()] * 7
             kinds = (pa.string(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.string(), pa.int32())

@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
+from functools import lru_cache
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -12,6 +17,8 @@ FRAMES = {"en": "What about", "fr": "Que dire de", "de": "Was ist mit", "es": "Q
 QUESTION_TOKENS = 8
 ACCEPT_TOKENS = 12
 HELD_OUT_PERCENT = 5
+#: Distinct tokens whose frequencies go to every task; beyond them, those of the ``COMMON`` most frequent.
+VOCABULARY, COMMON = 500_000, 20_000
 
 
 def document_frequency(docs: DataFrame) -> DataFrame:
@@ -26,14 +33,57 @@ def synth_questions(chunks: DataFrame, docs: DataFrame, accept: int = ACCEPT_TOK
     order behind a frame word; rarer means fewer documents, then smaller md5.
     """
     enough = chunks.select("chunk_id", "doc_id", token_array(F.col("text")).alias("w")).where(F.size(F.array_distinct("w")) >= accept)
+    frequency = document_frequency(docs).persist()
+    known = frequency.limit(VOCABULARY + 1).count()
+    if known <= VOCABULARY:
+        # the frequencies go to every task: no token of a chunk is shuffled
+        chosen = _rarest_in_place(enough, {r.token: r.df for r in frequency.collect()}, size)  # at most VOCABULARY rows
+        frequency.unpersist()
+    else:
+        chosen = _rarest_by_join(enough, frequency, size)
+    framed = chosen.join(docs.select("doc_id", "lang"), "doc_id")
+    frames = F.create_map(*[F.lit(x) for p in FRAMES.items() for x in p])
+    return framed.select("chunk_id", "doc_id", F.concat_ws(" ", F.coalesce(F.try_element_at(frames, F.col("lang")), F.lit("What about")), "reading", F.lit("?")).alias("question"))
+
+
+def _rarest_by_join(enough: DataFrame, frequency: DataFrame, size: int) -> DataFrame:
+    """(chunk_id, doc_id, reading) for any vocabulary.
+
+    Tokens of very many documents are hot keys, so their frequencies, a bounded
+    table, are broadcast; the others meet by a shuffle.
+    """
     spread = enough.select("chunk_id", "doc_id", F.posexplode(F.array_distinct("w")).alias("at", "token"))
-    rated = spread.join(document_frequency(docs), "token")
+    common = F.broadcast(frequency.orderBy(F.desc("df"), "token").limit(COMMON).withColumnRenamed("df", "often"))
+    met = spread.join(common, "token", "left")
+    rated = met.where("often is not null").withColumnRenamed("often", "df").unionByName(met.where("often is null").drop("often").join(frequency, "token"))
     best = F.slice(F.array_sort(F.collect_list(F.struct("df", F.md5("token").alias("h"), "at", "token"))), 1, size)
     chosen = rated.groupBy("chunk_id", "doc_id").agg(best.alias("b"))
     reading = F.array_join(F.transform(F.array_sort(F.transform("b", lambda x: F.struct(x["at"].alias("at"), x["token"].alias("token")))), lambda x: x["token"]), " ")
-    frames = F.create_map(*[F.lit(x) for p in FRAMES.items() for x in p])
-    framed = chosen.join(docs.select("doc_id", "lang"), "doc_id")
-    return framed.select("chunk_id", "doc_id", F.concat_ws(" ", F.coalesce(F.try_element_at(frames, F.col("lang")), F.lit("What about")), reading, F.lit("?")).alias("question"))
+    return chosen.select("chunk_id", "doc_id", reading.alias("reading"))
+
+
+@lru_cache(maxsize=1 << 16)
+def _digest(token: str) -> str:
+    return hashlib.md5(token.encode()).hexdigest()
+
+
+def _rarest_in_place(enough: DataFrame, frequency: dict[str, int], size: int) -> DataFrame:
+    """(chunk_id, doc_id, reading) with the frequencies at hand; the same rows as by the join."""
+    held = enough.sparkSession.sparkContext.broadcast(frequency)
+
+    def pick(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = held.value
+        for batch in rows:
+            out = []
+            for words in batch.column("w").to_pylist():
+                own = [w for w in dict.fromkeys(words) if w in known]
+                bound = sorted(known[w] for w in own)[min(size, len(own)) - 1] if own else 0
+                rare = sorted((w for w in own if known[w] <= bound), key=lambda w: (known[w], _digest(w)))[:size]
+                place = {w: i for i, w in enumerate(own)}
+                out.append(" ".join(sorted(rare, key=place.__getitem__)))
+            yield pa.RecordBatch.from_arrays([batch.column("chunk_id"), batch.column("doc_id"), pa.array(out, pa.string())], ["chunk_id", "doc_id", "reading"])
+
+    return enough.select("chunk_id", "doc_id", "w").mapInArrow(pick, "chunk_id string, doc_id long, reading string")
 
 
 def clusters(docs: DataFrame) -> DataFrame:

@@ -82,3 +82,23 @@ def throughput(spark: SparkSession, runs: dict[str, Callable[[], DataFrame]], ro
         seconds = timed(run)
         out.append((name, seconds, rows / seconds, rows / seconds / cores))
     return spark.createDataFrame(out, "name string, seconds double, rows_per_s double, rows_per_core_s double")
+
+
+def training_rates(log: list[dict], workers: int, dims: int, rank: int, batch: int) -> dict[str, float]:
+    """Rates of a run's log: samples and steps a second, all samples, counted operations, and operations a second and worker.
+
+    Operations are counted from the tokens that the run read, not measured.  The
+    first step, which warms up, is left out of the rates where there are others.
+    """
+    timed = log[1:] or log
+    seconds = sum(r["seconds"] for r in timed)
+    count = lambda rows: sum(flops("train", tokens=r["tokens"], dims=dims, rank=rank, queries=r["pairs"], candidates=r["candidates"]) for r in rows)
+    return {
+        "steps": len(log), "samples": sum(r["pairs"] for r in log), "samples_per_s": sum(r["pairs"] for r in timed) / seconds, "steps_per_s": len(timed) / seconds,
+        "flops": count(log), "tflops_per_worker": flops_per_worker(count(timed), seconds, workers) / 1e12, "sent_mb": sum(r["sent"] for r in log) / 1e6, "load_seconds": max(r["load_seconds"] for r in log),
+        "projected_epoch_hours": epoch_hours(16.4e6, sum(r["pairs"] for r in timed) / seconds),
+    }
+
+
+def flops_per_worker(operations: float, seconds: float, workers: int) -> float:
+    return operations / (seconds * workers)

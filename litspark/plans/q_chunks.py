@@ -40,6 +40,10 @@ def _chunks(threshold, windowed):
     return query
 
 
+def _variant(**more):
+    return lambda spark, sf_dir: chunk.semantic_chunks(_docs(spark, sf_dir), **more)
+
+
 def q_running_mean(spark, sf_dir):
     """How chunk counts move with the threshold: chunks per threshold, from one pass over similarities."""
     near = chunk.adjacent_similarity(_docs(spark, sf_dir))
@@ -116,6 +120,8 @@ def _test(key: str) -> str:
 _step = 96
 QUERIES = {
     "sentences": q_sentences,
+    "semantic_chunks_bounded": _variant(max_tokens=64),
+    "semantic_chunks_centroid": _variant(centroid=True),
     "tokens": q_tokens,
     "hash_features_sparse": q_features,
     "adjacent_cosine": q_adjacent,

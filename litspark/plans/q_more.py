@@ -42,7 +42,7 @@ def qa_corpora(spark, sf_dir):
         if kind:
             made = chunk.semantic_chunks(clusters.corpus(docs, kind)).withColumn("passage_id", F.col("doc_id") * 100_000 + F.col("chunk_no")).select("passage_id", "text").persist()
             vectors = encode.hashed_vectors(made, "text", "passage_id", DIMS)
-        for name, items in (("cloze", _cloze(spark, sf_dir)), ("fulltext", _fulltext(spark, sf_dir).where("item_id % 50 = 0"))):
+        for name, items in (("cloze", _cloze(spark, sf_dir)), ("fulltext", _fulltext(spark, sf_dir))):
             context = None
             if kind:
                 queries = encode.hashed_vectors(items, "question", "item_id", DIMS).select(F.col("id").alias("query_id"), "vector")

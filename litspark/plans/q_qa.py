@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from functools import reduce
 
+from pyspark import StorageLevel
 from pyspark.sql import functions as F
 
 from litspark.catalog import load
@@ -81,8 +82,9 @@ def _measure_graded(k, encoder=None):
 def _heldout(spark, sf_dir, encoder=None, k=20):
     docs = _docs(spark, sf_dir)
     number = F.element_at(F.split("chunk_id", "-"), 1).cast("long") * 100_000 + F.element_at(F.split("chunk_id", "-"), 2).cast("long")
-    made = chunk.semantic_chunks(docs).withColumn("id", number)
-    asked = pairs.split_by_document(pairs.synth_questions(made, docs), docs).where("split = 'test'").withColumn("query_id", number)
+    made = chunk.semantic_chunks(docs).withColumn("id", number).persist(StorageLevel.DISK_ONLY)  # read for the questions and for the vectors
+    test = pairs.clusters(docs).where(pairs.in_test(F.col("cluster_id")))  # questions of the held-out documents only
+    asked = pairs.synth_questions(made.join(test, "doc_id", "left_semi"), docs).withColumn("query_id", number).persist(StorageLevel.DISK_ONLY)
     embed = encoder or (lambda df, text, key: encode.hashed_vectors(df, text, key, DIMS))
     vectors = embed(made, "text", "id")
     queries = embed(asked, "question", "query_id").select(F.col("id").alias("query_id"), "vector")
@@ -143,9 +145,10 @@ def _training_pairs(spark, sf_dir):
 
 
 def q_fit(spark, sf_dir):
-    """Loss by step of a short hybrid run."""
-    _, log = train.fit(_training_pairs(spark, sf_dir), train.TrainConfig(steps=8, batch=12))
-    return spark.createDataFrame([tuple(r.values()) for r in log], "step int, pairs int, contrastive double, late double, loss double")
+    """Loss by step of a hybrid run: 100 steps of 24 pairs on each of four workers."""
+    _, log = train.fit_in_stage(_training_pairs(spark, sf_dir), train.TrainConfig())
+    names = ("step", "pairs", "contrastive", "late", "loss")
+    return spark.createDataFrame([tuple(r[n] for n in names) for r in log], "step int, pairs int, contrastive double, late double, loss double")
 
 
 VARIANTS = {
@@ -154,13 +157,13 @@ VARIANTS = {
 }
 
 
-def q_ablation(spark, sf_dir, steps=4):
+def q_ablation(spark, sf_dir, steps=100):
     """P@10, MRR@10 on the graded set for tuned variants and the untuned base."""
     data = _training_pairs(spark, sf_dir).persist()
     out = []
     for name, more in [("untuned-small", None), *VARIANTS.items()]:
-        cfg = train.TrainConfig(steps=steps, batch=12, **(more or {}))
-        adapter = None if more is None else train.fit(data, cfg)[0]
+        cfg = train.TrainConfig(steps=steps, **(more or {}))
+        adapter = None if more is None else train.fit_in_stage(data, cfg)[0]
         embed = lambda df, text, key, a=adapter, s=cfg.spec: encode.with_pooled(df, text, key, s, a)
         out.append(_measure_graded(10)(spark, sf_dir, embed).select(F.lit(name).alias("variant"), "*"))
     return reduce(lambda a, b: a.unionByName(b), out)

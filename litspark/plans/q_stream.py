@@ -46,7 +46,7 @@ def q_normalised(spark, sf_dir):
 
 def q_scaling(spark, sf_dir):
     docs, pages = load(spark, sf_dir, "documents", "doc_id", "text"), load(spark, sf_dir, "pages")
-    runs = [("chunk", chunk.semantic_chunks, docs), ("parse", parse.two_stage, pages)]
+    runs = [("chunk", chunk.semantic_chunks, docs), ("parse", parse.two_stage, pages), ("parse end-to-end", parse.parse_end_to_end, pages)]
     return reduce(lambda a, b: a.unionByName(b), [costs.scaling_curve(spark, f, t).select(F.lit(n).alias("stage"), "*") for n, f, t in runs])
 
 

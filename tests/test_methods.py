@@ -306,3 +306,79 @@ def test_graph_edges_leave_crowded_sources(spark):
     for r in clusters.concept_graph(vectors, asked, 3).collect():
         got.setdefault(r.query_id, set()).add(r.id)
     assert got[0] == {200, 100, 101} and 200 in got[100] and len(got[100]) == 3
+
+
+def test_late_interaction_on_text_tokens(spark):
+    from litspark.operators import late
+
+    texts = ["alpha beta gamma", "beta gamma delta epsilon", "", "zeta", "alpha beta gamma delta " * 3]
+    passages = spark.createDataFrame(list(enumerate(texts)), "id long, text string").repartition(2)
+    asked = spark.createDataFrame([(7, "beta gamma"), (8, "zeta alpha"), (9, "")], "query_id long, question string")
+    for model in (late.Hashed(), late.Encoded()):
+        rows = model.reader()
+        q, p = late.token_index(asked, "question", "query_id", model), late.token_index(passages, "text", "id", model)
+        want = {(a, i): maxsim(rows(x), rows(t)) for a, x in ((7, "beta gamma"), (8, "zeta alpha")) for i, t in enumerate(texts)}
+        got = {(r.query_id, r.id): r.score for r in late.late_full(q, p, 5).collect()}
+        assert got == pytest.approx(want, abs=1e-5)
+        two = late.retrieve_late_interaction(q, p, spark.createDataFrame([(7, 0), (7, 3), (7, 3), (9, 0)], "query_id long, id long"), 5)
+        assert {(r.query_id, r.id): r.score for r in two.collect()} == pytest.approx({(7, 0): want[7, 0], (7, 3): want[7, 3], (9, 0): 0.0}, abs=1e-5)
+
+
+def _small_pairs(spark):
+    words = [f"w{i}" for i in range(60)]
+    rows = [(f"{i}", f"{words[i]} {words[(i * 7) % 60]}", f"{words[i]} {words[(i * 7) % 60]} {words[(i * 3) % 60]} x y") for i in range(48)]
+    return spark.createDataFrame(rows, "pair_id string, question string, text string")
+
+
+def test_training_in_one_stage_equals_step_by_step(spark):
+    data = _small_pairs(spark)
+    for more in ({}, {"gather": False}, {"loss": "cl", "adapter": "ia3"}):
+        cfg = train.TrainConfig(workers=2, batch=6, steps=3, cap=12, rate=0.1, **more)
+        one, log = train.fit(data, cfg)
+        two, again = train.fit_in_stage(data, cfg)
+        assert all(np.allclose(one.weights[k], two.weights[k], atol=1e-9) for k in one.weights)
+        assert [r["loss"] for r in log] == pytest.approx([r["loss"] for r in again]) and all(r["pairs"] == 12 for r in again)
+    with pytest.raises(ValueError):
+        train.fit_in_stage(data, train.TrainConfig(workers=1000))
+
+
+def test_sharded_parameters_are_shares(spark):
+    from litspark.plans import costs
+
+    assert [train.shard_columns(10, p, 3) for p in range(3)] == [slice(0, 3), slice(3, 6), slice(6, 10)]
+    cfg = train.TrainConfig(workers=2, batch=6, steps=3, cap=12, rate=0.1)
+    whole, log = train.fit_in_stage(_small_pairs(spark), cfg)
+    shared, slow = train.fit_in_stage(_small_pairs(spark), train.TrainConfig(workers=2, batch=6, steps=3, cap=12, rate=0.1, shard_params=True))
+    assert all((whole.weights[k] == shared.weights[k]).all() for k in whole.weights)
+    a, b = (costs.training_rates(x, 2, 64, 8, 6) for x in (log, slow))
+    # each step sends at least the whole table once; the replicas send vectors and gradients only
+    assert b["sent_mb"] > 3 * 4 * 2**14 * 64 / 1e6 > a["sent_mb"] and a["flops"] == b["flops"] > 0 and a["samples"] == 36
+
+
+@pytest.mark.parametrize("name, steps", [("retrieval_table", 2), ("answering_table", 2), ("training_performance", 2), ("training_scaling", 2)])
+def test_experiment_tables_are_whole(spark, sf, name, steps):
+    from litspark.plans import q_tables
+
+    rows = q_tables.QUERIES[name](spark, sf, steps).collect()
+    if name == "retrieval_table":
+        assert len(rows) == 9 and all(0 <= r[m] <= 1 for r in rows for m in ("p10", "mrr10", "mrr20", "top20")) and all(r.mrr20 <= r.top20 for r in rows)
+    elif name == "answering_table":
+        assert len(rows) == 35 - 7 * (len({r.benchmark for r in rows}) < 5) and {r.benchmark for r in rows} >= {"cloze", "yesno", "fulltext", "function"}
+    elif name == "training_performance":
+        assert {r.run for r in rows} == set(q_tables.RUNS) and all(r.samples == 2 * 96 and r.tflops_per_worker > 0 for r in rows)
+        by = {r.run: r for r in rows}
+        assert by["large, low-rank, sharded and offloaded"].samples_per_s < by["large quantised, low-rank"].samples_per_s
+    else:
+        assert [(r.workers) for r in rows] == [1, 2, 4] * 3 and all(r.efficiency > 0 for r in rows)
+    spark.catalog.clearCache()
+
+
+def test_rarest_tokens_both_ways(spark, sf, monkeypatch):
+    from litspark.operators import pairs
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    made = chunk.semantic_chunks(docs).persist()
+    near = sorted(pairs.synth_questions(made, docs).collect())
+    monkeypatch.setattr(pairs, "VOCABULARY", 10)
+    monkeypatch.setattr(pairs, "COMMON", 20)
+    assert sorted(pairs.synth_questions(made, docs).collect()) == near and len(near) > 100

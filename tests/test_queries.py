@@ -8,7 +8,7 @@ from conftest import same_rows
 from litspark.queries import ORACLES, QUERIES
 
 #: Timed or trained queries, covered by tests of their own.
-LONG = {"strong_scaling", "parser_throughput", "fit_ablation_table", "qa_accuracy_grid"}
+LONG = {"strong_scaling", "parser_throughput", "fit_ablation_table", "qa_accuracy_grid", "retrieval_table", "answering_table", "training_performance", "training_scaling"}
 
 
 @pytest.mark.parametrize("name", sorted(ORACLES))
