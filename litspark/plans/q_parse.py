@@ -81,9 +81,13 @@ def q_car_precision(spark, sf_dir):
 
 
 def q_car_edit(spark, sf_dir):
-    """Edit-distance accuracy of the hybrid on plain-ASCII pages of at most 3000 characters (bytes equal characters there)."""
-    plain = _pairs(spark, sf_dir, "end_to_end").where(r"ref rlike '^[\\x00-\\x7f]*$' and length(ref) <= 3000")
-    return plain.select(F.col("id").alias("page_id"), F.round(measures.car_edit(F.col("ref"), F.col("hyp")), 6).alias("car"))
+    """Edit-distance character accuracy of every measured parser over all pages and whole texts."""
+
+    def one(name):
+        value = measures.car_edit(F.col("ref"), F.coalesce("hyp", F.lit("")))
+        return _pairs(spark, sf_dir, name).agg(F.count("*").alias("pages"), F.round(F.avg(value), 6).alias("car")).select(F.lit(name).alias("parser"), "pages", "car")
+
+    return reduce(lambda a, b: a.unionByName(b), [one(n) for n in MEASURED])
 
 
 def q_sample(spark, sf_dir):
@@ -143,7 +147,7 @@ QUERIES = {
     "page_regions": q_regions, "region_census": q_census, "page_metadata": q_metadata, "parsed_pages": q_parsed_pages, "assembled_pages": q_assembled, "parsed_documents": q_parsed_documents,
     "parse_extract_baseline": _parser("extract"), "parse_hybrid3": _parser("hybrid3"), "parse_end_to_end": _parser("end_to_end"), "parse_scanline": _parser("scanline"),
     "parser_routes": q_failures, "parser_failures": q_failure_rate, "split_pages": q_split_pages, "parser_bleu": q_bleu, "parser_bleu_corpus": q_bleu_corpus,
-    "parser_car_precision": q_car_precision, "parser_car_edit_ascii": q_car_edit, "parser_sample": q_sample, "page_assets": q_assets,
+    "parser_car_precision": q_car_precision, "parser_car_edit": q_car_edit, "parser_sample": q_sample, "page_assets": q_assets,
 }
 _squeezed_doc = r"trim(regexp_replace(coalesce(text, ''), '\s+', ' ', 'g'))"
 ORACLES = {
@@ -152,7 +156,10 @@ ORACLES = {
     "page_metadata": r"""SELECT page_id, 'lang' AS key, regexp_extract(html, '<html lang="([a-z]*)"', 1) AS value FROM pages
 UNION ALL SELECT page_id, 'title', replace(replace(regexp_extract(html, '<title>(.*?)</title>', 1, 's'), '&quot;', '"'), '&amp;', '&') FROM pages
 UNION ALL SELECT page_id, 'host', regexp_extract(url, '://([^/:]+)', 1) FROM pages
-UNION ALL SELECT page_id, 'links', ((length(html) - length(replace(html, '<a ', ''))) / 3)::BIGINT::VARCHAR FROM pages""",
+UNION ALL SELECT page_id, 'links', ((length(html) - length(replace(html, '<a ', ''))) / 3)::BIGINT::VARCHAR FROM pages
+UNION ALL SELECT page_id, 'authors', array_to_string(list_concat(regexp_extract_all(html, '<meta name="author" content="([^"]*)"', 1), regexp_extract_all(html, '<[a-z0-9]+[^>]* class="byline"[^>]*>([^<]*)</', 1)), '; ') FROM pages
+UNION ALL SELECT page_id, 'citations', array_to_string(list_concat(regexp_extract_all(html, '<cite[^>]*>([^<]*)</cite>', 1), regexp_extract_all(html, '(\[[0-9]{1,3}\])', 1)), '; ') FROM pages
+UNION ALL SELECT page_id, 'references', array_to_string(regexp_extract_all(regexp_extract(html, '<ol class="references">(.*?)</ol>', 1, 's'), '<li>([^<]*)</li>', 1), '; ') FROM pages""",
     "parsed_pages": f"WITH {TRUTH} SELECT page_id, ref AS text FROM truth",
     "assembled_pages": f"WITH {TRUTH} SELECT page_id, ref AS text FROM truth",
     "parsed_documents": f"SELECT doc_id, {_squeezed_doc} AS full_text FROM documents WHERE doc_id IN (SELECT try_cast(regexp_extract(url, '/(?:en|fr|de|es)/([0-9]+)', 1) AS BIGINT) FROM pages)",
@@ -170,8 +177,6 @@ rc AS (SELECT parser, id, ch, count(*) AS c FROM (SELECT parser, id, unnest(stri
 hc AS (SELECT parser, id, ch, count(*) AS c FROM (SELECT parser, id, unnest(string_split({SQUEEZE.format('hyp')}, '')) AS ch FROM pairs) GROUP BY ALL),
 v AS (SELECT parser, id, sum(least(h.c, coalesce(r.c, 0))) / sum(h.c) AS v FROM hc h LEFT JOIN rc r USING (parser, id, ch) GROUP BY parser, id)
 SELECT parser, round(avg(round(v, 6)), 6) AS car FROM v GROUP BY parser""",
-    "parser_car_edit_ascii": f"""WITH {REGIONS}, {TRUTH}, {HYPS} SELECT id AS page_id, round(greatest(0, 1 - levenshtein(ref, hyp) / length(ref)), 6) AS car
-FROM pairs WHERE parser = 'end_to_end' AND strlen(ref) = length(ref) AND length(ref) BETWEEN 1 AND 3000""",
     "page_assets": f"WITH {REGIONS} SELECT page_id, 0::BIGINT AS assets, count(*) AS regions FROM regions GROUP BY page_id",
     "parser_sample": r"""WITH n AS (SELECT page_id, concat_ws('/', regexp_extract(html, '<html lang="([a-z]*)"', 1), substr(md5(regexp_extract(url, '://(?:[^/]*\.)?([a-z]+)\.[a-z]+(?:[:/?#]|$)', 1)), 1, 1)) AS stratum, md5(page_id::VARCHAR) AS h FROM pages),
 r AS (SELECT *, row_number() OVER (PARTITION BY stratum ORDER BY h, page_id) AS r FROM n) SELECT page_id, stratum FROM r ORDER BY r, stratum LIMIT 100""",

@@ -26,3 +26,26 @@ def read_index(spark: SparkSession, path: str, version: str) -> tuple[DataFrame,
 def fetch_passages(hits: DataFrame, passages: DataFrame) -> DataFrame:
     """Texts of the winners only: hits are queries x k rows, the passages are scanned by id."""
     return passages.join(hits, "id")
+
+
+def run_stage(name: str, df: DataFrame, stage, rows_per_task: int = 50_000, path: str | None = None) -> tuple[DataFrame, dict]:
+    """A farm of independent tasks: ``stage(df)`` over about ``rows_per_task`` rows a task, and what the run took.
+
+    The rows are dealt evenly, so one large file or partition does not hold a task
+    up; with ``path`` the result is written there and read back, so that a lost
+    executor costs its running tasks only.  The report has name, rows, tasks and
+    seconds (of the write, None without one).
+    """
+    import time
+    from math import ceil
+
+    rows = df.count()
+    tasks = max(1, ceil(rows / rows_per_task))
+    made = stage(df.repartition(tasks))
+    seconds = None
+    if path:
+        began = time.perf_counter()
+        made.write.mode("overwrite").parquet(path)
+        seconds = time.perf_counter() - began
+        made = df.sparkSession.read.schema(made.schema).parquet(path)
+    return made, {"name": name, "rows": rows, "tasks": tasks, "seconds": seconds}

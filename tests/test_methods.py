@@ -382,3 +382,52 @@ def test_rarest_tokens_both_ways(spark, sf, monkeypatch):
     monkeypatch.setattr(pairs, "VOCABULARY", 10)
     monkeypatch.setattr(pairs, "COMMON", 20)
     assert sorted(pairs.synth_questions(made, docs).collect()) == near and len(near) > 100
+
+
+def test_edit_accuracy_equals_brute_force(spark):
+    from litspark.functions import measures
+
+    def distance(a, b):
+        row = list(range(len(b) + 1))
+        for i, x in enumerate(a, 1):
+            last, row[0] = row[0], i
+            for j, y in enumerate(b, 1):
+                last, row[j] = row[j], min(row[j] + 1, row[j - 1] + 1, last + (x != y))
+        return row[-1]
+
+    rng = np.random.default_rng(3)
+    rows = [("", ""), ("", "x"), ("abc", ""), ("é" * 90, "è" * 80), ("ab" * 500, "ba" * 400)]
+    rows += [("".join(rng.choice(list("abé "), n)), "".join(rng.choice(list("abé "), m))) for n, m in rng.integers(0, 200, (20, 2))]
+    got = spark.createDataFrame(rows, "ref string, hyp string").select("ref", "hyp", measures.car_edit(F.col("ref"), F.col("hyp")).alias("car")).collect()
+    for r in got:
+        want = float(r.hyp == "") if not r.ref else max(0.0, 1 - distance(r.ref, r.hyp) / len(r.ref))
+        assert r.car == pytest.approx(want)
+
+
+def test_chunk_guard_and_centroid(spark):
+    said = ["a b c", "a b d", "a b e f g", "x y", "x"]
+    assert chunk.cut(said) == [(0, 2, 11), (3, 4, 3)]
+    assert chunk.cut(said, max_tokens=6) == [(0, 1, 6), (2, 2, 5), (3, 4, 3)]
+    assert chunk.cut(said, max_tokens=2) == [(0, 0, 3), (1, 1, 3), (2, 2, 5), (3, 3, 2), (4, 4, 1)]
+    from fractions import Fraction
+
+    drift = ["a a a", "a b", "b b c", "c"]
+    assert len(chunk.cut(drift, Fraction(1, 4), centroid=True)) >= len(chunk.cut(drift, Fraction(1, 4)))
+    assert chunk.cut([], centroid=True) == [] and chunk.cut(["!"], centroid=True) == [(0, 0, 0)]
+
+
+def test_metadata_of_authors_citations_and_references(spark):
+    page = '<html lang="en"><head><meta name="author" content="A. One"></head><body><p class="byline">B.  <b>Two</b></p><p>As said [1], and [2-4] and [1] in <cite>Some Book</cite>.</p><ol class="references"><li>First, 1999.</li><li>Second</li></ol></body></html>'
+    meta = parse.metadata(spark.createDataFrame([(1, "http://x/en/1", page), (2, None, None)], "page_id long, url string, html string")).collect()
+    got = {r.page_id: r.meta for r in meta}
+    assert got[1]["authors"] == "A. One; B. Two" and got[1]["citations"] == "Some Book; [1]; [2-4]" and got[1]["references"] == "First, 1999.; Second"
+    assert got[2]["authors"] == got[2]["citations"] == got[2]["references"] == ""
+
+
+def test_stage_farm(spark, tmp_path, sf):
+    from litspark.sources import store
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text")
+    made, report = store.run_stage("chunk", docs, chunk.semantic_chunks, rows_per_task=30, path=str(tmp_path / "out"))
+    assert report["rows"] == 200 and report["tasks"] == 7 and report["seconds"] > 0
+    assert sorted(made.collect()) == sorted(chunk.semantic_chunks(docs).collect())
