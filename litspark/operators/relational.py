@@ -57,10 +57,12 @@ def near_pairs(docs: DataFrame, width: int = 5, percent: int = 75) -> DataFrame:
 
 def containment(docs: DataFrame, items: DataFrame, width: int = 8) -> DataFrame:
     """(doc_id, item_id): documents that hold an evaluation text verbatim: shared token windows, then ``contains``."""
-    window = lambda df, key: df.select(key, "text", F.explode(F.array_distinct(_runs(F.col("text"), width))).alias("h"))
-    some = window(items, "item_id").groupBy("item_id", "text").agg(F.min("h").alias("h")).withColumnRenamed("text", "wanted")
-    met = window(docs, "doc_id").join(some, "h").where(F.contains(F.col("text"), F.col("wanted")))
-    return met.select("doc_id", "item_id").distinct()
+    window = lambda df, key: df.select(key, F.explode(F.array_distinct(_runs(F.col("text"), width))).alias("h"))
+    some = window(items, "item_id").groupBy("item_id").agg(F.min("h").alias("h"))
+    # ids meet first; texts are fetched for the pairs that share a window
+    met = window(docs, "doc_id").join(some, "h").select("doc_id", "item_id").distinct()
+    both = met.join(items.select("item_id", F.col("text").alias("wanted")), "item_id").join(docs.select("doc_id", "text"), "doc_id")
+    return both.where(F.contains(F.col("text"), F.col("wanted"))).select("doc_id", "item_id").distinct()
 
 
 def _runs(text, width: int):
