@@ -10,12 +10,13 @@ from __future__ import annotations
 
 import json
 import random
+from functools import lru_cache
 from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-FEATURES = ("length", "switches", "digits", "uppers", "hexes", "distinct", "words", "path", "key_word", "assigned", "quoted", "code_word")
+FEATURES = ("length", "switches", "digits", "uppers", "hexes", "distinct", "words", "dictionary", "path", "key_word", "assigned", "quoted", "code_word")
 FILE = Path(__file__).with_name("secret_forest.json")
 #: Bound of the labelled sample that a forest is fitted on.
 SAMPLE_ROWS = 6000
@@ -26,6 +27,21 @@ KEY_WORDS = r"(?i)token|secret|passw|pwd|api[_-]?key|apikey|access[_-]?key|priva
 CODE_WORDS = r"(?i)commit|sha|md5|checksum|hash|uuid|guid|isbn|order|invoice|revision|build|version|card|account|phone|id"
 
 
+#: Whole words of a public vocabulary, the most frequent first, that make the dictionary, and the letters that a word has at least.
+DICTIONARY_WORDS, WORD_LETTERS = 6000, 4
+
+
+@lru_cache(maxsize=4)
+def dictionary(path: str | None = None) -> str:
+    """Words between blanks: the whole lower-case words among the first tokens of the vocabulary at ``path``."""
+    from litspark.llm.bpe import vocabulary_file
+
+    known = json.loads(vocabulary_file(path))["model"]["vocab"]
+    starts = "\u0120"  # stands for the blank before a word
+    words = [t[1:] for t, _ in sorted(known.items(), key=lambda x: x[1]) if t.startswith(starts) and len(t) > WORD_LETTERS and t[1:].isascii() and t[1:].isalpha() and t[1:].islower()]
+    return " " + " ".join(words[:DICTIONARY_WORDS]) + " "
+
+
 def labelled_findings(count: int = SAMPLE_ROWS, seed: int = SEED) -> list[tuple[str, str, str, str, int]]:
     """(candidate, word before, second word before, whole word, label): credentials in the usual forms, and what is taken for them."""
     rng = random.Random(seed)
@@ -33,6 +49,7 @@ def labelled_findings(count: int = SAMPLE_ROWS, seed: int = SEED) -> list[tuple[
     syllables = "th er in on an re ti es en at ou ed nd ha it sh ie ch ung ein que eau ment tion pour ado llo rra cion".split()
     keys = "token secret password passwd api_key apikey access_key client_secret private_key auth_token TOKEN SECRET_KEY Bearer credential".split()
     codes = "commit sha md5 checksum order invoice revision build uuid guid isbn card account id version hash".split()
+    common = dictionary().split()[:2000]
     draw = lambda letters, n: "".join(rng.choice(letters) for _ in range(n))
     word = lambda: "".join(rng.choice(syllables) for _ in range(rng.randint(1, 4)))
     out = []
@@ -43,16 +60,31 @@ def labelled_findings(count: int = SAMPLE_ROWS, seed: int = SEED) -> list[tuple[
             body = (draw(hexes, rng.choice((32, 40, 48, 64))), draw(alnum, rng.randint(20, 44)), draw(alnum + "+/", rng.choice((40, 43, 64))) + "=" * rng.randint(0, 1), rng.choice(("AKIA", "ghp_", "sk_live_", "xoxb-")) + draw(alnum, rng.randint(16, 36)), draw(alnum + "_-", rng.randint(18, 40)))[kind]
             if rng.random() < 0.1:
                 body = body.upper()
-            before, second, form = rng.choice((("=", rng.choice(keys), '"%s"'), (":", rng.choice(keys), "%s"), (rng.choice(keys) + ":", word(), "%s"), (rng.choice(keys), word(), "%s"), (word(), word(), rng.choice(keys) + "=%s"), ("=", rng.choice(keys), "'%s',")))
+            if rng.random() < 0.15:
+                body = draw(alnum + "_-", rng.randint(8, 15)) + rng.choice("0123456789")
+            key, host = rng.choice(keys), f"https://{word()}.example/{word()}"
+            before, second, form = rng.choice((
+                ("=", key, '"%s"'), (":", key, "%s"), (key + ":", word(), "%s"), (key, word(), "%s"), (word(), word(), key + "=%s"), ("=", key, "'%s',"),
+                (word(), word(), f'{{"{key}":"%s"}}'), (word(), word(), f'{{"{word()}":"{word()}","{key}":"%s","{word()}":1}}'), (word(), word(), f"{host}?{key}=%s"), (word(), word(), f"{host}?{word()}={word()}&{key}=%s&{word()}=1"),
+                ("export", word(), f"{key.upper()}=%s"), (word(), word(), f"{key}:%s"), ("Authorization:", "-H", f"Bearer=%s"), (word(), word(), f"--{key}=%s"),
+            ))
             if kind == 3 and rng.random() < 0.5:
                 before, second, form = word(), word(), "%s"
         else:
-            kind = rng.randrange(8)
+            kind = rng.randrange(11)
             body = (
                 draw("0123456789", rng.choice((16, 16, 17, 19, 20))), "".join(word() for _ in range(6)) + str(rng.randint(0, 99)), "/".join(word() for _ in range(5)) + f"/{rng.randint(1, 999)}",
                 draw(hexes, 40), "-".join(draw(hexes, n) for n in (8, 4, 4, 4, 12)), "_".join(word() for _ in range(5)) + str(rng.randint(1, 9)), rng.choice("x0a1") * rng.randint(16, 40) + "1", f"{word()}-{rng.randint(2000, 2030)}-{rng.randint(10, 12)}-{rng.randint(10, 30)}-{word()}{word()}",
+                draw(alnum + "+/", rng.choice((43, 86))) + "==", "_".join(rng.choice(common) for _ in range(rng.randint(3, 5))) + str(rng.randint(1, 9)), "-".join(rng.choice(common) for _ in range(4)) + f"-{rng.randint(10, 999)}",
             )[kind]
             before, second, form = rng.choice(((word(), word(), "%s"), (rng.choice(codes), word(), "%s"), (word() + ",", word(), "(%s)"), ("=", rng.choice(codes), '"%s"'), (word(), word(), "https://host.example/%s"), (rng.choice(codes) + ":", word(), "%s")))
+            if rng.random() < 0.3:
+                code, host = rng.choice(codes), f"https://{word()}.example"
+                before, second, form = word(), word(), rng.choice((f'{{"{code}":"%s"}}', f'{{"token":"{word()}","{code}":"%s"}}', f"{host}/{word()}?{code}=%s", f"{host}/{word()}/%s", f"{code}=%s", f'"{code}":"%s",'))
+            if kind == 8 and form == "%s":
+                before, form = word(), rng.choice(('"integrity":"sha512-%s",', "data:image/png;base64,%s", "checksum=%s"))
+            elif kind >= 9 and rng.random() < 0.5:
+                before, second, form = rng.choice((("=", rng.choice(keys), "%s"), (rng.choice(keys) + ":", word(), "%s"), (word(), word(), rng.choice(keys) + "=%s")))
             if kind == 3 and form == "%s" and before not in codes:
                 before = rng.choice(codes)
         end = rng.choice(("", "", "", ",", ".", "!!", "###"))
@@ -60,12 +92,19 @@ def labelled_findings(count: int = SAMPLE_ROWS, seed: int = SEED) -> list[tuple[
     return out
 
 
-def features(body: Column, before: Column, second: Column, whole: Column) -> dict[str, Column]:
-    """Numbers of a candidate: its length, character transitions, dictionary coverage, path and neighbouring words."""
+def features(body: Column, before: Column, second: Column, whole: Column, words: str | None = None) -> dict[str, Column]:
+    """Numbers of a candidate: its length, character transitions, dictionary coverage, path and neighbouring words.
+
+    The name right before a candidate in its word speaks for it alone; without
+    one, the words before do.
+    """
     n = F.greatest(F.length(body), F.lit(1)).cast("double")
     share = lambda letters: F.length(F.regexp_replace(body, f"[^{letters}]", "")) / n
-    near = F.concat_ws(" ", second, before, F.regexp_replace(whole, r"[A-Za-z0-9_+/=-]{16,}.*$", ""))
-    own_key = F.regexp_extract(whole, r"([A-Za-z_-]{2,30})[=:]", 1)
+    ahead = F.substring(whole, F.lit(1), F.greatest(F.instr(whole, body) - 1, F.lit(0)))
+    own_key = F.regexp_extract(ahead, r"([A-Za-z0-9_.-]{2,40})[\"']?[=:][\"']?$", 1)
+    near = F.when(own_key != "", own_key).otherwise(F.concat_ws(" ", second, before, ahead))
+    runs = F.regexp_extract_all(F.lower(F.regexp_replace(body, "([a-z])([A-Z])", "$1 $2")), F.lit("([a-z]{%d,})" % WORD_LETTERS), F.lit(1))
+    known = F.filter(runs, lambda r: F.contains(F.lit(words or dictionary()), F.concat(F.lit(" "), r, F.lit(" "))))
     return {
         "length": n,
         "switches": F.regexp_count(body, F.lit("[a-z]+|[A-Z]+|[0-9]+|[^a-zA-Z0-9]+")) / n,
@@ -74,11 +113,12 @@ def features(body: Column, before: Column, second: Column, whole: Column) -> dic
         "hexes": share("0-9a-fA-F"),
         "distinct": F.size(F.array_distinct(F.split(body, ""))) / n,
         "words": 1 - F.length(F.regexp_replace(F.lower(body), FRAGMENTS, "")) / n,
-        "path": (F.length(body) - F.length(F.translate(body, "/", ""))).cast("double") + F.when(whole.contains("://"), 5.0).otherwise(0.0),
-        "key_word": F.concat_ws(" ", near, own_key).rlike(KEY_WORDS).cast("double"),
+        "dictionary": F.length(F.array_join(known, "")) / n,
+        "path": (F.length(body) - F.length(F.translate(body, "/", ""))).cast("double") + F.when(ahead.contains("://") & (own_key == ""), 5.0).otherwise(0.0),
+        "key_word": near.rlike(KEY_WORDS).cast("double"),
         "assigned": (before.rlike(r"[=:]$") | (own_key != "")).cast("double"),
         "quoted": whole.rlike("[\"']").cast("double"),
-        "code_word": F.concat_ws(" ", near, own_key).rlike(rf"(?i)\b({CODE_WORDS[4:]})\b").cast("double"),
+        "code_word": near.rlike(rf"(?i)(?<![a-z])({CODE_WORDS[4:]})(?![a-z])").cast("double"),
     }
 
 

@@ -3,9 +3,11 @@
 Candidates are the runs of at least ``LEAST`` letters, digits, ``_ + / -`` (and
 closing ``=``) that hold a digit, all of each word, also where dots join them,
 and the values that follow a word for a credential: in the same word, or of
-``SHORT`` characters or more where one of the two words before is one.  Each one gets its length, character transitions,
-dictionary coverage, path and neighbouring words; a forest trained on labelled
-findings (``secret_forest``) decides.  Findings are replaced in the text.
+``SHORT`` characters or more where one of the two words before is one.  Each one
+gets its length, character transitions, dictionary coverage (whole words of a
+public vocabulary, and common fragments), path and neighbouring words; a forest
+trained on labelled findings (``secret_forest``) decides.  Findings are replaced
+in the text.
 
 The scan is one pass of expressions over each row: no shuffle, no Python.
 
@@ -21,16 +23,18 @@ from pyspark.sql import functions as F
 
 from litspark.llm.common import fresh
 from litspark.llm.quality_rules import BLANKS, let
-from litspark.llm.secret_forest import FEATURES, KEY_WORDS, features, load, probability
+from litspark.llm.secret_forest import FEATURES, KEY_WORDS, dictionary, features, load, probability
 
 LEAST = 16
 SHORT = 8
 THRESHOLD = 0.5
 REDACTED = "[SECRET]"
-BODY = r"([A-Za-z0-9_+/-]{%d,}={0,2})" % LEAST
-VALUE = r"(?i)(?:token|secret|passw|pwd|api_?key|access_?key|private_?key|credential|bearer)[A-Za-z_-]{0,20}[\"']?[=:][\"']?([^\s\"',;]{8,})"
-
-
+#: A run, with closing = unless a value follows, so that the name of an assignment has none.
+BODY = r"([A-Za-z0-9_+/-]{%d,}(?:={1,2}(?![A-Za-z0-9_=\"']))?)" % LEAST
+_NAMED = r"(?i)(?:token|secret|passw|pwd|api_?key|access_?key|private_?key|credential|bearer)[A-Za-z_-]{0,20}"
+#: Values behind a credential's name: up to the closing quote, or up to what ends a field.
+QUOTED = _NAMED + r"[\"']?[=:][\"']([^\s\"']{8,})[\"']"
+VALUE = _NAMED + r"[\"']?[=:]([^\s\"',;&?#{}\[\]<>]{8,})"
 JOINED = r"([A-Za-z0-9_+/-]{%d,}(?:\.[A-Za-z0-9_+/-]{%d,})+={0,2})" % (LEAST, LEAST)
 LOOSE = r"([^\s\"',;]{%d,})" % SHORT
 #: Where the next field of a query string starts.
@@ -42,8 +46,8 @@ def _bodies(word: Column, near: Column) -> Column:
     every = lambda w, pattern: F.regexp_extract_all(w, F.lit(pattern), F.lit(1))
 
     def of(fields: Column) -> Column:
-        named = every(fields, VALUE)
-        runs = F.concat(every(fields, BODY), F.when(fields.contains("."), every(fields, JOINED)).otherwise(F.array().cast("array<string>")))
+        named = F.concat(every(fields, QUOTED), every(fields, VALUE))
+        runs = F.concat(F.filter(every(fields, BODY), lambda r: r.rlike("[0-9]")), F.when(fields.contains("."), every(fields, JOINED)).otherwise(F.array().cast("array<string>")))
         own = F.concat(named, F.filter(runs, lambda r: ~F.exists(named, lambda v: v.contains(r))))
         return F.when((F.size(own) == 0) & near, every(fields, LOOSE)).otherwise(own)
 
@@ -68,7 +72,8 @@ def candidates(text: Column) -> Column:
 
 def scored(found: Column, forest: list) -> Column:
     """array<struct<body, score>>."""
-    names = lambda c: [v.alias(n) for n, v in features(c["body"], c["before"], c["second"], c["whole"]).items()]
+    known = dictionary()
+    names = lambda c: [v.alias(n) for n, v in features(c["body"], c["before"], c["second"], c["whole"], known).items()]
     ready = F.transform(found, lambda c: F.struct(c["body"].alias("body"), *names(c)))
     return F.transform(ready, lambda c: F.struct(c["body"].alias("body"), probability(forest, lambda n: c[n]).alias("score")))
 
