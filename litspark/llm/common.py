@@ -119,6 +119,27 @@ def small(df: DataFrame, limit: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if df.limit(limit + 1).count() <= limit else df
 
 
+#: Rows of one key from which it counts as hot.
+HOT_ROWS = 1000
+
+
+def join_split(rows: DataFrame, one: DataFrame, key: str, count: str) -> DataFrame:
+    """``rows`` joined with ``one``, which has one row a key and how many ``rows`` the key has, so that no hot key meets in one task.
+
+    Hot keys are few (at most one in ``HOT_ROWS`` rows), so their side is broadcast
+    while it is counted small; the other keys, or all beyond that, meet by a
+    shuffle that may be split at run time.
+    """
+    hot = one.where(F.col(count) >= HOT_ROWS)
+    found = hot.limit(BROADCAST_ROWS + 1).count()
+    if not found:
+        return rows.join(small(one), key)
+    if found > BROADCAST_ROWS:
+        return rows.join(one, key)
+    names = F.broadcast(hot.select(key))
+    return rows.join(F.broadcast(hot), key).unionByName(rows.join(names, key, "left_anti").join(one.where(F.col(count) < HOT_ROWS), key))
+
+
 #: Rows of texts or pages in one Arrow batch between the JVM and a Python worker.
 TEXT_ROWS = 1000
 

@@ -1,10 +1,11 @@
 """Passages that an earlier document already holds: relative Lempel-Ziv factors over an index of all documents.
 
-A document is factored against every document with a smaller doc_id: a factor is
-a maximal run of words that continues one reference (document, word position);
-factors of at least ``width`` words are duplicate spans, and the windows that
-straddle a factor's end are looked up on their own, so a span is never missed
-because the greedy parse broke there.
+A document is factored against the documents with a smaller doc_id: a factor is
+a maximal run of words that continues one reference (document, word position).
+The reference of a place is looked up in an index of all windows of ``width``
+words, so a factor is at least that long; where a factor ends, the windows that
+straddle its end have been looked up on their own, so a span that goes on in
+another reference is not missed.  What is removed is the union of the factors.
 
 1. One pass names each word sequence (128 bits) and takes its *anchors*: of the
    nine 5-word hashes inside a 13-word window the smallest one.  Equal windows
@@ -18,6 +19,8 @@ because the greedy parse broke there.
    gets the references of its windows back and is parsed into factors.
 4. A last pass cuts the spans out of the texts.
 
+Windows are named by 96 bits from two hashes of their words: among 10^13 of them
+one pair of different ones shares a name with a probability below 10^-3.
 Every window is judged on the input.  No block is skipped and no list is capped.
 
 Edge cases: null and empty texts have no words and lose none; texts shorter than
@@ -36,14 +39,18 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from litspark.llm.common import Scratch, small, text_batches
-from litspark.llm.words import hash_words, set_digest, split_words, window_hashes
+from litspark.llm.common import BROADCAST_ROWS, Scratch, join_split, small, text_batches
+from litspark.llm.words import hash_words, mix, set_digest, split_words, window_hashes
 
 WIDTH = 13
 GRAM = 5
 BATCH = 256
 #: Anchors of the documents to be read again that may be broadcast with their documents.
 BROADCAST_ANCHORS = 4_000_000
+#: Factors whose places may be broadcast to the texts that they are cut from; about eight bytes each.
+BROADCAST_FACTORS = 4_000_000
+#: Makes the second hash of a word.
+SECOND = np.uint64(0xA0761D6478BD642F)
 LAST = 2**63 - 1
 
 
@@ -89,20 +96,23 @@ def _profiles(rows: Iterator[pa.RecordBatch], width: int, gram: int) -> Iterator
 
 def _windows(rows: Iterator[pa.RecordBatch], width: int, gram: int) -> Iterator[pa.RecordBatch]:
     for batch in _sliced(rows):
-        found, places, more = [], [], []
+        found, checks, places, more = [], [], [], []
         for text, shared in zip(batch.column("text").to_pylist(), batch.column("shared")):
             hashes = hash_words(split_words(text))
             at = np.flatnonzero(np.isin(anchors(hashes, width, gram), shared.values.to_numpy().view(np.uint64)))
             own = window_hashes(hashes, width)[at]
-            order = np.argsort(own, kind="stable")
-            own, at = own[order], at[order]
-            fresh = np.flatnonzero(np.append(True, own[1:] != own[:-1])) if len(own) else np.empty(0, np.int64)
+            again = window_hashes(mix(hashes ^ SECOND), width)[at].astype(np.uint32).view(np.int32)
+            order = np.lexsort((again, own))
+            own, again, at = own[order], again[order], at[order]
+            fresh = np.flatnonzero(np.append(True, (own[1:] != own[:-1]) | (again[1:] != again[:-1]))) if len(own) else np.empty(0, np.int64)
             found.append(own[fresh].view(np.int64))
+            checks.append(again[fresh])
             places.append(at[fresh].astype(np.int32))
             runs = np.split(at.astype(np.int32), fresh[1:]) if len(own) else []
             more.append([r[1:].tolist() if len(r) > 1 else None for r in runs])
         yield pa.RecordBatch.from_arrays(
-            [batch.column("doc"), batch.column("name"), _lists(found, pa.int64()), _lists(places, pa.int32()), pa.array(more, pa.list_(pa.list_(pa.int32())))], ["doc", "name", "hashes", "places", "more"]
+            [batch.column("doc"), batch.column("name"), _lists(found, pa.int64()), _lists(checks, pa.int32()), _lists(places, pa.int32()), pa.array(more, pa.list_(pa.list_(pa.int32())))],
+            ["doc", "name", "hashes", "checks", "places", "more"],
         )
 
 
@@ -162,14 +172,14 @@ def duplicate_factors(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, scr
     """(rows, classes, factors) of ``docs(doc, tag, text)``.
 
     rows: doc, tag, digest, n of every row; classes: digest, first (smallest doc
-    of that word sequence); factors: digest, starts, lengths, ref_docs,
-    ref_starts, for the first document of each sequence.
+    of that word sequence), tag (of one of its rows), rows; factors: digest,
+    starts, lengths, ref_docs, ref_starts, for the first document of each sequence.
     """
     text_batches(docs.sparkSession)
     scratch = scratch or Scratch(docs.sparkSession, "substring")
     profiles = scratch.write(docs.mapInArrow(lambda rows: _profiles(rows, width, gram), "doc long, tag long, digest binary, n long, anchors array<long>"), "profiles")
-    classes = profiles.groupBy("digest").agg(F.min(F.struct("doc", "tag")).alias("who"))
-    classes = scratch.write(classes.select("digest", F.col("who.doc").alias("first"), F.col("who.tag").alias("tag")), "classes")
+    classes = profiles.groupBy("digest").agg(F.min(F.struct("doc", "tag")).alias("who"), F.count("*").alias("rows"))
+    classes = scratch.write(classes.select("digest", F.col("who.doc").alias("first"), F.col("who.tag").alias("tag"), "rows"), "classes")
     rows = profiles.select("doc", "tag", "digest", "n")
     # (first, name) tells classes apart; name is 0 but where two sequences share a doc_id
     twice = scratch.write(classes.groupBy("first").agg(F.count("*").alias("count")).where("count > 1").select("first"))
@@ -184,16 +194,16 @@ def duplicate_factors(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, scr
     many = holders.agg(F.sum(F.size("shared"))).first()[0] or 0
     side = holders.select(F.col("first").alias("doc"), "tag", "name", "shared")
     again = docs.join(F.broadcast(side) if many <= BROADCAST_ANCHORS else side, ["doc", "tag"]).select("doc", "name", "text", "shared")
-    kept = "doc long, name long, hashes array<long>, places array<int>, more array<array<int>>"
+    kept = "doc long, name long, hashes array<long>, checks array<int>, places array<int>, more array<array<int>>"
     windows = scratch.write(again.mapInArrow(lambda rows: _windows(rows, width, gram), kept), "windows")
-    spots = windows.select("doc", "name", F.explode(F.arrays_zip("hashes", "places", "more")).alias("w"))
-    spots = spots.select("doc", "name", F.col("w.hashes").alias("hash"), F.col("w.places").alias("place"), F.col("w.more").alias("more"))
-    index = spots.groupBy("hash").agg(F.min(F.struct("doc", "place")).alias("ref"), F.max("doc").alias("high")).where("ref.doc <> high")
-    refs = spots.join(index.select("hash", F.col("ref.doc").alias("ref_doc"), F.col("ref.place").alias("ref_place")), "hash").where("ref_doc < doc")
+    spots = windows.select("doc", "name", F.explode(F.arrays_zip("hashes", "checks", "places", "more")).alias("w"))
+    spots = spots.select("doc", "name", F.col("w.hashes").alias("hash"), F.col("w.checks").alias("check"), F.col("w.places").alias("place"), F.col("w.more").alias("more"))
+    index = spots.groupBy("hash", "check").agg(F.min(F.struct("doc", "place")).alias("ref"), F.max("doc").alias("high")).where("ref.doc <> high")
+    refs = spots.join(index.select("hash", "check", F.col("ref.doc").alias("ref_doc"), F.col("ref.place").alias("ref_place")), ["hash", "check"]).where("ref_doc < doc")
     refs = refs.groupBy("doc", "name").agg(F.collect_set(F.struct("place", "ref_doc", "ref_place", "more")).alias("refs"))
     factors = refs.join(named.select(F.col("first").alias("doc"), "name", "digest"), ["doc", "name"]).select("digest", "refs")
     factors = scratch.write(factors.mapInArrow(lambda rows: _factors(rows, width), "digest binary, starts array<int>, lengths array<int>, ref_docs array<long>, ref_starts array<int>"), "factors")
-    return rows, classes.select("digest", "first"), factors
+    return rows, classes, factors
 
 
 def substring_dedup(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_text: bool = True) -> DataFrame:
@@ -206,11 +216,17 @@ def substring_dedup(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_
     source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     source = source.withColumns({"doc": F.coalesce("doc_id", F.lit(LAST)), "tag": F.xxhash64("text")})
     rows, classes, factors = duplicate_factors(source.select("doc", "tag", "text"), width, gram, scratch)
-    named = rows.distinct().join(classes, "digest").join(factors.select("digest", "starts", "lengths"), "digest", "left")
-    whole = (F.col("doc") > F.col("first")) & (F.col("n") >= width)
-    acted = named.select("doc", "tag", whole.alias("whole"), F.when(F.col("doc") == F.col("first"), F.col("starts")).alias("starts"), "lengths").where("whole or starts is not null")
-    acted = scratch.write(acted)
-    joined = source.join(small(acted), ["doc", "tag"], "left").select("doc_id", "text", F.coalesce("whole", F.lit(False)).alias("whole"), "starts", "lengths")
+    # rows that share a word sequence: copies go as a whole, and what is cut from the first row is cut from its twins under the same doc_id
+    many = classes.where("rows > 1").select("digest", "first", F.col("tag").alias("own"), "rows")
+    shared = join_split(rows, many, "digest", "rows")
+    whole = shared.where((F.col("doc") > F.col("first")) & (F.col("n") >= width)).select("doc", "tag", F.lit(True).alias("whole"), F.lit(None).cast("array<int>").alias("starts"), F.lit(None).cast("array<int>").alias("lengths")).distinct()
+    twins = shared.where((F.col("doc") == F.col("first")) & (F.col("tag") != F.col("own"))).select("digest", "doc", "tag").distinct()
+    heads = classes.select("digest", F.col("first").alias("doc"), "tag").unionByName(twins)
+    part = heads.join(factors.select("digest", "starts", "lengths"), "digest").select("doc", "tag", F.lit(False).alias("whole"), "starts", "lengths")
+    acted = scratch.write(whole.unionByName(part), "acted")
+    found = acted.agg(F.count("*").alias("rows"), F.sum(F.size(F.coalesce("starts", F.array().cast("array<int>")))).alias("factors")).first()
+    side = F.broadcast(acted) if found.rows <= BROADCAST_ROWS and (found.factors or 0) <= BROADCAST_FACTORS else acted
+    joined = source.join(side, ["doc", "tag"], "left").select("doc_id", "text", F.coalesce("whole", F.lit(False)).alias("whole"), "starts", "lengths")
     schema = "doc_id long, n_words long, n_removed long, kept_sha256 string" + ", kept_text string" * with_text
     return joined.mapInArrow(lambda rows: _cut(rows, with_text), schema)
 
