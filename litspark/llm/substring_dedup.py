@@ -39,7 +39,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from litspark.llm.common import BROADCAST_ROWS, Scratch, join_split, small, text_batches
+from litspark.llm.common import Scratch, join_split, small, text_batches
 from litspark.llm.words import hash_words, mix, set_digest, split_words, window_hashes
 
 WIDTH = 13
@@ -49,6 +49,8 @@ BATCH = 256
 BROADCAST_ANCHORS = 4_000_000
 #: Factors whose places may be broadcast to the texts that they are cut from; about eight bytes each.
 BROADCAST_FACTORS = 4_000_000
+#: Rows of a few longs each that may be broadcast: at most about 80 MB.
+KEY_ROWS = 1_000_000
 #: Makes the second hash of a word.
 SECOND = np.uint64(0xA0761D6478BD642F)
 LAST = 2**63 - 1
@@ -185,7 +187,7 @@ def duplicate_factors(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, scr
     twice = scratch.write(classes.groupBy("first").agg(F.count("*").alias("count")).where("count > 1").select("first"))
     named = classes.join(small(twice.withColumn("again", F.lit(True))), "first", "left").withColumn("name", F.when(F.col("again"), F.xxhash64("digest")).otherwise(F.lit(0).cast("long"))).drop("again")
     # anchors stay in the profiles: the first row of each class is picked there
-    picked = profiles.select("doc", "tag", "anchors").join(small(named.select(F.col("first").alias("doc"), "tag", "name")), ["doc", "tag"])
+    picked = profiles.select("doc", "tag", "anchors").join(small(named.select(F.col("first").alias("doc"), "tag", "name"), KEY_ROWS), ["doc", "tag"])
     spread = picked.select("name", F.col("doc").alias("first"), "tag", F.explode("anchors").alias("anchor"))
     shared = scratch.write(spread.groupBy("anchor").agg(F.min("first").alias("low"), F.max("first").alias("high")).where("low <> high").select("anchor"))
     holders = scratch.write(
@@ -225,7 +227,7 @@ def substring_dedup(docs: DataFrame, width: int = WIDTH, gram: int = GRAM, with_
     part = heads.join(factors.select("digest", "starts", "lengths"), "digest").select("doc", "tag", F.lit(False).alias("whole"), "starts", "lengths")
     acted = scratch.write(whole.unionByName(part), "acted")
     found = acted.agg(F.count("*").alias("rows"), F.sum(F.size(F.coalesce("starts", F.array().cast("array<int>")))).alias("factors")).first()
-    side = F.broadcast(acted) if found.rows <= BROADCAST_ROWS and (found.factors or 0) <= BROADCAST_FACTORS else acted
+    side = F.broadcast(acted) if found.rows <= KEY_ROWS and (found.factors or 0) <= BROADCAST_FACTORS else acted
     joined = source.join(side, ["doc", "tag"], "left").select("doc_id", "text", F.coalesce("whole", F.lit(False)).alias("whole"), "starts", "lengths")
     schema = "doc_id long, n_words long, n_removed long, kept_sha256 string" + ", kept_text string" * with_text
     return joined.mapInArrow(lambda rows: _cut(rows, with_text), schema)
