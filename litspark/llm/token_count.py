@@ -9,11 +9,13 @@ pair encodes to itself), which fixes the count of the longer prefix, and the
 transition is annotated with the change of the count.  States are compiled when
 first reached and kept in a table of bounded size.
 
-A long text is cut into chunks.  Each chunk becomes a *state map*: the pieces
-between its first and its last certain cut (white space after something else
-always starts a piece) are counted, the ends stay open.  Maps compose
-associatively, and a parallel prefix scan over the chunks gives the counts up
-to every chunk and of the text.
+A long text is cut into chunks of about ``CHUNK`` bytes, inside a piece where one
+is longer than that.  Each chunk becomes a *state map*: from the state in which it
+may be entered to the state that it leaves and the tokens that it emits.  At the
+start of a piece the state is the first one; inside a long piece it is open, so
+the map is made for the states that were seen, which soon run together, and is
+extended by a state when that is met.  Maps compose associatively, and a parallel
+prefix scan over the chunks gives the state and the count up to every chunk.
 
 Edge cases: null and empty texts have 0 tokens and 0 bytes; special strings in a
 text count as one token each; very long texts and pieces are counted whole;
@@ -23,10 +25,8 @@ other columns are ignored; an empty table gives an empty result.
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
-from typing import NamedTuple
 
 import pyarrow as pa
-import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -37,12 +37,10 @@ CHUNK = 16_384
 #: Compiled transitions and remembered pieces and pairs of one worker; a full table starts anew.
 TRANSITIONS = 1_000_000
 PIECE_MEMORY = 300_000
+#: Bytes after which runs from several states are compared, and states that the map of an open chunk is made for at first.
+STRIDE, SEEN = 16, 64
 LIMIT = 1024
 
-_CUT = regex.compile(r"(?<=\P{White_Space})\p{White_Space}")
-_LAST_CUT = regex.compile(r"(?r)(?<=\P{White_Space})\p{White_Space}")
-
-
 class Transducer:
     """Counts the tokens of a piece while it reads the bytes."""
 
@@ -106,81 +104,124 @@ class Transducer:
         move = self.moves[state << 8 | byte] = number << 8 | (128 + change)
         return move
 
-    def count(self, raw: bytes) -> int:
+    def trim(self) -> None:
+        """Start the table of transitions anew once it is full; numbers of states that were handed out end there."""
         if len(self.moves) > self.limit:
             self._restart()
-        moves, state, total = self.moves, 0, 0
+
+    def count(self, raw: bytes) -> int:
+        self.trim()
+        return self.run(0, raw)[1]
+
+    def run(self, state: int, raw: bytes) -> tuple[int, int]:
+        """The state after ``raw`` and the tokens emitted on the way, from ``state``."""
+        moves, total = self.moves, 0
         for byte in raw:
             move = moves.get(state << 8 | byte)
             if move is None:
                 move = self._compile(state, byte)
             state = move >> 8
             total += (move & 255) - 128
-        return total
+        return state, total
+
+    def run_all(self, states: list[int], raw: bytes) -> dict[int, tuple[int, int]]:
+        """``run`` from several states; runs that reach the same state go on as one."""
+        groups = {s: [(s, 0)] for s in states}
+        for at in range(0, len(raw), STRIDE):
+            merged: dict[int, list[tuple[int, int]]] = {}
+            for state, members in groups.items():
+                end, more = self.run(state, raw[at : at + STRIDE])
+                merged.setdefault(end, []).extend((s, n + more) for s, n in members)
+            groups = merged
+        return {s: (end, n) for end, members in groups.items() for s, n in members}
 
 
-class ChunkMap(NamedTuple):
-    """What a chunk does to the state: open text, count, open text; without a certain cut ``tail`` is None."""
+class ChunkMap:
+    """(state left, tokens emitted) for the states in which a chunk may be entered; ``find`` makes the entry of another one."""
 
-    head: str
-    count: int
-    tail: str | None
+    def __init__(self, known: dict[int, tuple[int, int]], find: Callable[[int], tuple[int, int]]):
+        self.known, self.find = known, find
+
+    def __call__(self, state: int) -> tuple[int, int]:
+        found = self.known.get(state)
+        if found is None:
+            found = self.known[state] = self.find(state)
+        return found
+
+
+def compose(a: ChunkMap, b: ChunkMap) -> ChunkMap:
+    """The map of both chunks read one after the other."""
+
+    def through(state: int) -> tuple[int, int]:
+        middle, first = a(state)
+        end, more = b(middle)
+        return end, first + more
+
+    return ChunkMap({s: through(s) for s in a.known}, through)
 
 
 class Counter:
-    """Counts of pieces, chunk maps and their composition."""
+    """Counts of pieces, and of long texts by state maps."""
 
     def __init__(self, vocab: Vocabulary, memory: int = PIECE_MEMORY):
         self.vocab, self.memory = vocab, memory
         self.transducer = Transducer(vocab)
         self.known: dict[str, int] = {}
 
+    def _piece(self, piece: str) -> int:
+        n = self.known.get(piece)
+        if n is None:
+            if len(self.known) >= self.memory:
+                self.known.clear()
+            n = self.known[piece] = 1 if piece in self.vocab.special else self.transducer.run(0, piece.encode("utf-8", "surrogatepass"))[1]
+        return n
+
     def count(self, text: str) -> int:
-        """Tokens of text that starts and ends at certain cuts."""
-        known = self.known
+        """Tokens of a text, piece by piece."""
+        self.transducer.trim()
         pieces = self.vocab.pieces(text)
         try:
-            return sum(map(known.__getitem__, pieces))
+            return sum(map(self.known.__getitem__, pieces))
         except KeyError:
-            pass
-        total = 0
-        for piece in pieces:
-            n = known.get(piece)
-            if n is None:
-                if len(known) >= self.memory:
-                    known.clear()
-                n = known[piece] = 1 if piece in self.vocab.special else self.transducer.count(piece.encode("utf-8", "surrogatepass"))
-            total += n
-        return total
-
-    def map_of(self, chunk: str) -> ChunkMap:
-        first = _CUT.search(chunk)
-        if not first:
-            return ChunkMap(chunk, 0, None)
-        at, last = first.start(), _LAST_CUT.search(chunk).start()
-        return ChunkMap(chunk[:at], self.count(chunk[at:last]), chunk[last:])
-
-    def compose(self, a: ChunkMap, b: ChunkMap) -> ChunkMap:
-        """The map of both chunks read one after the other; a cut at their border is found again."""
-        if a.tail is None and b.tail is None:
-            return self.map_of(a.head + b.head)
-        if a.tail is None:
-            joined = self.map_of(a.head + b.head)
-            return ChunkMap(joined.head, b.count, b.tail) if joined.tail is None else ChunkMap(joined.head, joined.count + self.count(joined.tail) + b.count, b.tail)
-        if b.tail is None:
-            joined = self.map_of(a.tail + b.head)
-            return ChunkMap(a.head, a.count, joined.head) if joined.tail is None else ChunkMap(a.head, a.count + self.count(joined.head) + joined.count, joined.tail)
-        return ChunkMap(a.head, a.count + self.count(a.tail + b.head) + b.count, b.tail)
-
-    def total(self, whole: ChunkMap) -> int:
-        return self.count(whole.head) + whole.count + (self.count(whole.tail) if whole.tail else 0)
+            return sum(map(self._piece, pieces))
+
+    def _closed(self, pieces: list[str]) -> ChunkMap:
+        """Whole pieces: entered and left in the first state."""
+        n = sum(map(self._piece, pieces))
+        return ChunkMap({0: (0, n)}, lambda state: (0, n))
+
+    def _open(self, raw: bytes, last: bool) -> ChunkMap:
+        """A part of a piece; behind its last one the first state follows."""
+        leave = (lambda found: (0, found[1])) if last else (lambda found: found)
+        machine = self.transducer
+        seen = list(range(max(0, len(machine.states) - SEEN), len(machine.states)))
+        return ChunkMap({s: leave(f) for s, f in machine.run_all(sorted({0, *seen}), raw).items()}, lambda state: leave(machine.run(state, raw)))
+
+    def maps(self, text: str, chunk: int) -> list[ChunkMap]:
+        """State maps of the chunks of a text, in order."""
+        out, held, size = [], [], 0
+        self.transducer.trim()  # not later: states keep their numbers while maps refer to them
+        for piece in self.vocab.pieces(text):
+            if len(piece) > chunk and piece not in self.vocab.special:
+                if held:
+                    out.append(self._closed(held))
+                    held, size = [], 0
+                raw = piece.encode("utf-8", "surrogatepass")
+                self.transducer.run(0, raw[:chunk])  # states that the parts may be entered in
+                out += [self._open(raw[at : at + chunk], at + chunk >= len(raw)) for at in range(0, len(raw), chunk)]
+                continue
+            held.append(piece)
+            size += len(piece)
+            if size >= chunk:
+                out.append(self._closed(held))
+                held, size = [], 0
+        return [*out, self._closed(held)] if held else out
 
     def text(self, text: str, chunk: int = CHUNK) -> int:
         """Tokens of a whole text."""
         if len(text) <= chunk:
             return self.count(text)
-        maps = [self.map_of(text[at : at + chunk]) for at in range(0, len(text), chunk)]
-        return self.total(prefix_scan(maps, self.compose)[-1])
+        return prefix_scan(self.maps(text, chunk), compose)[-1](0)[1]
 
 
 def prefix_scan(items: list, compose: Callable) -> list:

@@ -260,6 +260,13 @@ def test_bpe_equals_the_library_and_round_trips(spark, given, library):
     assert decoded == said
 
 
+def test_token_counts_of_documents_equal_the_library(spark, library):
+    given = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    texts = dict(given.collect())
+    got = token_count.token_counts(given).collect()
+    assert len(got) == len(texts) and all(r.n_tokens == len(library.encode(texts[r.doc_id] or "", add_special_tokens=False).ids) for r in got)
+
+
 def test_trees_of_a_batch_and_of_one_piece_agree():
     vocab = bpe.vocabulary(bpe.vocabulary_file())
     rng = random.Random(6)
@@ -281,10 +288,18 @@ def test_chunk_maps_compose(library):
     for t in odd_texts():
         n = len(library.encode(t, add_special_tokens=False).ids)
         assert counter.text(t, rng.randrange(1, 15)) == n
-    maps = [counter.map_of(x) for x in ("ab c", "d e ", "  f", "gh", " i")]
-    left = [counter.total(m) for m in token_count.prefix_scan(maps, counter.compose)]
-    whole = ["ab c", "ab cd e ", "ab cd e   f", "ab cd e   fgh", "ab cd e   fgh i"]
-    assert left == [counter.text(t) for t in whole]
+    whole = "ab cd e" + "f" * 90 + " gh the" * 9 + "x9" * 40
+    maps = counter.maps(whole, 8)
+    assert len(maps) > 20
+    one_by_one, state, total = [], 0, 0
+    for m in maps:
+        state, more = m(state)
+        total += more
+        one_by_one.append((state, total))
+    assert [m(0) for m in token_count.prefix_scan(maps, token_count.compose)] == one_by_one
+    assert one_by_one[-1] == (0, len(library.encode(whole, add_special_tokens=False).ids))
+    left, right = token_count.compose(token_count.compose(maps[2], maps[3]), maps[4]), token_count.compose(maps[2], token_count.compose(maps[3], maps[4]))
+    assert all(left(s) == right(s) for s in range(5))
     small = token_count.Transducer(bpe.vocabulary(bpe.vocabulary_file()), limit=200)  # a table that starts anew again and again
     assert all(small.count(w) == len(bpe.vocabulary(bpe.vocabulary_file()).merge(w)) for w in (b"interesting", b"hello", b"ationally") * 20)
 
