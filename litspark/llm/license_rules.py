@@ -64,3 +64,55 @@ RULES: list[tuple[str, str, tuple[str, ...]]] = [
 
 #: A rule that needs more gives way where a rule of the same licence text already fits: (weaker, stronger).
 COVERED: list[tuple[str, str]] = [("BSD-2-Clause", "BSD-3-Clause")]
+
+# Licences by their public identifier, with the names that notices call them by.
+NAMES: dict[str, tuple[str, ...]] = {
+    "0BSD": ("BSD Zero Clause License",),
+    "AGPL-3.0": ("GNU Affero General Public License v3.0", "GNU Affero General Public License, version 3", "AGPLv3 License"),
+    "Apache-2.0": ("Apache License, Version 2.0", "Apache License 2.0", "Apache 2.0 License", "Apache-2.0 License"),
+    "Artistic-2.0": ("Artistic License 2.0",),
+    "BSD-2-Clause": ("BSD 2-Clause License", "Simplified BSD License"),
+    "BSD-3-Clause": ("BSD 3-Clause License", "New BSD License"),
+    "BSL-1.0": ("Boost Software License, Version 1.0", "Boost Software License 1.0"),
+    "CC-BY-4.0": ("Creative Commons Attribution 4.0 International License",),
+    "CC-BY-NC-4.0": ("Creative Commons Attribution-NonCommercial 4.0 International License",),
+    "CC-BY-SA-4.0": ("Creative Commons Attribution-ShareAlike 4.0 International License",),
+    "CC0-1.0": ("CC0 1.0 Universal License",),
+    "EPL-2.0": ("Eclipse Public License 2.0", "Eclipse Public License, Version 2.0"),
+    "EUPL-1.2": ("European Union Public License 1.2",),
+    "GPL-2.0": ("GNU General Public License v2.0", "GNU General Public License, version 2", "GPLv2 License"),
+    "GPL-3.0": ("GNU General Public License v3.0", "GNU General Public License, version 3", "GPLv3 License"),
+    "ISC": ("ISC License",),
+    "LGPL-2.1": ("GNU Lesser General Public License v2.1", "GNU Lesser General Public License, version 2.1"),
+    "LGPL-3.0": ("GNU Lesser General Public License v3.0", "GNU Lesser General Public License, version 3"),
+    "MIT": ("MIT License", "MIT license terms"),
+    "MPL-2.0": ("Mozilla Public License 2.0", "Mozilla Public License, version 2.0"),
+    "Unlicense": ("Unlicense License", "Unlicense"),
+    "WTFPL": ("WTFPL License",),
+    "Zlib": ("zlib License",),
+}
+# How notices name a licence, and what announces a public identifier.
+FORMS = (
+    "Licensed under the {}.", "Released under the {}.", "Distributed under the {}.", "Available under the {}.", "This project is licensed under the {}.", "This project is released under the {}.",
+    "This project is licensed under the {} - see the LICENSE file for details.", "This project is licensed under the terms of the {}.", "This software is licensed under the {}.", "This software is released under the {}.",
+    "This work is licensed under the {}.", "This work is licensed under a {}.", "This code is licensed under the {}.", "This file is licensed under the {}.", "This library is licensed under the {}.",
+)
+ANNOUNCED = "SPDX-License-Identifier"
+
+
+def _plain(name: str) -> str:
+    return "".join(c if c.isalnum() else "_" for c in name.lower())
+
+
+def named_sentences() -> dict[str, str]:
+    """Sentence -> identifier for every licence, name and form; all that name one licence share an identifier."""
+    return {form.format(name): f"named_{_plain(licence)}" for licence, names in NAMES.items() for name in names for form in FORMS}
+
+
+def announced_sentences() -> dict[str, str]:
+    """The announcement with a licence's public identifier behind it -> identifier."""
+    return {f"{ANNOUNCED} {value}": f"spdx_{_plain(licence)}" for licence in NAMES for value in (licence, f"{licence}-only", f"{licence}-or-later")}
+
+
+RULES += [(f"{_plain(licence)}-named", licence, (f"named_{_plain(licence)}",)) for licence in NAMES]
+RULES += [(f"{_plain(licence)}-spdx", licence, (f"spdx_{_plain(licence)}",)) for licence in NAMES]

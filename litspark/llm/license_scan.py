@@ -1,7 +1,7 @@
 """Licence scans: sentences become known identifiers, identifier sequences meet ordered rules.
 
 A text is cut into sentences (at line ends, and after ``. ! ? :`` before white
-space), each is normalised (lower case, runs of other characters than letters
+space, but not inside the announcement of a public identifier), each is normalised (lower case, runs of other characters than letters
 and digits become one blank) and mapped to the identifier of the known licence
 sentence that it is.  A text is also read with its lines joined, so that wrapped
 sentences are found; the reading with more identifiers counts, by lines if equal.  The identifiers of a
@@ -22,7 +22,7 @@ import re
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from litspark.llm.license_rules import COVERED, RULES, SENTENCES
+from litspark.llm.license_rules import ANNOUNCED, COVERED, RULES, SENTENCES, announced_sentences, named_sentences
 
 #: Lower-case fragments of which every known sentence holds one (asserted below), to pass over all other text cheaply.
 CUES = ("licens", "permission", "copyright notice", "warrant", "redistribut", "free software", "public domain", "contributors may be used")
@@ -35,9 +35,12 @@ def normalise(sentence: str) -> str:
 
 
 KNOWN = {normalise(s): i for i, s in SENTENCES.items()}
-if len(KNOWN) < len(SENTENCES) or not all(any(c in s for c in CUES) for s in KNOWN):
-    raise ValueError("known sentences must differ and each hold a cue")
-if {i for _, _, ids in RULES for i in ids} - set(SENTENCES):
+if len(KNOWN) < len(SENTENCES):
+    raise ValueError("known sentences must differ")
+KNOWN = {normalise(s): i for s, i in (named_sentences() | announced_sentences()).items()} | KNOWN
+if not all(any(c in s for c in CUES) for s in KNOWN):
+    raise ValueError("known sentences must each hold a cue")
+if {i for _, _, ids in RULES for i in ids} - set(KNOWN.values()):
     raise ValueError("a rule names an unknown sentence")
 
 
@@ -49,6 +52,8 @@ def identifiers(text: Column) -> Column:
     """Identifiers of the known sentences of a text, in order."""
     table = F.create_map(*[F.lit(x) for pair in KNOWN.items() for x in pair])
     cue = "|".join(CUES)
+    # an announcement and its value are one sentence
+    text = F.regexp_replace(text, rf"(?i)({ANNOUNCED}):[ \t]+", "$1 ")
 
     def name(sentences: Column) -> Column:
         return F.filter(F.transform(sentences, lambda s: F.try_element_at(table, _normalised(s))), lambda i: i.isNotNull())
@@ -104,7 +109,7 @@ def oracle() -> str:
     listed = lambda cases: f"coalesce(array_to_string(list_sort(list_filter([{', '.join(cases)}], lambda x: x IS NOT NULL)), ','), '')"
     return f"""
 WITH known(sentence, id) AS (VALUES {table}),
-texts AS (SELECT doc_id, row_number() OVER () AS r, coalesce(text, '') AS t FROM documents),
+texts AS (SELECT doc_id, row_number() OVER () AS r, regexp_replace(coalesce(text, ''), '({ANNOUNCED}):[ \\t]+', '\\1 ', 'gi') AS t FROM documents),
 cuts AS (
   SELECT r, 0 AS way, {cut('t')} AS s FROM texts
   UNION ALL SELECT r, 1, {cut("regexp_replace(t, '[ \\t]*\\n+[ \\t]*', ' ', 'g')")} FROM texts),

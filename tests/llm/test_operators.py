@@ -565,6 +565,15 @@ def test_licence_sequences(spark):
     assert got == {1: "BSD-2-Clause", 2: "BSD-3-Clause", 3: "", 4: "MIT", 5: "CC-BY-4.0,MIT", 6: ""}
 
 
+def test_named_and_announced_licences(spark):
+    rows = [
+        (1, "This project is licensed under the MIT License."), (2, "# SPDX-License-Identifier: MIT\ncode"), (3, "// SPDX-License-Identifier: GPL-2.0-or-later\n"), (4, "We went mit ihm. MIT\nno licence here"),
+        (5, "This project is licensed under the\nApache License 2.0 - see the LICENSE file for details."), (6, "This software is licensed under the Mozilla Public License 2.0. Thanks."), (7, "licensed under the Unknown License."),
+    ]
+    got = {r.doc_id: r.licences for r in license_scan.license_report(docs_of(spark, rows)).collect()}
+    assert got == {1: "MIT", 2: "MIT", 3: "GPL-2.0", 4: "", 5: "Apache-2.0", 6: "MPL-2.0", 7: ""}
+
+
 # tool calls
 
 
