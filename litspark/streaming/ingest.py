@@ -24,11 +24,13 @@ def stream(spark: SparkSession, folder: str, table: str, files_per_trigger: int
 
 
 def _work_folder(spark: SparkSession) -> str:
-    named = spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if not named:
+    context = spark.sparkContext
+    named = context.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
+    if not named and context.master.split("[")[0] == "local":  # driver and executors are one process
         import tempfile
 
         named = tempfile.mkdtemp(prefix="litspark-stream-")
+    named = named or spark.conf.get("spark.sql.warehouse.dir")
     return f"{named.rstrip('/')}/stream-{uuid.uuid4().hex}"
 
 
