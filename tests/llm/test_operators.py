@@ -429,6 +429,33 @@ def test_leaks_with_moved_parts_are_found(spark):
     assert got == {(i, i): (70, round((len(w) - 8) / len(w), 6)) for i, w in items.items()}
 
 
+def test_fingerprints_equal_plain_ones(spark):
+    rng = random.Random(4)
+    sets = [[rng.getrandbits(64) - 2**63 for _ in range(n)] for n in (0, 1, 2, 5, 31, 32, 100, 40_000)]
+    prints = spark.createDataFrame(list(enumerate(sets)), "i int, g array<bigint>").select("i", F.expr(decontamination.simhash("g")).alias("print"))
+    for r in prints.collect():
+        assert r.print % 2**64 == sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in sets[r.i]) > len(sets[r.i]))
+
+
+def test_leaks_at_the_bound_and_very_long_items(spark):
+    rng = random.Random(5)
+    items = [[f"i{i}x{rng.randrange(400)}" for _ in range(rng.randrange(25, 90))] for i in range(300)]
+    items.append([f"long{rng.randrange(10**6)}" for _ in range(1500)])
+    rows = []
+    for i, w in enumerate(items):
+        own = list(w)
+        for cut in range(1 if len(w) < 60 else 2):
+            own[len(w) * (2 * cut + 1) // 4] = "changed"
+        rows.append((i, " ".join(["before"] * 30 + own + ["after"] * 30)))
+        rows.append((1000 + i, " ".join(["before"] * 30 + w[: len(w) // 3] + ["after"] * 60)))
+    bench = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(items)], "item_id long, text string")
+    found = decontamination.leaks(docs_of(spark, rows), bench).collect()
+    # five of n - 4 shingles differ for each changed word
+    want = {i: (len(w) - 4, 5 * (1 if len(w) < 60 else 2)) for i, w in enumerate(items)}
+    want = {i: round((n - gone) / (n + gone), 6) for i, (n, gone) in want.items() if 100 * (n - gone) >= 75 * (n + gone)}
+    assert {r.doc_id: r.similarity for r in found if r.doc_id == r.item_id} == want and len(found) == len(want) > 150
+
+
 # secrets, licences
 
 
