@@ -35,7 +35,7 @@ count; an empty table gives an empty result; clashing extra columns are ignored.
 from __future__ import annotations
 
 import math
-from collections.abc import Callable
+from collections.abc import Callable, Iterable
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -63,6 +63,8 @@ FLOORS = (0.035, 0.25, 0.6, 0.1)
 #: Words of the usual length that each text is given, so that short texts do not stand out by chance.
 PRIOR_WORDS, PRIOR_LENGTH = 30, 5
 VECTOR = ("x0", "x1", "x2", "x3")
+#: An estimate: the means, then the lower triangle of the inverse Cholesky factor of the covariance.
+ESTIMATE = [*[f"m{i}" for i in range(len(VECTOR))], *[f"w{i}{j}" for i in range(len(VECTOR)) for j in range(i + 1)]]
 
 
 def let(value: Column, use: Callable[[Column], Column]) -> Column:
@@ -145,63 +147,69 @@ def consistency(cover: float, dof: int = len(VECTOR)) -> float:
     return cover / _chi2_cdf(low, dof + 2)
 
 
+def _total(terms: Iterable[str]) -> str:
+    """SQL of a sum in this order, zero without terms."""
+    return " + ".join(["0.0D", *terms])
+
+
+def _double(value: float) -> str:
+    """SQL of a double."""
+    return f"{float(value)!r}D"
+
+
 def _estimate(moments: DataFrame, factor: float, *keys: str) -> DataFrame:
     """keys, m0.. , the rows w00.. of the inverse Cholesky factor and the log determinant, from n and sums s_i, s_ij."""
     p = range(len(VECTOR))
-    n = F.col("n").cast("double")
-    out = moments.select(*keys, "n", *[(F.col(f"s{i}") / n / SCALE).alias(f"m{i}") for i in p], *[f"s{i}{j}" for i in p for j in range(i + 1)])
-    spread = lambda i, j: F.col(f"s{i}{j}") / n / SCALE / SCALE - F.col(f"m{i}") * F.col(f"m{j}")
-    out = out.withColumns({f"v{i}{j}": F.greatest(spread(i, i), F.lit(0.0)) * factor + FLOORS[i] ** 2 if i == j else spread(i, j) * factor for i in p for j in range(i + 1)})
-    dot = lambda a, b, upto: sum((F.col(f"{a}{k}") * F.col(f"{b}{k}") for k in range(upto)), F.lit(0.0))
+    pairs = [(i, j) for i in p for j in range(i + 1)]
+    spread = {(i, j): f"(s{i}{j} / n / {SCALE} / {SCALE} - m{i} * m{j})" for i, j in pairs}
+    made = {f"m{i}": f"s{i} / n / {SCALE}" for i in p}
+    for i, j in pairs:
+        made[f"v{i}{j}"] = f"greatest({spread[i, i]}, 0.0D) * {_double(factor)} + {_double(FLOORS[i] ** 2)}" if i == j else f"{spread[i, j]} * {_double(factor)}"
     for j in p:
-        out = out.withColumn(f"l{j}{j}", F.sqrt(F.greatest(F.col(f"v{j}{j}") - dot(f"l{j}", f"l{j}", j), F.lit(FLOORS[j] ** 2 / 4))))
-        if j + 1 < len(VECTOR):
-            out = out.withColumns({f"l{i}{j}": (F.col(f"v{i}{j}") - dot(f"l{i}", f"l{j}", j)) / F.col(f"l{j}{j}") for i in range(j + 1, len(VECTOR))})
+        dot = {i: _total(f"l{i}{k} * l{j}{k}" for k in range(j)) for i in range(j, len(VECTOR))}
+        made[f"l{j}{j}"] = f"sqrt(greatest(v{j}{j} - ({dot[j]}), {_double(FLOORS[j] ** 2 / 4)}))"
+        made |= {f"l{i}{j}": f"(v{i}{j} - ({dot[i]})) / l{j}{j}" for i in range(j + 1, len(VECTOR))}
     for i in p:
-        below = {f"w{i}{j}": -sum((F.col(f"l{i}{k}") * F.col(f"w{k}{j}") for k in range(j, i)), F.lit(0.0)) / F.col(f"l{i}{i}") for j in range(i)}
-        out = out.withColumns(below | {f"w{i}{i}": 1 / F.col(f"l{i}{i}")})
-    logdet = sum((F.log(F.col(f"l{i}{i}")) for i in p), F.lit(0.0)).alias("logdet")
-    return out.select(*keys, *[f"m{i}" for i in p], *[f"w{i}{j}" for i in p for j in range(i + 1)], logdet)
+        made |= {f"w{i}{j}": f"-({_total(f'l{i}{k} * w{k}{j}' for k in range(j, i))}) / l{i}{i}" for j in range(i)} | {f"w{i}{i}": f"1 / l{i}{i}"}
+    made["logdet"] = _total(f"ln(l{i}{i})" for i in p)
+    # later columns of this list build on earlier ones
+    out = moments.withColumn("n", F.col("n").cast("double")).selectExpr(*keys, *[f"{value} as {name}" for name, value in made.items()])
+    return out.select(*keys, *ESTIMATE, "logdet")
 
 
 def _distance() -> Column:
     """Squared Mahalanobis distance of a row's vector to the estimate beside it; null without one."""
-    p = range(len(VECTOR))
-    off = [F.col(VECTOR[i]) / F.lit(float(SCALE)) - F.col(f"m{i}") for i in p]
-    return sum((F.pow(sum((F.col(f"w{i}{k}") * off[k] for k in range(i + 1)), F.lit(0.0)), F.lit(2.0)) for i in p), F.lit(0.0))
+    off = [f"({x} / {_double(SCALE)} - m{i})" for i, x in enumerate(VECTOR)]
+    return F.expr(_total(f"pow({_total(f'w{i}{k} * {off[k]}' for k in range(i + 1))}, 2.0D)" for i in range(len(VECTOR))))
 
 
 def _sums() -> list[Column]:
-    p = range(len(VECTOR))
-    return [F.count("*").alias("n"), *[F.sum(VECTOR[i]).alias(f"s{i}") for i in p], *[F.sum(F.col(VECTOR[i]) * F.col(VECTOR[j])).alias(f"s{i}{j}") for i in p for j in range(i + 1)]]
+    once, twice = {f"s{i}": x for i, x in enumerate(VECTOR)}, {f"s{i}{j}": f"{VECTOR[i]} * {VECTOR[j]}" for i in range(len(VECTOR)) for j in range(i + 1)}
+    return [F.count("*").alias("n"), *[F.expr(f"sum({value}) as {name}") for name, value in (once | twice).items()]]
 
 
 def _starts(rows: DataFrame, scratch: Scratch, near: Callable[[DataFrame], DataFrame], starts: int) -> DataFrame:
     """Estimates (grp, start) of the rows that hold the smallest of ``DRAWN`` hashes for each start."""
-    spots = [(s, k) for s in range(starts) for k in range(DRAWN)]
-    hashes = [F.xxhash64(*VECTOR, "tag", F.lit(s * DRAWN + k)) for s, k in spots]
-    lows = scratch.write(rows.groupBy("grp").agg(*[F.min(h).alias(f"h{i}") for i, h in enumerate(hashes)]), "draws")
-    met = rows.join(near(lows), "grp")
-    drawn = F.filter(F.array(*[F.when(h == F.col(f"h{i}"), F.lit(s)) for i, ((s, _), h) in enumerate(zip(spots, hashes))]), lambda s: s.isNotNull())
+    hashes = [f"xxhash64({', '.join(VECTOR)}, tag, {i})" for i in range(starts * DRAWN)]
+    lows = scratch.write(rows.groupBy("grp").agg(*[F.expr(f"min({h}) as h{i}") for i, h in enumerate(hashes)]), "draws")
+    drawn = ", ".join(f"if({h} = h{i}, {i // DRAWN}, null)" for i, h in enumerate(hashes))
     # of rows that are equal in all that is hashed one stands for all
-    taken = met.select("grp", "tag", *VECTOR, F.explode(drawn).alias("start")).distinct()
+    taken = rows.join(near(lows), "grp").selectExpr("grp", "tag", *VECTOR, f"explode(array_compact(array({drawn}))) as start").distinct()
     return scratch.write(_estimate(taken.groupBy("grp", "start").agg(*_sums()), 1.0, "grp", "start"), "estimate")
 
 
 def _step(rows: DataFrame, estimate: DataFrame, cover: float) -> DataFrame:
     """One concentration step of every (grp, start) of ``estimate``."""
-    d2 = _distance()
-    parts = rows.join(estimate, "grp").select("grp", "start", F.floor(BINS * F.log2(1 + d2)).cast("int").alias("bin"), *VECTOR).groupBy("grp", "start", "bin").agg(*_sums())
+    parts = rows.join(estimate, "grp").select("grp", "start", F.floor(BINS * F.log2(1 + _distance())).cast("int").alias("bin"), *VECTOR).groupBy("grp", "start", "bin").agg(*_sums())
     names = [c for c in parts.columns if c not in ("grp", "start", "bin")]
     within = Window.partitionBy("grp", "start")
     before = F.coalesce(F.sum("n").over(within.orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     ranked = parts.withColumns({"before": before, "need": F.ceil(F.lit(cover) * F.sum("n").over(within))})
-    share = F.least(F.lit(1.0), (F.col("need") - F.col("before")) / F.col("n"))
-    covered = ranked.where("before < need").select("grp", "start", *[(F.col(c) * share).alias(c) for c in names])
+    covered = ranked.where("before < need").selectExpr("grp", "start", *[f"{c} * least(1.0D, (need - before) / n) as {c}" for c in names])
     # in the order of the bins, so that the sums of fractions do not depend on how rows are dealt
-    listed = covered.groupBy("grp", "start").agg(F.sort_array(F.collect_list(F.struct(*names))).alias("all"))
-    total = lambda c: F.aggregate(F.col("all")[c], F.lit(0.0), lambda a, b: a + b).alias(c)
-    return _estimate(listed.select("grp", "start", *[total(c) for c in names]), consistency(cover), "grp", "start")
+    listed = covered.groupBy("grp", "start").agg(F.sort_array(F.collect_list(F.struct(*names))).alias("bins"))
+    totals = [f"aggregate(bins.{c}, 0.0D, (a, b) -> a + b) as {c}" for c in names]
+    return _estimate(listed.selectExpr("grp", "start", *totals), consistency(cover), "grp", "start")
 
 
 def mcd_estimates(rows: DataFrame, groups: int, scratch: Scratch, cover: float = COVER, starts: int = STARTS) -> DataFrame:
@@ -210,8 +218,8 @@ def mcd_estimates(rows: DataFrame, groups: int, scratch: Scratch, cover: float =
     estimate = _starts(rows, scratch, near, starts)
     for _ in range(FIRST_STEPS):
         estimate = scratch.write(_step(rows, near(estimate), cover), "estimate")
-    best = estimate.groupBy("grp").agg(F.min_by("start", F.struct("logdet", "start")).alias("start"))
-    estimate = estimate.join(best, ["grp", "start"])
+    best = F.min_by(F.struct("start", *ESTIMATE), F.struct("logdet", "start")).alias("best")
+    estimate = estimate.groupBy("grp").agg(best).select("grp", "best.*")
     for _ in range(LAST_STEPS):
         estimate = scratch.write(_step(rows, near(estimate), cover), "estimate")
     inside = rows.join(near(estimate), "grp").where(_distance() <= NEAR).groupBy("grp").agg(*_sums())
@@ -243,7 +251,7 @@ def quality_verdicts(docs: DataFrame, cover: float = COVER, cutoff: float = CUTO
     scratch = Scratch(docs.sparkSession, "quality")
     stats = scratch.write(document_statistics(docs), "stats")
     groups = scratch.write(_grouped(stats, least), "groups")
-    named, judging = groups.count(), groups.where("grp is not null").select("grp").distinct().count()
+    named, judging = groups.agg(F.count("*"), F.count_distinct("grp")).first()
     rows = stats.join(F.broadcast(groups) if named <= BROADCAST_ROWS else groups, ["lang", "source"], "left")
     estimate = mcd_estimates(rows.where("not base_failed and grp is not null").select("grp", "tag", *VECTOR), judging, scratch, cover)
     judged = rows.join(F.broadcast(estimate) if judging <= BROADCAST_ROWS else estimate, "grp", "left").withColumn("d2", _distance())
