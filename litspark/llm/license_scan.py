@@ -40,6 +40,8 @@ if len(KNOWN) < len(SENTENCES):
 KNOWN = {normalise(s): i for s, i in (named_sentences() | announced_sentences()).items()} | KNOWN
 if not all(any(c in s for c in CUES) for s in KNOWN):
     raise ValueError("known sentences must each hold a cue")
+if any(len(re.split(SPLIT, s)) > 1 for s in SENTENCES.values()):
+    raise ValueError("known sentences must be single sentences")
 if {i for _, _, ids in RULES for i in ids} - set(KNOWN.values()):
     raise ValueError("a rule names an unknown sentence")
 

@@ -592,6 +592,21 @@ def test_licence_sequences(spark):
     assert got == {1: "BSD-2-Clause", 2: "BSD-3-Clause", 3: "", 4: "MIT", 5: "CC-BY-4.0,MIT", 6: ""}
 
 
+def test_notices_and_texts_of_more_licences(spark):
+    s = license_scan.SENTENCES
+    bsd = [s[i] for i in ("bsd_grant", "bsd_source", "bsd_binary")]
+    rows = [
+        (1, "/* This Source Code Form is subject to the terms of the Mozilla Public\n * License, v. 2.0. If a copy of the MPL was not distributed with this\n * file, You can obtain one at https://mozilla.org/MPL/2.0/. */"),
+        (2, "\n".join(f"{n}. {x}" for n, x in enumerate([*bsd, s["bsd_author"]]))), (3, s["zlib_warranty"] + "  In no event will the authors be held liable.\n\n" + s["zlib_grant"] + "\n1. The origin"),
+        (4, s["isc_grant"] + "\n\n" + s["isc_warranty"]), (5, s["zero_bsd_grant"] + "\n" + s["isc_warranty"]), (6, "GNU GENERAL PUBLIC LICENSE\nPreamble\n" + s["gpl3_text"]),
+        (7, "# This program is free software: " + s["agpl_free"].replace(" as published", "\n# as published")), (8, "Apache License\n1. Definitions.\n" + s["apache_definition"] + "\n2. Grant of Copyright License. " + s["apache_grant"]),
+        (9, s["boost_grant"]), (10, s["zlib_grant"] + "\n" + s["zlib_warranty"]),
+        (11, "This program is free software: " + "\n".join(s[i] for i in ("gpl_free", "gpl_hope", "gpl_received"))),
+    ]
+    got = {r.doc_id: r.licences for r in license_scan.license_report(docs_of(spark, rows)).collect()}
+    assert got == {1: "MPL-2.0", 2: "BSD-3-Clause", 3: "Zlib", 4: "ISC", 5: "0BSD", 6: "GPL-3.0", 7: "AGPL-3.0-or-later", 8: "Apache-2.0", 9: "BSL-1.0", 10: "", 11: "GPL-3.0-or-later"}
+
+
 def test_named_and_announced_licences(spark):
     rows = [
         (1, "This project is licensed under the MIT License."), (2, "# SPDX-License-Identifier: MIT\ncode"), (3, "// SPDX-License-Identifier: GPL-2.0-or-later\n"), (4, "We went mit ihm. MIT\nno licence here"),
