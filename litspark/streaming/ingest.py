@@ -19,8 +19,9 @@ from litspark.operators import chunk, parse
 
 
 def stream(spark: SparkSession, folder: str, table: str, files_per_trigger: int = 4) -> DataFrame:
-    """A table as a file stream: every Parquet file of ``folder`` named after the table."""
-    return spark.readStream.schema(SCHEMAS[table]).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", f"{table}.parquet").parquet(folder)
+    """A table as a file stream: the Parquet file of ``folder`` named after the table, or the files in the folder of that name."""
+    # as a pattern, since the source takes a path without one for a folder
+    return spark.readStream.schema(SCHEMAS[table]).option("maxFilesPerTrigger", files_per_trigger).parquet(f"{folder}/{table}.parque[t]")
 
 
 def _work_folder(spark: SparkSession) -> str:
